@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, exact, substrings
+from . import bpe, decontaminate, exact, linechunks, perspectives, substrings, surrogates, urlrules
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,6 +20,33 @@ def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+# The listed url rules of production, as (verdict, host, path).
+URL_RULES = [("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("allow", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", "/es/")]
+
+
+def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages whose label (of the document with the page's id) says low quality or toxic are the bad examples."""
+    pages = table(spark, sf_dir, "pages")
+    labels = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("page_id"), ((F.col("quality") == 0) | (F.col("toxic") == 1)).alias("bad"))
+    rules = urlrules.mine_rules(pages.select("page_id", "url").join(labels, "page_id"), min_support=0.002, min_confidence=0.6)
+    judged = urlrules.judge(pages.select("page_id", "url"), URL_RULES, rules)
+    return judged.select("page_id", "host", "path", "rule", "verdict", "learnt_rule")
+
+
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return linechunks.drop_repeated_chunks(docs).select("doc_id", "n_lines", "n_removed", "text")
+
+
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return surrogates.replace_entities(docs, key="manifold").select("doc_id", "text", F.size("pii").cast("long").alias("n_entities"))
+
+
+def op9_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return perspectives.flat(perspectives.rotate(table(spark, sf_dir, "conversations")))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(table(spark, sf_dir, "documents"), vocabulary_path())
 
@@ -36,9 +64,13 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_url_filter": op1_url_filter,
+    "op3_line_dedup": op3_line_dedup,
     "op4_bpe": op4_bpe,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_decontaminate": op7_decontaminate,
+    "op8_pii": op8_pii,
+    "op9_chat": op9_chat,
     "op10_substring_dedup": op10_substring_dedup,
 }
 
@@ -72,7 +104,9 @@ from d left join kept on d.doc_id = kept.doc_id
 """
 
 ORACLE_SQL: dict[str, str] = {
+    "op3_line_dedup": linechunks.ORACLE,
     "op6_exact_dedup": exact.ORACLE,
     "op7_decontaminate": OP7_SQL,
+    "op9_chat": perspectives.ORACLE,
     "op10_substring_dedup": OP10_SQL,
 }
