@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, exact, linechunks, perspectives, substrings, surrogates, urlrules
+from . import bpe, decontaminate, exact, jaccard, linechunks, perspectives, substrings, surrogates, urlrules
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,6 +51,10 @@ def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(table(spark, sf_dir, "documents"), vocabulary_path())
 
 
+def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.near_groups(table(spark, sf_dir, "documents"), n=4, threshold=0.85)
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.exact_groups(table(spark, sf_dir, "documents"), keep="max")
 
@@ -67,6 +71,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
     "op3_line_dedup": op3_line_dedup,
     "op4_bpe": op4_bpe,
+    "op5_jaccard_join": op5_jaccard_join,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_decontaminate": op7_decontaminate,
     "op8_pii": op8_pii,
@@ -103,8 +108,21 @@ select d.doc_id, cast(len(ws) as bigint) as n_words, cast(len(ws) - coalesce(n,
 from d left join kept on d.doc_id = kept.doc_id
 """
 
+OP5_SQL = rf"""
+with recursive d as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\x20\x09-\x0D]+') as ws from documents),
+s as (select distinct doc_id, md5(array_to_string(ws[i : i + least(4, len(ws)) - 1], ' ')) as k
+      from (select doc_id, ws, unnest(range(1, len(ws) - least(4, len(ws)) + 2)) as i from d where len(ws) > 0)),
+n as (select doc_id, count(*) as n from s group by doc_id),
+l as (select a, b from (select x.doc_id as a, y.doc_id as b, count(*) as o from s x join s y on x.k = y.k and x.doc_id <> y.doc_id group by x.doc_id, y.doc_id)
+      join n p on p.doc_id = a join n q on q.doc_id = b where 100 * o >= 85 * (p.n + q.n - o)),
+r as (select a as doc_id, b as other from l union select r.doc_id, l.b from r join l on r.other = l.a)
+select d.doc_id, cast(coalesce(n.n, 0) as bigint) as n_shingles, least(d.doc_id, coalesce(c.m, d.doc_id)) as component_id
+from d left join n on d.doc_id = n.doc_id left join (select doc_id, min(other) as m from r group by doc_id) c on d.doc_id = c.doc_id
+"""
+
 ORACLE_SQL: dict[str, str] = {
     "op3_line_dedup": linechunks.ORACLE,
+    "op5_jaccard_join": OP5_SQL,
     "op6_exact_dedup": exact.ORACLE,
     "op7_decontaminate": OP7_SQL,
     "op9_chat": perspectives.ORACLE,
