@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..graph import components
-from ..spool import chunk_count, shuffle_partitions, spool
+from ..spool import chunk_count, spool
 from . import grams
 from .arrowmap import append_columns
 from .packing import REPLY, ROUTED, bucket_bounds, contains, pack, routed, run_starts, unpack
@@ -311,7 +311,7 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
     classes = spool(real.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles")), "classes")
 
     groups = chunk_count(rows)
-    buckets = max(shuffle_partitions(spark), groups // 4)
+    buckets = max(1, groups // 4)
     slot = F.pmod(F.xxhash64("doc_id"), F.lit(groups)).cast("int")
     dealt = rows.withColumn("g", slot)
     reps = classes.select(F.pmod(F.xxhash64("rep"), F.lit(groups)).cast("int").alias("g"), F.lit(None).cast("int").alias("bucket"), F.lit(None).cast("binary").alias("payload"), "rep").distinct()

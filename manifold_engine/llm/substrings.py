@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..spool import chunk_count, shuffle_partitions
+from ..spool import chunk_count
 from . import grams
 from .packing import REPLY, ROUTED, bucket_bounds, contains, pack, routed, run_starts, unpack
 
@@ -212,7 +212,7 @@ def repeated_spans(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     block = span // 2
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     groups = chunk_count(rows)
-    buckets = max(shuffle_partitions(docs.sparkSession), groups // 4)
+    buckets = max(1, groups // 4)
     dealt = rows.withColumn("g", F.pmod(F.xxhash64("doc_id"), F.lit(groups)).cast("int"))
     own = F.coalesce("doc_id", F.lit(int(LAST)))
     reps = rows.groupBy(F.sha2(F.coalesce("text", F.lit("")), 256)).agg(F.min(own).alias("rep")).select("rep").distinct()
