@@ -39,7 +39,7 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def chunk_count(df: DataFrame, bytes_each: int = 8 << 20, per_partition: int = 4) -> int:
+def chunk_count(df: DataFrame, bytes_each: int = 8 << 20, per_partition: int = 2) -> int:
     """How many hash groups to deal ``df`` into so that one fits in a Python worker."""
     parts = shuffle_partitions(df.sparkSession)
     return max(per_partition * parts, min(plan_bytes(df) // bytes_each, 1_000_000))
