@@ -43,6 +43,7 @@ from . import grams
 from .arrowmap import append_columns
 from .packing import REPLY, ROUTED, bucket_bounds, contains, pack, routed, run_starts, unpack
 
+DEBUG = False
 LARGEST_LIGHT = 24  # enumeration beyond this size never pays at thresholds up to 0.95
 
 
@@ -273,21 +274,22 @@ def choose_boundary(sizes: dict[int, int], lists: dict[int, float], t: Fraction)
 
 
 def _prefixes(cand: DataFrame) -> DataFrame:
-    """``(tok, doc_id, size)``: the list entries of each set."""
+    """``(tok, doc_id, size, df, after)``: the list entries of each set, with how many n-grams stand at or behind each."""
 
     def fn(batches):
         for batch in batches:
-            toks, docs, sizes, freq = [], [], [], []
+            toks, docs, sizes, freq, after = [], [], [], [], []
             for d, s, known, ranks, p in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "size", "known", "ranks", "prefix"))):
-                own = np.frombuffer(known, np.int64)[:p]
-                toks.append(own)
+                own = np.frombuffer(known, np.int64)
+                toks.append(own[:p])
                 freq.append(np.frombuffer(ranks, np.uint32)[:p].astype(np.int64))
-                docs.append(np.full(len(own), d))
-                sizes.append(np.full(len(own), s, np.int32))
+                docs.append(np.full(p, d))
+                sizes.append(np.full(p, s, np.int32))
+                after.append(np.arange(len(own), len(own) - p, -1, dtype=np.int32))
             if toks:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(toks)), pa.array(np.concatenate(docs)), pa.array(np.concatenate(sizes)), pa.array(np.concatenate(freq))], names=["tok", "doc_id", "size", "df"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (toks, docs, sizes, freq, after)], names=["tok", "doc_id", "size", "df", "after"])
 
-    return cand.mapInArrow(fn, "tok long, doc_id long, size int, df long")
+    return cand.mapInArrow(fn, "tok long, doc_id long, size int, df long, after int")
 
 
 def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float | Fraction = 0.8) -> DataFrame:
@@ -334,30 +336,50 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
     reach = t * (boundary + 1)
     heavy = cand.where(F.col("size") >= -(-reach.numerator // reach.denominator))
     lists = spool(_prefixes(heavy), "lists")
-    hub = lists.groupBy("tok").agg(F.min("doc_id").alias("v"), F.max("doc_id").alias("w"), F.min_by("size", "doc_id").alias("v_size")).where("v < w").drop("w")
-    lists = spool(lists.drop("df").join(spool(hub, "hubs"), "tok"), "lists")
     tn, td = t.numerator, t.denominator
 
-    def fits(a: str, b: str):
-        return (F.least(a, b).cast("long") * td >= F.greatest(a, b).cast("long") * tn) & (F.greatest(a, b) > boundary)
+    def fits(x: str, y: str):
+        """Lengths allow a link, and the list is needed for it: light pairs are done."""
+        return (F.least(x, y).cast("long") * td >= F.greatest(x, y).cast("long") * tn) & (F.greatest(x, y) > boundary)
+
+    def meets(x: str, y: str, i: str, j: str):
+        """If this is their first common n-gram, what follows it in both is enough."""
+        return F.least(i, j).cast("long") * (td + tn) >= (F.col(x) + F.col(y)).cast("long") * tn
+
+    hub = lists.groupBy("tok").agg(F.min(F.struct("doc_id", "size", "after")).alias("m"), F.max("doc_id").alias("w")).where("m.doc_id < w")
+    hub = hub.select("tok", F.col("m.doc_id").alias("v"), F.col("m.size").alias("v_size"), F.col("m.after").alias("v_after"))
+    lists = spool(lists.drop("df").join(spool(hub, "hubs"), "tok"), "lists")
+    open_to_v = (F.col("doc_id") != F.col("v")) & fits("size", "v_size")
 
-    first = lists.where((F.col("doc_id") != F.col("v")) & fits("size", "v_size")).select(F.col("doc_id").alias("u"), "v").distinct()
+    # round 1: every set with the smallest first document of its lists
+    first = lists.where(open_to_v).groupBy(F.col("doc_id").alias("u")).agg(F.min("v").alias("v"))
     seen = spool(_compare(cand, first, t, groups), "compared")
     links = spool(links.union(seen.where("link").select("u", "v")), "links")
     comp = spool(components(links), "components")
 
-    # what the contraction left: entries of one list in different components
-    far = seen.select(F.col("u").alias("doc_id"), "v", "dist")
-    tagged = lists.join(comp.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id"))
-    tagged = tagged.join(far, ["doc_id", "v"], "left").withColumn("dist", F.when(F.col("doc_id") == F.col("v"), F.lit(0.0)).otherwise(F.col("dist")))
-    tagged = spool(tagged, "tagged")
+    def of(name: str, out: str) -> DataFrame:
+        return comp.select(F.col("id").alias(name), F.col("comp").alias(out))
+
+    # round 2: with the first documents of lists that lead to another component
+    tagged = lists.join(of("doc_id", "uc"), "doc_id", "left").withColumn("uc", F.coalesce("uc", "doc_id")).join(of("v", "vc"), "v", "left").withColumn("vc", F.coalesce("vc", "v"))
+    second = spool(tagged, "tagged").where(open_to_v & (F.col("uc") != F.col("vc"))).select(F.col("doc_id").alias("u"), "v").distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti")
+    more = spool(_compare(cand, second, t, groups), "compared")
+    links = spool(links.union(more.where("link").select("u", "v")), "links")
+    comp = spool(components(links), "components")
+
+    # round 3: what the contraction left, entries of one list in different components
+    far = seen.union(more).select(F.col("u").alias("doc_id"), "v", "dist")
+    tagged = lists.join(of("doc_id", "comp"), "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id"))
     mixed = tagged.groupBy("tok").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count("*").alias("n")).where("a < b and n > 2").select("tok")
-    left = spool(tagged.join(spool(mixed, "mixed"), "tok").where(F.col("doc_id") != F.col("v")), "left")
-    # the component of the list's first document is the large one: it need not meet itself
-    x = left.select("tok", F.col("doc_id").alias("u"), F.col("size").alias("us"), F.col("comp").alias("uc"), F.col("dist").alias("ud"))
-    y = left.select("tok", F.col("doc_id").alias("w"), F.col("size").alias("ws"), F.col("comp").alias("wc"), F.col("dist").alias("wd"))
+    left = spool(tagged.join(spool(mixed, "mixed"), "tok").where(F.col("doc_id") != F.col("v")), "left").join(far, ["doc_id", "v"], "left")
+    left = spool(left, "left")
+    x = left.select("tok", F.col("doc_id").alias("u"), F.col("size").alias("us"), F.col("comp").alias("uc"), F.col("dist").alias("ud"), F.col("after").alias("ua"))
+    y = left.select("tok", F.col("doc_id").alias("w"), F.col("size").alias("ws"), F.col("comp").alias("wc"), F.col("dist").alias("wd"), F.col("after").alias("wa"))
     slack = float(1 - t) + 1e-9
-    pairs = x.join(y, "tok").where((F.col("uc") < F.col("wc")) & fits("us", "ws") & (F.col("ud").isNull() | F.col("wd").isNull() | (F.abs(F.col("ud") - F.col("wd")) <= slack)))
+    pairs = x.join(y, "tok").where((F.col("uc") < F.col("wc")) & fits("us", "ws") & meets("us", "ws", "ua", "wa") & (F.col("ud").isNull() | F.col("wd").isNull() | (F.abs(F.col("ud") - F.col("wd")) <= slack)))
+    if DEBUG:
+        print("cand", cand.count(), "first", first.count(), "second", second.count(), "left", left.count(), "pairs", pairs.count(), "distinct", pairs.select("u", "w").distinct().count())
+        print(left.groupBy("tok").count().groupBy("count").count().orderBy(F.desc("count")).limit(15).collect())
     rest = _compare(cand, pairs.select("u", F.col("w").alias("v")).distinct(), t, groups).where("link").select("u", "v")
     comp = spool(components(links.union(rest)), "components")
 
