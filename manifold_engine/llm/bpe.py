@@ -174,6 +174,12 @@ class Decoder:
         return raw.decode("utf-8", "replace").encode()
 
 
+def _lists(rows: list[np.ndarray]) -> pa.ListArray:
+    ends = np.concatenate([[0], np.cumsum([len(r) for r in rows])]).astype(np.int32)
+    flat = np.concatenate(rows).astype(np.int32) if rows else np.zeros(0, np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))
+
+
 def encode(docs: DataFrame, path: str, text: str = "text", ids: str = "ids") -> DataFrame:
     """``docs`` with ``ids array<int>``.  Null counts as empty text; no special tokens are added.
 
@@ -186,9 +192,7 @@ def encode(docs: DataFrame, path: str, text: str = "text", ids: str = "ids") ->
 
         def fn(part):
             rows = encoder.encode_batch([t.decode() for t in grams.texts_of(part.column(text))])
-            ends = np.concatenate([[0], np.cumsum([len(r) for r in rows])]).astype(np.int32)
-            flat = np.concatenate(rows).astype(np.int32) if rows else np.zeros(0, np.int32)
-            return [pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))]
+            return [_lists(rows)]
 
         return fn
 
@@ -207,8 +211,11 @@ def decode(rows: DataFrame, path: str, ids: str = "ids", text: str = "decoded")
     return rows.withColumn(text, run(F.col(ids)))
 
 
-def round_trip(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ids as little-endian 32-bit integers, then decoded again."""
+def round_trip(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text", keep: tuple[str, ...] = (), with_ids: bool = False) -> DataFrame:
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ids as little-endian 32-bit integers, then decoded again.
+
+    ``keep`` names further columns to carry; ``with_ids`` adds ``ids array<int>``.
+    """
 
     def make():
         v = Vocabulary.load(path)
@@ -216,13 +223,15 @@ def round_trip(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "
 
         def fn(part):
             rows = encoder.encode_batch([t.decode() for t in grams.texts_of(part.column(text))])
-            return [
+            out = [
                 pa.array([len(r) for r in rows], pa.int64()),
                 [hashlib.sha256(r.astype("<u4").tobytes()).hexdigest() for r in rows],
                 [hashlib.sha256(decoder.decode(r)).hexdigest() for r in rows],
             ]
+            return out + [_lists(rows)] * with_ids
 
         return fn
 
     names = [("n_tokens", T.LongType()), ("ids_sha256", T.StringType()), ("decoded_sha256", T.StringType())]
-    return append_columns(docs.select(doc_id, text), text, make, [T.StructField(n, t) for n, t in names], drop=(text,))
+    names += [("ids", T.ArrayType(T.IntegerType()))] * with_ids
+    return append_columns(docs.select(doc_id, *keep, text), text, make, [T.StructField(n, t) for n, t in names], drop=(text,))

@@ -393,7 +393,7 @@ def keep_smallest(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n
     """The rows of ``docs`` whose id is the smallest of their group (rows without id stay)."""
     groups = near_groups(docs, doc_id, text, n, threshold)
     gone = groups.where("component_id <> doc_id").select(F.col("doc_id").alias(doc_id)).distinct()
-    return docs.join(gone, doc_id, "left_anti")
+    return docs.join(gone, doc_id, "left_anti").select(*docs.columns)
 
 
 def brute_force(docs: list[tuple[int, str | None]], n: int = 5, threshold: float = 0.8) -> list[tuple]:

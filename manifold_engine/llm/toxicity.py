@@ -221,7 +221,7 @@ def score(
     label: str = "toxic",
     order: int = 5,
     shared_orders: int = 2,
-    share: float = 1e-6,
+    share: float = 5e-6,
     threshold: float = 0.3,
     calibration_rows: int = 20_000,
 ) -> DataFrame:
