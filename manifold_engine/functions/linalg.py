@@ -55,7 +55,7 @@ def lanczos(matvec, n: int, k: int, first: np.ndarray | None = None, seed: int =
     ``first`` is a known eigenvector to project out (returned as the first pair's vector).
     """
     rng = np.random.default_rng(seed)
-    most = min(n, most or max(12 * k + 60, 240))
+    most = min(n, most or max(12 * k + 60, 600))
     basis = np.zeros((most, n))
     q = rng.standard_normal(n)
     known = None if first is None else first / np.linalg.norm(first)
