@@ -240,7 +240,9 @@ def score(
     held = F.coalesce(crc % 4 == 2, F.lit(False))
     known = labels.where(F.col(label).isNotNull() & F.col(doc_id).isNotNull()).groupBy(F.col(doc_id).alias("l__")).agg(F.max((F.col(label) > 0).cast("int")).alias("bad"))
     known = known.where(F.crc32(F.col("l__").cast("string")) % 4 != 2)
-    train = docs.where(F.col(text).isNotNull()).select(F.col(doc_id).alias("d__"), F.col(text).alias("text")).join(known, F.col("d__") == F.col("l__")).select("d__", "text", "bad")
+    # labels grow with the documents: never broadcast, and texts that cannot be learnt from stay where they are
+    train = docs.where(F.col(text).isNotNull() & (crc % 4 != 2)).select(F.col(doc_id).alias("d__"), F.col(text).alias("text"))
+    train = train.join(known.hint("merge"), F.col("d__") == F.col("l__")).select("d__", "text", "bad")
     aside = F.floor(F.crc32(F.col("d__").cast("string")) / 4) % 8 == 0
     model = fit_models(count_sequences(train.where(~aside), "text", order), order, shared_orders, share)
     if model is None:
