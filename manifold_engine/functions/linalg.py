@@ -108,6 +108,18 @@ def bottleneck(d: np.ndarray) -> float:
     return float(worst)
 
 
+def bottleneck_rows(x: np.ndarray, block) -> float:
+    """The same, with distance rows computed as they are needed: no matrix is held."""
+    near, out, worst = block(x[:1], x)[0], np.ones(len(x), bool), 0.0
+    out[0] = False
+    for _ in range(len(x) - 1):
+        v = int(np.argmin(np.where(out, near, np.inf)))
+        worst = max(worst, float(near[v]))
+        out[v] = False
+        np.minimum(near, block(x[v : v + 1], x)[0], out=near)
+    return worst
+
+
 def grow_tree(edges: SymmetricEdges, growth: str = "star_random", root: int = 0, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """Parents and depths of a spanning tree of the component of ``root`` (-1 where not reached).
 

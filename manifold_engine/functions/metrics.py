@@ -100,8 +100,15 @@ def emd_block(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.abs(cx[:, None, :] - cy[None, :, :]).sum(2)
 
 
-def rmsd_block(x: np.ndarray, y: np.ndarray, dims: int = 3, chunk: int = 64) -> np.ndarray:
-    """RMSD after the best rigid motion without reflection, from batched cross-covariances."""
+def rmsd_block(x: np.ndarray, y: np.ndarray, dims: int = 3, chunk: int = 256) -> np.ndarray:
+    """RMSD after the best rigid motion without reflection.
+
+    In three dimensions the best rotation is the leading eigenvector of a 4x4
+    quaternion matrix; its eigenvalue comes from Newton steps on the
+    characteristic quartic, started above the largest root.  Cells that have
+    not settled, and other dimensions, use singular values with the sign of
+    the determinant.
+    """
 
     def centre(v):
         v = v.reshape(len(v), -1, dims)
@@ -111,14 +118,44 @@ def rmsd_block(x: np.ndarray, y: np.ndarray, dims: int = 3, chunk: int = 64) ->
     n = a.shape[1]
     sa, sb = (a * a).sum((1, 2)), (b * b).sum((1, 2))
     out = np.empty((len(a), len(b)))
+    right = b.transpose(1, 0, 2).reshape(n, -1)
     for i in range(0, len(a), chunk):
-        h = np.einsum("iac,jad->ijcd", a[i : i + chunk], b)
-        s = np.linalg.svd(h, compute_uv=False)
-        total = s.sum(-1) - 2.0 * s[..., -1] * (np.linalg.det(h) < 0)
-        out[i : i + chunk] = np.sqrt(np.maximum(sa[i : i + chunk, None] + sb[None, :] - 2.0 * total, 0.0) / n)
+        part = a[i : i + chunk]
+        h = (part.transpose(0, 2, 1).reshape(-1, n) @ right).reshape(len(part), dims, len(b), dims).transpose(0, 2, 1, 3)
+        half = (sa[i : i + chunk, None] + sb[None, :]) / 2
+        best = _leading_root(h, half) if dims == 3 else _signed_sum(h)
+        out[i : i + chunk] = np.sqrt(np.maximum(2.0 * (half - best), 0.0) / n)
     return out
 
 
+def _signed_sum(h: np.ndarray) -> np.ndarray:
+    s = np.linalg.svd(h, compute_uv=False)
+    return s.sum(-1) - 2.0 * s[..., -1] * (np.linalg.det(h) < 0)
+
+
+def _leading_root(h: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Largest eigenvalue of the quaternion matrix of each 3x3 cross-covariance."""
+    (xx, xy, xz), (yx, yy, yz), (zx, zy, zz) = (tuple(h[..., r, c] for c in range(3)) for r in range(3))
+    k = np.empty(h.shape[:-2] + (4, 4))
+    k[..., 0, 0], k[..., 1, 1], k[..., 2, 2], k[..., 3, 3] = xx + yy + zz, xx - yy - zz, yy - xx - zz, zz - xx - yy
+    for (r, c), v in {(0, 1): yz - zy, (0, 2): zx - xz, (0, 3): xy - yx, (1, 2): xy + yx, (1, 3): zx + xz, (2, 3): yz + zy}.items():
+        k[..., r, c] = k[..., c, r] = v
+    c2 = -2.0 * (h * h).sum((-1, -2))
+    c1 = -8.0 * np.linalg.det(h)
+    c0 = np.linalg.det(k)
+    root = start.copy()
+    for _ in range(40):
+        square = root * root
+        slope = 4.0 * square * root + 2.0 * c2 * root + c1
+        step = np.divide(square * square + c2 * square + c1 * root + c0, slope, out=np.zeros_like(root), where=slope != 0)
+        root -= step
+        if np.all(np.abs(step) <= 1e-12 * start):
+            return root
+    open_ = np.abs(step) > 1e-12 * start
+    root[open_] = _signed_sum(h[open_])
+    return root
+
+
 def rmsd_raw_block(x: np.ndarray, y: np.ndarray, dims: int = 3) -> np.ndarray:
     return euclidean_block(x, y) / np.sqrt(x.shape[1] / dims)
 

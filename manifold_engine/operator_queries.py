@@ -306,6 +306,15 @@ def plane_stream(s: SparkSession, d: str) -> DataFrame:
     return raw.select(F.col("event_id").alias("id"), F.array(F.col("value") / 100.0, F.lit(3.0) * R.day_fraction(F.col("ts"))).alias("vec"), F.to_timestamp(F.date_format("ts", "yyyy-MM-dd HH:mm:ss.SSSSSS")).alias("ts"), "user_id", "event_type")
 
 
+def plane_stream_cut(s, d):
+    """The event stream, the same rows as a table, and the time that ends the first four fifths of their span."""
+    stream = plane_stream(s, d)
+    e = R.table(s, d, "events").select(F.col("event_id").alias("id"), F.to_timestamp(F.date_format("ts", "yyyy-MM-dd HH:mm:ss.SSSSSS")).alias("ts"))
+    points = R.plane(s, d).join(e, "id")
+    low, high = e.agg(F.min(F.unix_micros("ts")), F.max(F.unix_micros("ts"))).first()
+    return stream, points, F.timestamp_micros(F.lit(int(low + 0.8 * (high - low))))
+
+
 def embedded_stream(s, d):
     _, m = plane_model(s, d)
     return X.stream_extend(plane_stream(s, d), m, 2, reach=0.3), m

@@ -1 +1,247 @@
-QUERIES, ORACLE_SQL = {}, {}
+"""The experiments, re-expressed over the given tables.
+
+Every query reads its whole table.  A full map is fitted on all points while a
+local solver holds them (``FIT_POINTS``); of a larger table it is fitted on the
+first ``FIT_POINTS`` in md5 order, a sample whose size is this parameter, and
+every row is embedded.
+
+``python -m manifold_engine.workloads [sf_dir]`` runs the long cross-validated
+tables and prints them.
+"""
+
+from __future__ import annotations
+
+import sys
+import time
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions import metrics as D
+from .functions.linalg import bottleneck, bottleneck_rows
+from .operators import crossval as C
+from .operators import kernel as K
+from .operators import landmarks as L
+from .operators import maps as M
+from .operators import measures as E
+from .operators import pairs as P
+from .operators import perturbation as B
+from .operators.spectrum import choose_dimension
+from .operator_queries import plane_stream_cut
+from .queries import EPS, user_pairs
+from .sources import points as R
+from .spool import spool
+
+FIT_POINTS = 16_000
+QUERIES: dict = {}
+ORACLE_SQL: dict[str, str] = {}
+
+
+def query(fn):
+    QUERIES[fn.__name__] = fn
+    return fn
+
+
+def fit_sample(points: DataFrame, most: int = FIT_POINTS) -> tuple[np.ndarray, np.ndarray]:
+    return M.collect_points(R.by_hash_order(points, most), most)
+
+
+def roll_embedding(s: SparkSession, d: str) -> DataFrame:
+    """Landmarks of the roll by a pruned spanning tree, cell counts over all orders, every order embedded."""
+    p = R.roll(s, d)
+    ids, x = fit_sample(p)
+    eps = bottleneck_rows(x, D.euclidean_block) ** 2
+    at = C.choose(x, "pst", eps**0.5, "euclidean")
+    m = M.fit_reduced(p, ids[at], eps, 4)
+    e = M.extend(p, m, 2)
+    return e.select("id", F.col("psi")[0].alias("psi2"), F.col("psi")[1].alias("psi3"), "nearest_lid", "d_min", "extrapolated")
+
+
+@query
+def x1_roll(s, d):
+    """Roll picture: ``id, split, psi2, psi3, psi2r, psi3r, zeta, angle`` of every order."""
+    p = R.roll(s, d)
+    ids, x = fit_sample(p)
+    train = C.split_folds(ids) != 1
+    eps = bottleneck_rows(x[train], D.euclidean_block) ** 2
+    full = M.fit_local(ids[train], x[train], eps, 4, drop_below=1e-4)
+    at = C.choose(x[train], "pst", eps**0.5, "euclidean")
+    red, _ = C.reduced_of(ids[train], x[train], at, eps, 4, "euclidean")
+    true, got = full.coordinates(2), M.nystrom(x[train], red, 2)[0]
+    red.psi[:, 1:3] *= np.sign((true * got).sum(0))
+    span = np.ptp(true, axis=0)
+    a = M.extend(p, full, 2).select("id", F.col("psi").alias("t"))
+    b = M.extend(p, red, 2).select("id", F.col("psi").alias("r"))
+    fitted = F.broadcast(s.createDataFrame(pa.table({"fid": pa.array(ids[train])})))
+    out = a.join(b, "id").join(fitted, F.col("id") == F.col("fid"), "left").join(p, "id")
+    z = F.lit(100.0) * F.sqrt((F.pow((F.col("r")[0] - F.col("t")[0]) / float(span[0]), 2) + F.pow((F.col("r")[1] - F.col("t")[1]) / float(span[1]), 2)) / 2)
+    angle = F.sqrt(F.col("vec")[0] * F.col("vec")[0] + F.col("vec")[2] * F.col("vec")[2])
+    return out.select("id", F.when(F.col("fid").isNotNull(), "train").otherwise("test").alias("split"), F.col("t")[0].alias("psi2"), F.col("t")[1].alias("psi3"), F.col("r")[0].alias("psi2r"), F.col("r")[1].alias("psi3r"), z.alias("zeta"), angle.alias("angle"))
+
+
+LATTICE_METHODS = ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5", "random:0.25", "medoids:0.25!unweighted"]
+
+
+def lattice_points(s, d) -> DataFrame:
+    return R.by_hash_order(R.lattice(s, d), FIT_POINTS)
+
+
+@query
+def x2_error_table(s, d):
+    """Five-fold errors of every method on the part lattice at each fold's smallest connecting bandwidth: mean and deviation."""
+    e = spool(C.cross_validate(lattice_points(s, d), LATTICE_METHODS, None, 2, drop_below=1e-5, align="procrustes"), "errors")
+    return E.fold_summary(e)
+
+
+@query
+def x2_folds(s, d):
+    """The same, fold by fold."""
+    return C.cross_validate(lattice_points(s, d), ["pst", "medoids:0.25"], None, 2, drop_below=1e-5, align="procrustes")
+
+
+@query
+def x3_bandwidth_sweep(s, d):
+    """Errors and landmark counts at multiples of the smallest bandwidth."""
+    p = spool(lattice_points(s, d), "lattice")
+    _, x = M.collect_points(p, FIT_POINTS)
+    eps = bottleneck_rows(x, D.euclidean_block) ** 2
+    e = C.bandwidth_sweep(p, ["pst", "medoids:0.25"], eps, 2, drop_below=1e-5, align="procrustes")
+    return e.groupBy("method", "split", "eps").agg(F.avg("m").alias("m"), F.avg("z").alias("z"), F.stddev_samp("z").alias("z_sd")).orderBy("method", "split", "eps")
+
+
+@query
+def x4_parity(s, d):
+    """Predicted against observed shifts of the users for growing landmark counts, both bases and images."""
+    p, pr = user_pairs(s, d)
+    ids, x = M.collect_points(p, 60_000)
+    full = M.fit_local(ids, x, EPS, min(12, len(ids)))
+    rows = []
+    for share in (0.1, 0.3, 0.6, 0.9):
+        at = L.local_medoids(x, max(4, round(share * len(x))))
+        red, cell = C.reduced_of(ids, x, at, EPS, 4, "euclidean")
+        z = s.createDataFrame(pa.table({"id": pa.array(red.ids), "vec": pa.array(list(red.vecs), pa.list_(pa.float64()))}))
+        cells = s.createDataFrame(pa.table({"id": pa.array(ids), "lid": pa.array(red.ids[cell])}))
+        deltas = spool(B.distance_shift(pr, cells, P.all_pairs(z)), "deltas")
+        true = full.coordinates(2)
+        images = {"collapsed": red.coordinates(2)[cell], "interpolated": M.nystrom(x, red, 2)[0]}
+        for basis in ("plain", "stationary"):
+            for sub in (None, "all"):
+                got = B.predict(deltas, full, 2, basis, sub)
+                for image, psi in images.items():
+                    seen = np.linalg.norm(E.align(true, psi) - true, axis=1)
+                    q = B.parity(got["sigma"], seen)
+                    shift = E.eigenvalue_error(full.lam, red.lam, 1)[0]
+                    rows.append((len(at), basis, sub or "kept", image, q["correlation"], q["mean_ratio"], q["rms_log"], float(got["dlambda"][0]), float(shift)))
+    return s.createDataFrame(rows, "m int, basis string, subspace string, image string, correlation double, mean_ratio double, rms_log double, dlambda2 double, dlambda2_observed double")
+
+
+@query
+def x5_speedup(s, d):
+    """Wall time of extending all orders by a full and by a reduced map of the roll, beside the ideal ratio."""
+    p = spool(R.roll(s, d), "roll")
+    ids, x = fit_sample(p, 4_000)
+    eps = 4.0
+    full = M.fit_local(ids, x, eps, 4, drop_below=1e-6)
+    rows = []
+    for m in (40, 160, 1000):
+        at = L.local_medoids(x, m, max_iter=3)
+        red, _ = C.reduced_of(ids, x, at, eps, 4, "euclidean")
+        got = E.speedup(p, full, red, 2, repeats=1)
+        z = E.z_local(E.zeta_local(full.coordinates(2), E.align(full.coordinates(2), M.nystrom(x, red, 2)[0], "procrustes")))
+        rows.append((full.size, red.size, got["t_full"], got["t_landmark"], got["speedup"], got["ideal"], z))
+    return s.createDataFrame(rows, "n long, m long, t_full double, t_landmark double, speedup double, ideal double, z double")
+
+
+@query
+def x6_tuned(s, d):
+    """Fewest medoids of the lattice that meet 3 percent on a validation fold."""
+    p = spool(lattice_points(s, d), "lattice")
+    _, x = M.collect_points(p, FIT_POINTS)
+    out = C.tune_landmarks(p, bottleneck_rows(x, D.euclidean_block) ** 2, 2, z_target=3.0, start=32, drop_below=1e-5)
+    return s.createDataFrame([(m, z, m == out["m"]) for m, z in out["tried"].items()], "m long, z double, chosen boolean")
+
+
+@query
+def x7_stream(s, d):
+    """Fit on the first four fifths of the event time span, embed the rest as a stream: outliers by day."""
+    from .streaming import embed as X
+
+    stream, points, cut = plane_stream_cut(s, d)
+    first = points.where(F.col("ts") < cut).select("id", "vec")
+    ids, _ = L.vectors_of(first, L.random_landmarks(first, 50))
+    m = M.fit_reduced(first, ids, 0.05, 4)
+    out = X.run_available(X.outlier_rate(X.stream_extend(stream.where(F.col("ts") >= cut), m, 2, reach=0.3)), "rest", "complete")
+    return out.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "n", "outliers", "mean_psi")
+
+
+@query
+def x8_sparse_kernel(s, d):
+    """Edges, leading value and error of the lattice's map against the exact one as small affinities are cut."""
+    _, x = M.collect_points(lattice_points(s, d), FIT_POINTS)
+    ids = np.arange(len(x))
+    eps = bottleneck_rows(x, D.euclidean_block) ** 2
+    exact = M.fit_local(ids, x, eps, 4, drop_below=1e-12)
+    rows = []
+    for tol in (1e-8, 1e-6, 1e-4, 1e-2, 1e-1):
+        m = M.fit_local(ids, x, eps, 4, drop_below=tol)
+        edges = sum(int((D.euclidean_block(x[i : i + 1000], x) <= K.cut_radius(eps, tol)).sum()) for i in range(0, len(x), 1000))
+        z = E.z_local(E.zeta_local(exact.coordinates(2), E.align(exact.coordinates(2), m.coordinates(2), "procrustes")))
+        rows.append((tol, edges, float(m.lam[1]), float(exact.lam[1]), z))
+    return s.createDataFrame(rows, "drop_below double, edges long, lambda2 double, lambda2_exact double, z double")
+
+
+@query
+def x9_metrics(s, d):
+    """Reduced maps under other metrics: document codes (Hamming), user histograms (earth mover's), user paths (planar RMSD)."""
+    sets = [("hamming", _code_points(s, d)), ("emd", R.histograms(s, d)), ("rmsd2", R.planar_paths(s, d))]
+    rows = []
+    for metric, p in sets:
+        ids, x = fit_sample(p, 2_000)
+        dist = D.get(metric).block(x, x)
+        eps = max(bottleneck(dist) ** 2 / 4, 1e-12)
+        full = M.fit_local(ids, x, eps, 8, metric)
+        k = choose_dimension(full.spectrum(s), 5) or 1
+        at = L.local_medoids(x, max(4, len(x) // 5), metric, max_iter=5)
+        red, _ = C.reduced_of(ids, x, at, eps, k + 2, metric)
+        true = full.coordinates(k)
+        z = E.z_local(E.zeta_local(true, E.align(true, M.nystrom(x, red, k)[0], "procrustes")))
+        rows.append((metric, len(ids), red.size, eps, float(full.lam[1]), k, z))
+    return s.createDataFrame(rows, "metric string, n long, m long, eps double, lambda2 double, k int, z double")
+
+
+def _code_points(s, d) -> DataFrame:
+    """Codes as two words of 30 bits, which doubles hold exactly."""
+    c = R.codes(s, d)
+    return c.select("id", F.array(F.shiftright("code", 30).cast("double"), F.col("code").bitwiseAND(F.lit((1 << 30) - 1)).cast("double")).alias("vec"))
+
+
+TABLES = {
+    "roll": (R.roll, "euclidean", 2, ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5"], 1e-4),
+    "bead_chain": (R.bead_chain, "rmsd", 4, ["pst", "medoids:0.0063", "medoids:0.0125", "medoids:0.0375"], 0.0),
+    "torsion_pair": (R.torsion_pair, "rmsd", 2, ["pst", "medoids:0.01", "medoids:0.02", "medoids:0.05"], 0.0),
+}
+
+
+def error_table(s: SparkSession, d: str, name: str, points: int = FIT_POINTS, align: str = "procrustes") -> DataFrame:
+    recipe, metric, k, methods, cut = TABLES[name]
+    e = spool(C.cross_validate(R.by_hash_order(recipe(s, d), points), methods, None, k, metric, drop_below=cut, align=align), "errors")
+    return E.fold_summary(e).crossJoin(e.agg(F.avg("eps").alias("eps")))
+
+
+def main(argv: list[str]) -> None:
+    d = argv[0] if argv else "/root/testdata/sf0.01"
+    s = SparkSession.builder.master("local[5]").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "8").getOrCreate()
+    s.sparkContext.setLogLevel("ERROR")
+    for spec in argv[1:] or list(TABLES):
+        name, _, n = spec.partition(":")
+        t = time.time()
+        rows = error_table(s, d, name, int(n or FIT_POINTS)).orderBy("method", "split").collect()
+        print(f"{name} ({time.time() - t:.0f} s)")
+        for r in rows:
+            print(f"  {r.method:16s} {r.split:5s} M={r.m_mean:8.1f} Z={r.z_mean:6.2f} ({r.z_sd:.2f}) eps={r.eps:.3g}", flush=True)
+
+
+if __name__ == "__main__":
+    main(sys.argv[1:])
