@@ -769,7 +769,7 @@ def ideal_speedup(s, d):
     return s.createDataFrame([(n, PLANE_M, round(E.ideal_speedup(n, PLANE_M), 6))], "n long, m long, ideal double")
 
 
-@query(f"with {F_SQL} select (select count(*) from f where fold = 1) * (select count(*) from f where fold <> 1) as full_evaluations, (select count(*) from f where fold = 1) * {LANDMARKS} as reduced_evaluations")
+@query(f"with {F_SQL} select (select count(*) from f where fold = 1) * (select count(*) from f where fold <> 1) as full_evaluations, (select count(*) from f where fold = 1) * least({LANDMARKS}, (select count(*) from f where fold <> 1)) as reduced_evaluations")
 def distance_count(s, d):
     """Metric calls of extending the test users, counted from an observed run."""
     train, test = user_split(s, d)
