@@ -15,7 +15,6 @@ from __future__ import annotations
 import hashlib
 import heapq
 import json
-from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -74,93 +73,100 @@ class Vocabulary:
 class Encoder:
     """Encodes texts; keeps the ids of pre-tokens already met, up to ``memory`` of them."""
 
-    def __init__(self, vocabulary: Vocabulary, memory: int = 600_000):
+    def __init__(self, vocabulary: Vocabulary, memory: int = 1_000_000):
         self.v = vocabulary
         self.memory = memory
-        self.known: dict[str, tuple[int, ...]] = {}
+        self.known: dict[str, bytes] = {}  # ids as little-endian 32-bit integers
         self.split = regex.compile(PATTERN).findall
         names = sorted(vocabulary.special, key=len, reverse=True)
         self.special = regex.compile("(" + "|".join(map(regex.escape, names)) + ")") if names else None
+        self.wall = max(vocabulary.bytes_of) + 1  # stands between pre-tokens; no pair has it
+        self.base = self.wall + 1
+        self.rank = {a * self.base + b: r for (a, b), r in vocabulary.rank.items()}
+        self.start = np.array([*vocabulary.start, self.wall], np.int64)
+        self.first = np.full((257, 257), -1, np.int64)  # ranks of byte pairs
+        byte_of = {t: i for i, t in enumerate(vocabulary.start)}
+        for (left, right), r in vocabulary.rank.items():
+            if left in byte_of and right in byte_of:
+                self.first[byte_of[left], byte_of[right]] = r
 
     def learn(self, words: list[str]) -> None:
         """Merge distinct new pre-tokens together, through one pair occurrence index."""
-        v, start = self.v, self.v.start
         raw = [w.encode() for w in words]
-        sym: list[int] = []
-        ends = []
-        for b in raw:
-            sym.extend([start[x] for x in b])
-            sym.append(-1)  # a wall no pair crosses
-            ends.append(len(sym))
-        n = len(sym)
+        lengths = np.array([len(b) for b in raw])
+        ends = np.cumsum(lengths + 1)  # one past each wall
+        n = int(ends[-1])
+        row = np.full(n, 256)
+        row[np.arange(int(lengths.sum())) + np.repeat(np.arange(len(raw)), lengths)] = np.frombuffer(b"".join(raw), np.uint8)
+        ranks = self.first[row[:-1], row[1:]]
+        at = np.flatnonzero(ranks >= 0)
+        at = at[np.argsort(ranks[at], kind="stable")]
+        heap, first = np.unique(ranks[at], return_index=True)
+        index = {r: places.tolist() for r, places in zip(heap.tolist(), np.split(at, first[1:]))} if len(at) else {}
+        heap = list(index)  # ascending, so a heap
+        sym = self.start[row].tolist()
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        index: dict[int, list[int]] = defaultdict(list)
-        rank, pairs, made = v.rank, v.pairs, v.made
-        get = rank.get
-        for i, pair in enumerate(zip(sym, sym[1:])):
-            if (r := get(pair)) is not None:
-                index[r].append(i)
-        heap = list(index)
-        heapq.heapify(heap)
+        get, base, pairs, made = self.rank.get, self.base, self.v.pairs, self.v.made
+        push, pop = heapq.heappush, heapq.heappop
         while heap:
-            r = heapq.heappop(heap)
+            r = pop(heap)
             places = index.pop(r)
             left, right = pairs[r]
             new = made[r]
-            places.sort()
+            ahead = new * base
+            if left == right:
+                places.sort()  # only such places can overlap
             for i in places:
                 if sym[i] != left:
                     continue
                 j = after[i]
-                if j >= n or sym[j] != right:
+                if sym[j] != right:
                     continue
                 k = after[j]
-                sym[i], sym[j] = new, -2
+                sym[i], sym[j] = new, -1
                 after[i] = k
-                if k < n:
-                    before[k] = i
-                    if (q := get((new, sym[k]))) is not None:
-                        if q not in index:
-                            heapq.heappush(heap, q)
+                before[k] = i
+                q = get(ahead + sym[k])
+                if q is not None:
+                    if q in index:
                         index[q].append(i)
+                    else:
+                        index[q] = [i]
+                        push(heap, q)
                 h = before[i]
-                if h >= 0 and (q := get((sym[h], new))) is not None:
-                    if q not in index:
-                        heapq.heappush(heap, q)
-                    index[q].append(h)
-        at = 0
-        known = self.known
-        for w, e in zip(words, ends):
-            known[w] = tuple([s for s in sym[at : e - 1] if s >= 0])
-            at = e
-
-    def encode_batch(self, texts: list[str]) -> list[np.ndarray]:
+                if h >= 0:
+                    q = get(sym[h] * base + new)
+                    if q is not None:
+                        if q in index:
+                            index[q].append(h)
+                        else:
+                            index[q] = [h]
+                            push(heap, q)
+        out = np.array(sym)
+        live = (out >= 0) & (out != self.wall)
+        past = (np.cumsum(live)[ends - 1] * 4).tolist()
+        ids = out[live].astype("<u4").tobytes()
+        self.known.update(zip(words, [ids[s:e] for s, e in zip([0, *past], past)]))
+
+    def encode_raw(self, texts: list[str]) -> list[bytes]:
+        """Ids of each text as little-endian 32-bit integers."""
         if len(self.known) > self.memory:
             self.known.clear()
-        rows = []
+        special = self.v.special
+        rows: list[list] = []
         for t in texts:
-            row = []
-            for part in self.special.split(t) if self.special else [t]:
-                if part in self.v.special:
-                    row.append(self.v.special[part])
-                elif part:
-                    row.append(self.split(part))
-            rows.append(row)
-        known = self.known
-        fresh = {w for row in rows for part in row if type(part) is list for w in part if w not in known}
+            if self.special and any(x in t for x in special):
+                rows.append([special[part] if part in special else self.split(part) for part in self.special.split(t) if part])
+            else:
+                rows.append([self.split(t)])
+        fresh = set().union(*[part for row in rows for part in row if type(part) is list]).difference(self.known)
         if fresh:
             self.learn(list(fresh))
-        out = []
-        for row in rows:
-            ids: list[int] = []
-            for part in row:
-                if type(part) is int:
-                    ids.append(part)
-                else:
-                    for w in part:
-                        ids += known[w]
-            out.append(np.array(ids, np.uint32))
-        return out
+        find = self.known.__getitem__
+        return [b"".join([part.to_bytes(4, "little") if type(part) is int else b"".join(map(find, part)) for part in row]) for row in rows]
+
+    def encode_batch(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.frombuffer(b, "<u4") for b in self.encode_raw(texts)]
 
 
 class Decoder:
