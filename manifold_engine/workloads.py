@@ -30,7 +30,6 @@ from .operators import pairs as P
 from .operators import perturbation as B
 from .operators.spectrum import choose_dimension
 from .operator_queries import plane_stream_cut
-from .queries import EPS, user_pairs
 from .sources import points as R
 from .spool import spool
 
@@ -113,17 +112,24 @@ def x3_bandwidth_sweep(s, d):
 
 @query
 def x4_parity(s, d):
-    """Predicted against observed shifts of the users for growing landmark counts, both bases and images."""
-    p, pr = user_pairs(s, d)
-    ids, x = M.collect_points(p, 60_000)
-    full = M.fit_local(ids, x, EPS, min(12, len(ids)))
+    """Predicted against observed shifts of the part lattice for growing landmark counts, both bases and images.
+
+    The lattice is narrowed to half its second axis, so that the two kept modes
+    are not degenerate.
+    """
+    p = spool(lattice_points(s, d).select("id", F.array(F.col("vec")[0], F.col("vec")[1] * 0.5).alias("vec")), "lattice")
+    ids, x = M.collect_points(p, FIT_POINTS)
+    eps = 4.0 * bottleneck_rows(x, D.euclidean_block) ** 2
+    full = M.fit_local(ids, x, eps, min(12, len(ids)), drop_below=1e-6)
+    pr = spool(P.pairs_within(p, K.cut_radius(eps, 1e-6), dims=2), "pairs")
     rows = []
     for share in (0.1, 0.3, 0.6, 0.9):
-        at = L.local_medoids(x, max(4, round(share * len(x))))
-        red, cell = C.reduced_of(ids, x, at, EPS, 4, "euclidean")
+        at = L.local_medoids(x, max(4, round(share * len(x))), max_iter=8)
+        red, cell = C.reduced_of(ids, x, at, eps, 4, "euclidean")
         z = s.createDataFrame(pa.table({"id": pa.array(red.ids), "vec": pa.array(list(red.vecs), pa.list_(pa.float64()))}))
         cells = s.createDataFrame(pa.table({"id": pa.array(ids), "lid": pa.array(red.ids[cell])}))
-        deltas = spool(B.distance_shift(pr, cells, P.all_pairs(z)), "deltas")
+        reach = K.cut_radius(eps, 1e-6) + 2.0 * float(np.linalg.norm(x - red.vecs[cell], axis=1).max())
+        deltas = spool(B.distance_shift(pr, cells, P.pairs_within(z, reach, dims=2)), "deltas")
         true = full.coordinates(2)
         images = {"collapsed": red.coordinates(2)[cell], "interpolated": M.nystrom(x, red, 2)[0]}
         for basis in ("plain", "stationary"):
