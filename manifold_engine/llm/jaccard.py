@@ -110,28 +110,35 @@ class _Group:
         self.flat = np.concatenate(self.sets) if self.sets else np.zeros(0, np.uint64)
 
 
-def _route(h: np.ndarray, buckets: int) -> np.ndarray:
-    return (h >> np.uint64(32)) % np.uint64(buckets)
+LOW = np.uint64(0xFFFFFFFF)
+
+
+def _keys(h: np.ndarray, buckets: int) -> np.ndarray:
+    """Bucket and 32 further bits of a hash: what frequencies are counted by.
+
+    Two n-grams that share a key get the sum of their frequencies everywhere,
+    which can only make a set look better known and keeps the common order;
+    overlaps are always counted on whole hashes.
+    """
+    return ((h >> np.uint64(32)) % np.uint64(buckets) << np.uint64(32)) | (h & LOW)
 
 
 def _ask(n: int, buckets: int):
     def fn(key, docs, rest):
-        h, counts = np.unique(_Group(docs, rest, n).flat, return_counts=True)
-        b = _route(h, buckets)
-        order = np.argsort(b, kind="stable")
-        h, counts, b = h[order], counts[order], b[order].astype(np.int64)
-        values, first = bucket_bounds(b)
+        k, counts = np.unique(_keys(_Group(docs, rest, n).flat, buckets), return_counts=True)
+        values, first = bucket_bounds((k >> np.uint64(32)).astype(np.int64))
+        low = (k & LOW).astype(np.uint32)
         out = []
         for i, j in zip(first, first[1:]):
             more = np.flatnonzero(counts[i:j] > 1).astype(np.uint32)
-            out.append(pack(h[i:j], more, counts[i:j][more].astype(np.uint32)))
+            out.append(pack(low[i:j], more, counts[i:j][more].astype(np.uint32)))
         return routed(values.tolist(), key[0].as_py(), out)
 
     return fn
 
 
 def _frequencies(key, rows):
-    """Document frequency of the hashes that two documents have, to each group that asked."""
+    """Document frequency of the keys that two documents have, to each group that asked."""
     parts = []
     for p in rows.column("payload").to_pylist():
         h, more, times = unpack(p)
@@ -157,12 +164,12 @@ def _frequencies(key, rows):
 CANDIDATES = "doc_id long, size int, known binary, ranks binary, prefix int"
 
 
-def _candidates(n: int, t: Fraction):
+def _candidates(n: int, t: Fraction, buckets: int):
     """Sets that may have a partner: their n-grams known to others, from rare to frequent."""
 
     def fn(key, docs, rest):
         group = _Group(docs, rest, n)
-        told = [unpack(p) for p in rest.column("payload").to_pylist() if p is not None]
+        told = [(np.uint64(b << 32) | k, f) for b, p in zip(rest.column("bucket").to_pylist(), rest.column("payload").to_pylist()) if p is not None for k, f in [unpack(p)]]
         rows = {"doc_id": [], "size": [], "known": [], "ranks": [], "prefix": []}
         if told and len(group.flat):
             h, df = (np.concatenate(x) for x in zip(*told))
@@ -171,8 +178,9 @@ def _candidates(n: int, t: Fraction):
             for d, s in zip(group.ids.tolist(), group.sets):
                 low = t * len(s)
                 least = -(-low.numerator // low.denominator)
-                at = np.minimum(np.searchsorted(h, s), len(h) - 1)
-                seen = h[at] == s
+                k = _keys(s, buckets)
+                at = np.minimum(np.searchsorted(h, k), len(h) - 1)
+                seen = h[at] == k
                 own = s[seen]
                 if len(own) < max(1, least):
                     continue
@@ -324,7 +332,7 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
 
     asked = beside(None).applyInArrow(_ask(n, buckets), ROUTED)
     told = asked.groupBy("bucket").applyInArrow(_frequencies, REPLY)
-    cand = spool(beside(told).applyInArrow(_candidates(n, t), CANDIDATES), "candidates")
+    cand = spool(beside(told).applyInArrow(_candidates(n, t, buckets), CANDIDATES), "candidates")
 
     # light sets, with the boundary by cost
     small = cand.where(F.col("size") <= LARGEST_LIGHT)
