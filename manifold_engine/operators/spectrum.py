@@ -35,15 +35,16 @@ def symmetrised(edges: DataFrame, deg: DataFrame) -> DataFrame:
     return edges.join(left, "i").join(right, "j").select("i", "j", (F.col("a") / F.sqrt(F.col("di") * F.col("dj"))).alias("a"))
 
 
-def distributed_modes(edges: DataFrame, deg: DataFrame, modes: int, rounds: int = 200, tol: float = 1e-7, seed: int = 0, extra: int = 4) -> tuple[np.ndarray, DataFrame]:
+def distributed_modes(edges: DataFrame, deg: DataFrame, modes: int, rounds: int = 200, tol: float = 1e-7, seed: int = 0, extra: int = 4, shift: float = 0.1) -> tuple[np.ndarray, DataFrame]:
     """Block subspace iteration: a product is one join and one sum of ``modes + extra`` columns; only small Gram matrices reach the driver.
 
-    The shifted matrix ``(S + I)/2`` keeps the order of the eigenvalues and
-    makes all of them non-negative.  Returns the values and ``i, psi``.
+    The matrix is shifted by ``shift``: enough for kernels whose eigenvalues are
+    not below ``-shift`` (Gaussians of Euclidean distances have none below 0;
+    take 1 for any other metric).  Returns the values and ``i, psi``.
     """
     s = spool(K.both_ways(symmetrised(edges, deg)), "conjugate")
     width = modes + extra
-    x = deg.select("i", F.array(F.sqrt("deg"), *[F.rand(seed + c) - 0.5 for c in range(1, width)]).alias("x"))
+    x = deg.select("i", F.array(F.sqrt("deg"), *[F.pmod(F.xxhash64(F.lit(seed), F.lit(c), "i"), F.lit(1 << 20)) / float(1 << 20) - 0.5 for c in range(1, width)]).alias("x"))
     x = spool(x, "block")
     values = np.zeros(modes)
 
@@ -57,7 +58,7 @@ def distributed_modes(edges: DataFrame, deg: DataFrame, modes: int, rounds: int
     for n in range(rounds):
         moved = s.join(x.withColumnRenamed("i", "j"), "j").groupBy("i").agg(*[F.sum(F.col("a") * F.col("x")[c]).alias(f"y{c}") for c in range(width)])
         both = spool(moved.select("i", F.array(*[f"y{c}" for c in range(width)]).alias("y")).join(x, "i"), "block")
-        both = both.withColumn("z", F.zip_with("x", "y", lambda p, q: (p + q) / 2))
+        both = both.withColumn("z", F.zip_with("x", "y", lambda p, q: (shift * p + q) / (1.0 + shift)))
         g = gram(both, "z", "z")
         root = np.linalg.inv(np.linalg.cholesky(g).T)
         x = spool(turn(both, "z", root), "block")
