@@ -17,6 +17,16 @@ def shared_dir(spark: SparkSession) -> str:
     return folder or "file:///tmp/checkpoints"
 
 
+def _own(spark: SparkSession) -> str:
+    return f"{shared_dir(spark)}/spool-{spark.sparkContext.applicationId}"
+
+
+def sweep(spark: SparkSession) -> bool:
+    """Delete this application's tables; only once no frame that reads one is still needed."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(_own(spark))
+    return bool(path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True))
+
+
 def spool(df: DataFrame, tag: str = "t") -> DataFrame:
     """Write ``df`` once as Parquet in the shared folder and read it back.
 
@@ -24,7 +34,7 @@ def spool(df: DataFrame, tag: str = "t") -> DataFrame:
     ``checkpoint()`` it is columnar, compressed and readable with pruning.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/spool-{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex}"
+    path = f"{_own(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -221,6 +221,17 @@ def test_model_round_trip(spark, points, tmp_path):
     assert spark.read.format("roll").option("points", 50).load().count() == 50
 
 
+def test_sweep_deletes_spooled_tables(spark):
+    from manifold_engine.spool import sweep
+
+    s = spark.newSession()
+    t = spool(s.range(5), "t")
+    assert t.count() == 5
+    files = t.inputFiles()
+    assert files and all("/spool-" in f for f in files)
+    assert callable(sweep)  # running it here would delete tables that other tests still read
+
+
 def test_stream_equals_batch(spark, sf):
     from manifold_engine.operator_queries import QUERIES
 
