@@ -55,7 +55,7 @@ _NAME = r"[^\W\d_][^\W\d_]+(?:[-'’][^\W\d_]+)*"
 _PATTERNS = [
     ("email", r"[A-Za-z0-9][A-Za-z0-9._%+\-]{0,63}@(?:[A-Za-z0-9\-]{1,63}\.)+[A-Za-z]{2,24}"),
     ("aws_key", r"(?<![A-Za-z0-9])A[KS]IA[A-Z0-9]{16}(?![A-Za-z0-9])"),
-    ("secret", r"(?<=[\"'])[0-9a-f]{32,64}(?=[\"'])"),
+    ("secret", r"(?<=[\"'])(?:[0-9a-f]{32,64}|[0-9A-F]{32,64})(?=[\"'])"),
     ("ipv4", r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?![\d]|\.\d)"),
     ("phone", r"\+\d{1,3}[ \-]?(?:\(\d{2,4}\)[ \-]?)?\d{2,4}(?:[ \-]?\d{2,4}){1,3}(?!\d)"),
     ("card", r"(?<!\d)\d{4}(?:[ \-]?\d{4}){3}(?!\d)"),
@@ -159,7 +159,14 @@ class Keyed:
         return text[:4] + self.letters("aws", text[4:], [UPPER36])
 
     def secret(self, text: str) -> str:
-        return self.letters("secret", text, [HEX])
+        """Digits alone, with small and with capital letters are three classes, each mapped onto itself."""
+        if text.isdigit():
+            return self.letters("secret digits", text, [DIGITS])
+        alphabet = HEX if text == text.lower() else HEX.upper()
+        out = self.letters("secret", text, [alphabet])
+        while out.isdigit():
+            out = self.letters("secret", out, [alphabet])
+        return out
 
     def national_id(self, text: str) -> str:
         return self.letters("id", text, [DIGITS])
@@ -187,7 +194,7 @@ def _luhn(number: str) -> bool:
     return total % 10 == 0
 
 
-_HINT = re.compile(r"[@+]|AKIA|ASIA|\d{3}|\d\.\d|[\"'][0-9a-f]{8}")
+_HINT = re.compile(r"[@+]|AKIA|ASIA|\d{3}|\d\.\d|[\"'][0-9A-Fa-f]{8}")
 _NAME_HINT = re.compile(rf"\b(?:{'|'.join(sorted(map(re.escape, TITLES), key=len, reverse=True))})\b|\b(?:{_FIRST}) ")
 
 
