@@ -43,7 +43,6 @@ from . import grams
 from .arrowmap import append_columns
 from .packing import REPLY, ROUTED, bucket_bounds, contains, pack, routed, run_starts, unpack
 
-DEBUG = False
 LARGEST_LIGHT = 24  # enumeration beyond this size never pays at thresholds up to 0.95
 
 
@@ -385,9 +384,6 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
     y = left.select("tok", F.col("doc_id").alias("w"), F.col("size").alias("ws"), F.col("comp").alias("wc"), F.col("dist").alias("wd"), F.col("after").alias("wa"))
     slack = float(1 - t) + 1e-9
     pairs = x.join(y, "tok").where((F.col("uc") < F.col("wc")) & fits("us", "ws") & meets("us", "ws", "ua", "wa") & (F.col("ud").isNull() | F.col("wd").isNull() | (F.abs(F.col("ud") - F.col("wd")) <= slack)))
-    if DEBUG:
-        print("cand", cand.count(), "first", first.count(), "second", second.count(), "left", left.count(), "pairs", pairs.count(), "distinct", pairs.select("u", "w").distinct().count())
-        print(left.groupBy("tok").count().groupBy("count").count().orderBy(F.desc("count")).limit(15).collect())
     rest = _compare(cand, pairs.select("u", F.col("w").alias("v")).distinct(), t, groups).where("link").select("u", "v")
     comp = spool(components(links.union(rest)), "components")
 
