@@ -9,22 +9,26 @@ nothing.  A document's log-likelihoods under both, by characters, give one
 number; a logistic curve fitted on labelled rows the models have not seen maps
 it to a score.
 
+A class seldom seen in a context leans on the estimate of both classes there,
+so rare sequences count as far as their evidence goes and none is dropped.
+
 Counting covers all labelled training texts: words are summed inside a task,
-then over the table, then cut into sequences.  The model keeps the sequences
-that make up a ``share`` of their order's occurrences, the rest going to the
-backoff mass, so each order has at most ``1 / share`` entries at any corpus
-size; that bound is what lets the model travel with the tasks.  Scoring is
-map-only.
+then over the table, then cut into sequences.  Every counted sequence is in
+the model, which is a table and grows with the corpus.  It meets the windows
+that the documents contain in joins, one order after the other, which gives
+each window its gain.  The most frequent windows travel with the tasks; a
+document's other windows meet their gains in a join, so what travels has a
+bound and what counts has none.
 """
 
 from __future__ import annotations
 
 from collections import Counter
-from math import exp, log
+from math import log
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -33,6 +37,7 @@ from . import grams
 from .arrowmap import append_columns, pieces
 
 BEGIN, END = "\x02", "\x03"
+STEPS = float(1 << 24)
 FLOOR_ALPHABET = 1000  # characters a never seen one is thought to be among
 
 
@@ -91,86 +96,92 @@ def count_sequences(labelled: DataFrame, text: str, order: int) -> DataFrame:
     return spool(every.withColumn("k", F.length("g")), "sequences")
 
 
-class KneserNey:
-    """The two models as dictionaries: probability parts of kept sequences, backoff weights of contexts."""
+def _windows(order: int):
+    """The window each character of a word is predicted in: itself and up to ``order - 1`` before it."""
+
+    def fn(batches):
+        for batch in batches:
+            held: Counter = Counter()
+            for w, n in zip(batch.column("word").to_pylist(), batch.column("n").to_pylist()):
+                for g in windows_of(w, order):
+                    held[g] += n
+            yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.string()), pa.array(list(held.values()), pa.int64())], names=["g", "n"])
+
+    return fn
+
+
+def windows_of(word: str, order: int) -> list[str]:
+    s = f"{BEGIN}{word}{END}"
+    return [s[max(0, i + 1 - order) : i + 1] for i in range(1, len(s))]
+
 
-    def __init__(self, order: int, shared: int, entries: dict[str, tuple[float, float]], backoff: dict[str, tuple[float, float]], floor: float):
-        self.order, self.shared, self.entries, self.backoff, self.floor = order, shared, entries, backoff, floor
-        self.memo: dict[str, float] = {}
-        self.words: dict[bytes, float] = {}
+def count_windows(docs: DataFrame, text: str, order: int) -> DataFrame:
+    """``g, n``: every window of the words of ``docs`` and how often it occurs."""
+    words = docs.select(text, F.lit(0).alias("bad")).mapInArrow(_sum_words(text), "word string, c0 long, c1 long").groupBy("word").agg(F.sum("c0").alias("n"))
+    return spool(words.mapInArrow(_windows(order), "g string, n long").groupBy("g").agg(F.sum("n").alias("n")), "windows")
+
+
+class KneserNey:
+    """The two models as tables: probability parts of sequences, backoff weights of contexts, probabilities of characters."""
+
+    def __init__(self, order: int, entries: DataFrame, backoff: DataFrame, chars: DataFrame, floor: float):
+        self.order, self.entries, self.backoff, self.chars, self.floor = order, entries, backoff, chars, floor
+
+    def gains(self, windows: DataFrame) -> DataFrame:
+        """``windows`` (distinct ``g``) with ``v``, the log ratio of the last character of each under the two models."""
+        ends = windows.where("length(g) > 1").select(F.expr("explode(transform(sequence(2, length(g)), k -> substring(g, length(g) - k + 1)))").alias("g")).distinct()
+        ends = ends.withColumn("k", F.length("g")).withColumn("h", F.expr("substring(g, 1, k - 1)"))
+        ends = ends.join(self.entries, "g", "left").join(self.backoff, "h", "left")
+        # an unknown context backs off whole, and so do all longer ones
+        of = [(f"{c}{i}", d) for c, d, n in (("q", 0.0, 3), ("b", 1.0, 3), ("w", 1.0, 2)) for i in range(n)]
+        ends = spool(ends.select("g", "k", *[F.coalesce(c, F.lit(d)).alias(c) for c, d in of]), "ends")
+
+        def step(r: list[Column]) -> list[Column]:
+            p = [F.col(f"q{i}") + F.col(f"b{i}") * r[i] for i in range(3)]
+            return [(F.col(f"w{i}") * p[i] + (1 - F.col(f"w{i}")) * F.when(F.col("w0") * F.col("w1") > 0, p[2]).otherwise(r[i])).alias(f"p{i}") for i in (0, 1)] + [p[2].alias("p2")]
+
+        one = F.coalesce("p", F.lit(self.floor))
+        before = F.broadcast(self.chars.select(F.col("g").alias("s"), "p"))  # as many rows as there are characters
+        level = ends.where("k = 2").join(before, F.expr("substring(g, 2)") == F.col("s"), "left").select("g", *step([one] * 3))
+        level = every = spool(level, "level")
+        for k in range(3, self.order + 1):
+            before = level.toDF("s", "r0", "r1", "r2")
+            level = ends.where(F.col("k") == k).join(before, F.expr("substring(g, 2)") == F.col("s"))
+            level = spool(level.select("g", *step([F.col(f"r{i}") for i in range(3)])), "level")
+            every = every.union(level)
+        return windows.join(every, "g", "left").select(*windows.columns, F.coalesce(F.log("p1") - F.log("p0"), F.lit(0.0)).alias("v"))
 
     def gain(self, window: str) -> float:
-        """Log ratio of the last character of a window under the two models."""
-        p0 = p1 = self.entries.get(window[-1], (self.floor, self.floor))[0]
-        for k in range(2, len(window) + 1):
-            g = window[-k:]
-            b = self.backoff.get(g[:-1])
-            if b is None:
-                break  # longer contexts are unknown too
-            q = self.entries.get(g, (0.0, 0.0))
-            p0, p1 = q[0] + b[0] * p0, q[1] + b[1] * p1
-        return log(p1) - log(p0)
-
-    def word(self, w: bytes) -> float:
-        s = f"{BEGIN}{w.decode()}{END}"
-        total = 0.0
-        memo, n = self.memo, self.order
-        for i in range(1, len(s)):
-            window = s[max(0, i + 1 - n) : i + 1]
-            v = memo.get(window)
-            if v is None:
-                if len(memo) > 1_000_000:
-                    memo.clear()
-                v = memo[window] = self.gain(window)
-            total += v
-        return total
-
-    def text(self, words: list[bytes]) -> float:
-        """Log-likelihood ratio by characters (each word's end counts as one)."""
-        if not words:
-            return 0.0
-        known = self.words
-        if len(known) > 1_000_000:
-            known.clear()
-        total = 0.0
-        for w in words:
-            v = known.get(w)
-            if v is None:
-                v = known[w] = self.word(w)
-            total += v
-        return total / (sum(map(len, words)) + len(words))
+        return self.gains(self.entries.sparkSession.createDataFrame([(window,)], "g string")).first()["v"]
+
 
+def fit_models(counts: DataFrame, order: int, shared_orders: int, prior: float = 0.0, discount: float = 0.75) -> KneserNey | None:
+    """Kneser-Ney models from ``count_sequences``; ``None`` without text in both classes.
 
-def fit_models(counts: DataFrame, order: int, shared_orders: int, share: float, discount: float = 0.75) -> KneserNey | None:
-    """Kneser-Ney models from ``count_sequences``; ``None`` without text in both classes."""
-    total = {r["k"]: (r["n"], r["a"], r["b"]) for r in counts.groupBy("k").agg(F.sum(F.col("c0") + F.col("c1")).alias("n"), F.sum("c0").alias("a"), F.sum("c1").alias("b")).collect()}
-    if not total or not total[1][1] or not total[1][2]:
+    No sequence is left out.  Instead a class's estimate in a context it has
+    ``s`` times weighs ``s / (s + prior)``, and the estimate of both classes
+    together the rest.
+    """
+    a, b = counts.where("k = 1").agg(F.sum("c0"), F.sum("c1")).first()
+    if not a or not b:
         return None
-    limit = F.lit(0.0)
-    for k, (n, _, _) in total.items():
-        limit = F.when(F.col("k") == k, F.lit(share * n)).otherwise(limit)
-    kept = (F.col("c0") + F.col("c1")) >= limit
-    # class orders: raw counts; a context's kept and whole mass for each class
-    high = counts.where(F.col("k") > shared_orders)
-    x = [F.when(kept, F.greatest(F.col(c) - discount, F.lit(0.0))).otherwise(0.0) for c in ("c0", "c1")]
-    high = high.select("g", "k", kept.alias("kept"), F.expr("substring(g, 1, length(g) - 1)").alias("h"), "c0", "c1", x[0].alias("x0"), x[1].alias("x1"))
+    head = F.expr("substring(g, 1, length(g) - 1)").alias("h")
+    # class orders: raw counts, of the classes and of both
+    high = counts.where(F.col("k") > shared_orders).select("g", "k", head, "c0", "c1", (F.col("c0") + F.col("c1")).alias("c2"))
     # shared orders: in how many contexts each sequence occurs; a word's begin is one
     longer = counts.where(F.col("k") <= shared_orders + 1)
     follow = longer.where("k > 1").groupBy(F.expr("substring(g, 2)").alias("g")).agg(F.count("*").alias("m"))
-    low = longer.where(F.col("k") <= shared_orders).join(follow, "g", "left").withColumn("m", F.coalesce("m", F.lit(1)).cast("double"))
-    y = F.when(kept, F.greatest(F.col("m") - discount, F.lit(0.0))).otherwise(0.0)
-    low = low.select("g", "k", kept.alias("kept"), F.expr("substring(g, 1, length(g) - 1)").alias("h"), F.col("m").alias("c0"), F.col("m").alias("c1"), y.alias("x0"), y.alias("x1"))
-    both = spool(high.union(low.where("k > 1")), "mass")
-    sums = spool(both.groupBy("h").agg(*[F.sum(c).cast("double").alias(f"s_{c}") for c in ("c0", "c1", "x0", "x1")], F.max("kept").alias("use")), "contexts")
-    # a context no kept sequence follows backs off whole: it needs no entry but its own presence, so drop it
-    used = sums.where("use")
-    parts = both.where("kept").join(used, "h").select("g", (F.col("x0") / F.greatest("s_c0", F.lit(1.0))).alias("q0"), (F.col("x1") / F.greatest("s_c1", F.lit(1.0))).alias("q1"))
-    entries = {r[0]: (r[1], r[2]) for r in parts.collect()}
-    backoff = {r[0]: (1.0 - r[3] / r[1] if r[1] else 1.0, 1.0 - r[4] / r[2] if r[2] else 1.0) for r in used.select("h", "s_c0", "s_c1", "s_x0", "s_x1").collect()}
-    ones = low.where("k = 1").select("g", "kept", "c0").where("kept").collect()
-    mass = sum(r[2] for r in ones) + 0.5 * FLOOR_ALPHABET
-    entries |= {r[0]: ((r[2] + 0.5) / mass,) * 2 for r in ones}
-    return KneserNey(order, shared_orders, entries, backoff, 0.5 / mass)
+    low = longer.where(F.col("k") <= shared_orders).join(follow, "g", "left").withColumn("m", F.coalesce("m", F.lit(1)))
+    both = spool(high.union(low.where("k > 1").select("g", "k", head, "m", "m", "m")), "mass")
+    x = [F.greatest(F.col(f"c{i}") - discount, F.lit(0.0)) for i in range(3)]
+    sums = both.groupBy("h").agg(*[F.sum(f"c{i}").cast("double").alias(f"s{i}") for i in range(3)], *[F.sum(x[i]).alias(f"t{i}") for i in range(3)])
+    sums = spool(sums, "contexts")
+    parts = both.join(sums, "h").select("g", *[(x[i] / F.greatest(F.col(f"s{i}"), F.lit(1.0))).alias(f"q{i}") for i in range(3)])
+    back = [F.when(F.col(f"s{i}") > 0, 1.0 - F.col(f"t{i}") / F.col(f"s{i}")).otherwise(1.0).alias(f"b{i}") for i in range(3)]
+    weight = [F.when(F.col(f"s{i}") + prior > 0, F.col(f"s{i}") / (F.col(f"s{i}") + prior)).otherwise(1.0).alias(f"w{i}") for i in (0, 1)]
+    ones = low.where("k = 1").select("g", F.col("m").cast("double").alias("m"))
+    mass = (ones.agg(F.sum("m")).first()[0] or 0.0) + 0.5 * FLOOR_ALPHABET
+    return KneserNey(order, parts, sums.select("h", *back, *weight), ones.select("g", ((F.col("m") + 0.5) / mass).alias("p")), 0.5 / mass)
 
 
 def platt(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -189,30 +200,96 @@ def platt(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(th[0] / scale), float(th[1])
 
 
-def _ratio(model: KneserNey, text: str):
-    def make():
-        def fn(part):
-            return [pa.array([model.text(w) for w in grams.word_lists(grams.texts_of(part.column(text)), grams.ALNUM)], pa.float64())]
+class Reader:
+    """Log-likelihood ratios of texts from shipped gains; windows that are not shipped are listed."""
 
-        return fn
+    def __init__(self, known: dict[str, float], order: int):
+        self.known, self.order = known, order
+        self.words: dict[bytes, tuple[float, tuple[str, ...]]] = {}
 
-    return make
+    def word(self, w: bytes) -> tuple[float, tuple[str, ...]]:
+        total, open_ = 0.0, []
+        for g in windows_of(w.decode(), self.order):
+            v = self.known.get(g)
+            if v is None:
+                open_.append(g)
+            else:
+                total += v
+        return total, tuple(open_)
+
+    def text(self, words: list[bytes]) -> tuple[float, int, list[str]]:
+        """Sum of the known gains, characters (each word's end counts as one), windows left open."""
+        memo = self.words
+        if len(memo) > 500_000:
+            memo.clear()
+        total, left = 0.0, []
+        for w in words:
+            x = memo.get(w)
+            if x is None:
+                x = memo[w] = self.word(w)
+            total += x[0]
+            if x[1]:
+                left += x[1]
+        return total, sum(map(len, words)) + len(words), left
 
 
-def _scorer(model: KneserNey | None, slope: float, shift: float, text: str):
+def _ratio(known: dict[str, float], order: int, text: str):
     def make():
+        read = Reader(known, order).text
+
         def fn(part):
-            texts = grams.texts_of(part.column(text))
-            if model is None:
-                return [pa.array([1 / (1 + exp(-shift))] * len(texts), pa.float64())]
-            z = [slope * model.text(w) + shift for w in grams.word_lists(texts, grams.ALNUM)]
-            return [pa.array([1 / (1 + exp(-max(-30.0, min(30.0, v)))) for v in z], pa.float64())]
+            got = [read(w) for w in grams.word_lists(grams.texts_of(part.column(text)), grams.ALNUM)]
+            return [pa.array([v / n if n else 0.0 for v, n, _ in got], pa.float64())]
 
         return fn
 
     return make
 
 
+def _parts(known: dict[str, float], order: int):
+    def fn(batches):
+        read = Reader(known, order).text
+        for batch in batches:
+            for part in pieces(batch, "text"):
+                got = [read(w) for w in grams.word_lists(grams.texts_of(part.column("text")), grams.ALNUM)]
+                cols = [pa.array([x[i] for x in got], t) for i, t in enumerate((pa.float64(), pa.int64(), pa.list_(pa.string())))]
+                yield pa.RecordBatch.from_arrays([part.column("a__"), part.column("b__"), *cols], names=["a__", "b__", "v", "n", "open"])
+
+    return fn
+
+
+def ship(gains: DataFrame, most: int) -> tuple[dict[str, float], DataFrame | None]:
+    """Gains of the most frequent windows, at most ``most``, and the table of the others (``None`` if there are none)."""
+    band = F.floor(F.log2("n") * 4)
+    least, held = None, 0
+    sizes = sorted(((r["band"], r["count"]) for r in gains.groupBy(band.alias("band")).count().collect()), reverse=True)
+    for b, n in sizes:
+        if held + n > most:
+            break
+        least, held = b, held + n
+    inside = F.lit(False) if least is None else band >= least
+    known = {r[0]: r[1] for r in gains.where(inside).select("g", "v").collect()}
+    return known, None if held == sum(n for _, n in sizes) else gains.where(~inside).select("g", "v")
+
+
+def with_ratio(docs: DataFrame, text: str, order: int, known: dict[str, float], rest: DataFrame | None) -> DataFrame:
+    """``docs`` with ``ratio__``: log-likelihood ratio of each text by characters, 0 for a text without words.
+
+    Equal texts add up numerator and denominator alike, so a text is known by
+    128 bits of hash and its copies need no distinct().
+    """
+    if rest is None:
+        return append_columns(docs, text, _ratio(known, order, text), [T.StructField("ratio__", T.DoubleType())])
+    a, b = F.xxhash64(text), F.xxhash64(F.lit("toxicity"), text)
+    parts = docs.where(F.col(text).isNotNull()).select(a.alias("a__"), b.alias("b__"), F.col(text).alias("text"))
+    parts = spool(parts.mapInArrow(_parts(known, order), "a__ long, b__ long, v double, n long, open array<string>"), "parts")
+    more = parts.select("a__", "b__", F.explode("open").alias("g")).join(rest, "g").select("a__", "b__", "v", F.lit(0).cast("long").alias("n"))
+    whole = parts.select("a__", "b__", "v", "n").union(more).groupBy("a__", "b__").agg(F.sum("v").alias("v__"), F.sum("n").alias("n__")).where("n__ > 0")
+    whole = whole.select("a__", "b__", (F.col("v__") / F.col("n__")).alias("ratio__"))
+    out = docs.withColumn("x__", a).withColumn("y__", b).join(whole, (F.col("x__") == F.col("a__")) & (F.col("y__") == F.col("b__")), "left")
+    return out.select(*docs.columns, F.coalesce("ratio__", F.lit(0.0)).alias("ratio__"))
+
+
 def score(
     docs: DataFrame,
     labels: DataFrame,
@@ -221,9 +298,10 @@ def score(
     label: str = "toxic",
     order: int = 5,
     shared_orders: int = 2,
-    share: float = 5e-6,
+    prior: float = 32.0,
     threshold: float = 0.3,
     calibration_rows: int = 20_000,
+    shipped: int = 300_000,
 ) -> DataFrame:
     """``docs`` with ``held_out``, ``score`` and ``predicted``.
 
@@ -235,6 +313,8 @@ def score(
     the curve's value at a log ratio of 0.  Without text of both classes the
     score is the share of toxic labels (0.5 without labels).  A null id is not
     held out and has no label.  Columns with the new names are replaced.
+    ``shipped`` says how many windows travel with the tasks, not which count:
+    the scores do not depend on it.
     """
     crc = F.crc32(F.col(doc_id).cast("string"))
     held = F.coalesce(crc % 4 == 2, F.lit(False))
@@ -244,16 +324,21 @@ def score(
     train = docs.where(F.col(text).isNotNull() & (crc % 4 != 2)).select(F.col(doc_id).alias("d__"), F.col(text).alias("text"))
     train = train.join(known.hint("merge"), F.col("d__") == F.col("l__")).select("d__", "text", "bad")
     aside = F.floor(F.crc32(F.col("d__").cast("string")) / 4) % 8 == 0
-    model = fit_models(count_sequences(train.where(~aside), "text", order), order, shared_orders, share)
+    model = fit_models(count_sequences(train.where(~aside), "text", order), order, shared_orders, prior)
     if model is None:
         n, t = known.agg(F.count("*"), F.sum("bad")).first()
         rate = (t + 0.5) / (n + 1) if n else 0.5
         slope, shift = 0.0, log(rate / (1 - rate))
     else:
-        seen = append_columns(train.where(aside).withColumn("r__", F.crc32(F.col("d__").cast("string"))).orderBy("r__", "d__").limit(calibration_rows), "text", _ratio(model, "text"), [T.StructField("ratio", T.DoubleType())], drop=("text",))
-        rows = seen.select("ratio", "bad").collect()
+        gains = model.gains(count_windows(docs.where(F.col(text).isNotNull()), text, order))
+        # gains in steps of 2^-24: their sums are exact in any order
+        known, rest = ship(spool(gains.withColumn("v", F.round(F.col("v") * STEPS) / STEPS), "gains"), shipped)
+        seen = spool(train.where(aside).withColumn("r__", F.crc32(F.col("d__").cast("string"))).orderBy("r__", "d__").limit(calibration_rows).select("text", "bad"), "seen")
+        rows = sorted(with_ratio(seen, "text", order, known, rest).select("ratio__", "bad").collect())
         slope, shift = platt(np.array([r[0] for r in rows]), np.array([float(r[1]) for r in rows]))
     new = ("held_out", "score", "predicted")
     kept = docs.select(*[c for c in docs.columns if c not in new])
-    out = append_columns(kept, text, _scorer(model, slope, shift, text), [T.StructField("score", T.DoubleType())])
+    out = kept.withColumn("ratio__", F.lit(0.0)) if model is None else with_ratio(kept, text, order, known, rest)
+    z = F.greatest(F.lit(-30.0), F.least(F.lit(30.0), F.lit(slope) * F.col("ratio__") + F.lit(shift)))
+    out = out.withColumn("score", 1 / (1 + F.exp(-z))).drop("ratio__")
     return out.withColumn("held_out", held).withColumn("predicted", (F.col("score") >= threshold).cast("int"))

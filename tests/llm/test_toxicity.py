@@ -56,3 +56,23 @@ def test_edges(spark):
     out = X.score(docs.where("doc_id is null or text is null or text = ''").union(more), lab)
     assert all((r.score > 0.5) == ("bad" in (r.text or "")) for r in out.collect())
     assert X.score(docs.limit(0), lab).count() == 0
+
+
+def test_rare_sequences_of_the_small_class_count(spark):
+    """A toxic word of a few documents tells among millions of ordinary ones; no sequence is dropped for being rare."""
+    fine = ("plain words of no harm " * 60_000, 0)
+    rows = spark.createDataFrame([fine] + [("zqxj", 1)] * 3, "text string, bad int")
+    docs = spark.createDataFrame([(i, "fine " * 120_000 if i < 40 else "zqxj" if i < 80 else "words") for i in range(120)], "doc_id long, text string")
+    lab = spark.createDataFrame([(i, int(i >= 40)) for i in range(80)], "doc_id long, toxic int")
+    got = {r.doc_id: r.score for r in X.score(docs, lab).collect()}
+    assert all((got[i] > 0.5) == (40 <= i < 80) for i in range(80))
+    assert got[40] > got[100] + 0.01  # known as toxic, not merely unknown
+    m = X.fit_models(X.count_sequences(rows, "text", 5), 5, 2)
+    assert m.gain("\x02zqxj") > 1 and m.entries.where("g = 'zqxj\x03'").count() == 1
+
+
+def test_scores_do_not_depend_on_what_is_shipped(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    docs = docs.union(docs.limit(20)).union(spark.createDataFrame([(-1, None, "", "", 0)], docs.schema))
+    a, b, c = (sorted((r.doc_id, r.score) for r in X.score(docs, labels, shipped=n).select("doc_id", "score").collect()) for n in (10**9, 1000, 0))
+    assert a == b == c and len(a) == docs.count()
