@@ -474,7 +474,8 @@ def pst_growth_orders(s, d):
         lids = L.local_pst(ids, edges, g)
         rows.append((g, lids))
     for rule in ("min_id", "max_reach"):
-        t = L.prune_leaves(L.tree_in_rounds(L.threshold_graph(pr, RADIUS), int(ids[0]), rule)).toArrow()["lid"].to_numpy()
+        graph = L.threshold_graph(pr, RADIUS)
+        t = L.prune_leaves(L.tree_in_rounds(graph, L.component_roots(p, graph), rule)).toArrow()["lid"].to_numpy()
         rows.append((f"star_rounds/{rule}", np.sort(t)))
     out = []
     for g, lids in rows:

@@ -157,6 +157,15 @@ def test_tree_rounds_and_repair(cloud, points):
     assert L.check_cover(points, more, zz, r).count() == 0 and len(more) > 3
 
 
+def test_tree_rounds_cover_every_component(spark):
+    """An isolated smallest id, a pair, a path and a star: one tree each."""
+    at = {0: (0, 0), 1: (10, 0), 2: (11, 0), 3: (20, 0), 4: (21, 0), 5: (22, 0), 6: (23, 0), 7: (40, 0), 8: (39, 0), 9: (41, 0), 10: (40, 1)}
+    p = spark.createDataFrame([(i, [float(a), float(b)]) for i, (a, b) in at.items()], "id long, vec array<double>")
+    for rule in ("min_id", "max_reach"):
+        for root in ("min", "random"):
+            assert sorted(r.lid for r in L.pruned_tree(p, 1.1, "star_rounds", parent_rule=rule, root=root).collect()) == [0, 1, 4, 5, 7]
+
+
 def test_perturbation_matches_matrices(spark, cloud, points):
     ids, x = cloud
     at = L.local_medoids(x, 45)
