@@ -34,14 +34,15 @@ def components(edges: DataFrame, src: str = "u", dst: str = "v", max_rounds: int
     loops = named.where("u = v").select(F.col("u").alias("id"))
     now = spool(named.where("u <> v"), "edges")
     mark = None
-    for _ in range(max_rounds):
+    for _ in range(max_rounds if now.limit(1).count() else 0):
         now = spool(_small_star(_large_star(now)).distinct(), "edges")
         row = now.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long"))).first()
         if (row[0], row[1]) == mark:
             break
         mark = (row[0], row[1])
     else:
-        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+        if mark is not None:
+            raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     leaf = now.select(F.col("u").alias("id"), F.col("v").alias("comp"))
     root = now.select(F.col("v").alias("id"), F.col("v").alias("comp")).distinct()
     alone = loops.select("id", F.col("id").alias("comp"))

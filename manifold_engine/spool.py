@@ -5,16 +5,23 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder every executor can reach: ``spark.checkpoint.dir``.
 
-    Only where that setting is absent (a single-machine session, as in tests)
-    does the engine pick a folder of its own.
+    Only where that setting is absent in a single-process session, as in tests,
+    does the engine pick a folder of its own; on a cluster it refuses, because
+    each executor would write to a disk of its own.
     """
     folder = spark.conf.get("spark.checkpoint.dir", None)
-    return folder or "file:///tmp/checkpoints"
+    if folder:
+        return folder
+    master = spark.sparkContext.master
+    if master == "local" or master.startswith("local["):
+        return "file:///tmp/checkpoints"
+    raise RuntimeError(f"set spark.checkpoint.dir to a folder that all executors of {master} share")
 
 
 def _own(spark: SparkSession) -> str:
@@ -49,7 +56,6 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def chunk_count(df: DataFrame, bytes_each: int = 8 << 20, per_partition: int = 2) -> int:
-    """How many hash groups to deal ``df`` into so that one fits in a Python worker."""
-    parts = shuffle_partitions(df.sparkSession)
-    return max(per_partition * parts, min(plan_bytes(df) // bytes_each, 1_000_000))
+def text_bytes(df: DataFrame, column: str) -> int:
+    """Bytes of a text column as they are in memory; one scan of that column."""
+    return df.agg(F.sum(F.octet_length(column))).first()[0] or 0
