@@ -18,10 +18,10 @@ FACTOR = 0x9E3779B97F4A7C15
 
 
 class WordHashes(dict):
-    """Hash of a word, remembered; forgets all when it holds a million words."""
+    """Hash of a word, remembered; forgets all when it holds 250,000 words."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= 1_000_000:
+        if len(self) >= 250_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -34,15 +34,21 @@ def texts_of(column: pa.ChunkedArray | pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.large_binary()).to_pylist()]
 
 
-def word_lists(texts: list[bytes], table: bytes | None = None) -> list[list[bytes]]:
-    return [(t.translate(table) if table else t).split() for t in texts]
+_MEMO = WordHashes()
 
 
-def hash_words(words: list[list[bytes]], memo: WordHashes) -> tuple[np.ndarray, np.ndarray]:
-    """All word hashes in a row, and the ``n + 1`` offsets of the texts in them."""
-    offsets = np.zeros(len(words) + 1, np.int64)
-    np.cumsum([len(w) for w in words], out=offsets[1:])
-    parts = [np.fromiter(map(memo.__getitem__, w), np.uint64, len(w)) for w in words]
+def hash_words(texts: list[bytes], table: bytes | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of all texts in a row, and the ``n + 1`` offsets of the texts in them.
+
+    The words of one text at a time are held; hashes of words are remembered by
+    the process, whatever task it works for.
+    """
+    find, parts = _MEMO.__getitem__, []
+    for t in texts:
+        w = (t.translate(table) if table else t).split()
+        parts.append(np.fromiter(map(find, w), np.uint64, len(w)))
+    offsets = np.zeros(len(parts) + 1, np.int64)
+    np.cumsum([len(p) for p in parts], out=offsets[1:])
     return (np.concatenate(parts) if parts else np.zeros(0, np.uint64)), offsets
 
 

@@ -1,7 +1,7 @@
 """N-gram Jaccard join: a size-aware join with a heavy and a light side.
 
 A document is the set of its distinct word n-grams.  Documents with equal sets
-are one class, represented by the smallest id; only representatives go on.
+are one class; one document of each class speaks for it.
 
 *Light* sets (up to ``boundary`` n-grams) enumerate subsets.  Two sets of sizes
 ``a`` and ``b`` are linked exactly if they share ``c(a, b)`` n-grams, so each
@@ -15,11 +15,13 @@ only the prefix within which any partner must meet them.
 
 Lists can be long where thousands of near copies share an n-gram, so pairs are
 never spelled out.  Round 1 compares every entry with the first document of its
-list; links are contracted to components.  Round 2 compares, list by list, only
-entries of different components that length and distance to the first document
-still allow.  Jaccard distance is a metric, so an entry and a partner whose
-distances to the list's first document differ by more than the threshold's
-distance cannot be linked.
+list; links are contracted to components.  Round 2 does the same with the first
+documents of lists that lead to another component.  Round 3 takes the lists
+that still hold several components: blocks of their entries meet blocks, where
+length, position in the list and a parity sketch of each set (how many bits two
+sketches differ in is never more than how many n-grams the sets differ in)
+leave the few pairs whose sets are then compared.  Entries of a list's largest
+component meet only the others, never each other.
 
 ``boundary`` is chosen by cost: the enumerated subsets of all sets of a size
 against the entries of their lists as measured on the sets near the boundary.
@@ -38,10 +40,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..graph import components
-from ..spool import chunk_count, spool
+from ..spool import spool
 from . import grams
 from .arrowmap import append_columns
-from .packing import REPLY, ROUTED, bucket_bounds, contains, pack, routed, run_starts, unpack
+from .packing import MESSAGE, Layout, address, contains, deliver, lay_out, read, run_starts
 
 LARGEST_LIGHT = 24  # enumeration beyond this size never pays at thresholds up to 0.95
 
@@ -67,9 +69,9 @@ def subset_count(a: int, t: Fraction) -> int:
     return sum(comb(a, need(a, b, t)) for b in partner_sizes(a, t) if need(a, b, t) <= min(a, b))
 
 
-def shingle_sets(texts: list[bytes], n: int, memo: grams.WordHashes) -> list[np.ndarray]:
+def shingle_sets(texts: list[bytes], n: int) -> list[np.ndarray]:
     """Sorted distinct n-gram hashes of each text; a text of fewer words has its whole sequence as one."""
-    a, offsets = grams.hash_words(grams.word_lists(texts, grams.LOWER), memo)
+    a, offsets = grams.hash_words(texts, grams.LOWER)
     whole = grams.windows(a, n)
     out = []
     for i, j in zip(offsets, offsets[1:]):
@@ -82,13 +84,16 @@ def shingle_sets(texts: list[bytes], n: int, memo: grams.WordHashes) -> list[np.
     return out
 
 
+def signature(s: np.ndarray) -> bytes:
+    return xxhash.xxh3_128_digest(s.tobytes())
+
+
 def _signatures(text: str, n: int):
     def make():
-        memo = grams.WordHashes()
-
         def fn(part):
-            sets = shingle_sets(grams.texts_of(part.column(text)), n, memo)
-            return [pa.array([len(s) for s in sets], pa.int64()), pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())]
+            texts = grams.texts_of(part.column(text))
+            sets = shingle_sets(texts, n)
+            return [pa.array([len(s) for s in sets], pa.int64()), pa.array(list(map(signature, sets)), pa.binary()), pa.array(list(map(len, texts)), pa.int64())]
 
         return fn
 
@@ -96,88 +101,81 @@ def _signatures(text: str, n: int):
 
 
 class _Group:
-    """The sets of one group's representatives."""
+    """The sets of one group's representatives, each under the node of its class."""
 
     def __init__(self, docs: pa.Table, rest: pa.Table, n: int):
         ids = grams.ids_of(docs.column("doc_id"))
-        reps = rest.column("rep").drop_null().to_numpy().astype(np.int64)
-        texts = grams.texts_of(docs.column("text"))
-        pick = sorted(np.flatnonzero(np.isin(ids, reps)).tolist(), key=lambda i: (ids[i], texts[i]))
-        pick = [i for i, before in zip(pick, [None, *pick]) if before is None or ids[i] != ids[before]]
-        self.ids = ids[pick]
-        self.sets = shingle_sets([texts[i] for i in pick], n, grams.WordHashes())
+        speaks = {(r, s): v for r, s, v in zip(*(rest.column(c).to_pylist() for c in ("rep", "sig", "node"))) if r is not None}
+        at = np.flatnonzero(np.isin(ids, np.array(sorted({r for r, _ in speaks}), np.int64)))
+        texts = docs.column("text").take(pa.array(at))
+        sets = shingle_sets(grams.texts_of(texts), n)
+        found: dict[int, np.ndarray] = {}
+        for i, s in zip(ids[at].tolist(), sets):
+            if (node := speaks.get((i, signature(s)))) is not None:
+                found[node] = s  # rows that share id and text hold the same set
+        self.nodes, self.sets = list(found), list(found.values())
         self.flat = np.concatenate(self.sets) if self.sets else np.zeros(0, np.uint64)
 
 
 LOW = np.uint64(0xFFFFFFFF)
 
 
-def _keys(h: np.ndarray, buckets: int) -> np.ndarray:
+def _keys(h: np.ndarray, names: np.ndarray) -> np.ndarray:
     """Bucket and 32 further bits of a hash: what frequencies are counted by.
 
     Two n-grams that share a key get the sum of their frequencies everywhere,
     which can only make a set look better known and keeps the common order;
     overlaps are always counted on whole hashes.
     """
-    return ((h >> np.uint64(32)) % np.uint64(buckets) << np.uint64(32)) | (h & LOW)
+    return (names[((h >> np.uint64(32)) % np.uint64(len(names))).astype(np.int64)] << np.uint64(32)) | (h & LOW)
+
 
+def _ask(n: int, plan: Layout):
+    names, per = plan.bucket_names(), plan.per(plan.buckets)
 
-def _ask(n: int, buckets: int):
     def fn(key, docs, rest):
-        k, counts = np.unique(_keys(_Group(docs, rest, n).flat, buckets), return_counts=True)
-        values, first = bucket_bounds((k >> np.uint64(32)).astype(np.int64))
-        low = (k & LOW).astype(np.uint32)
-        out = []
-        for i, j in zip(first, first[1:]):
-            more = np.flatnonzero(counts[i:j] > 1).astype(np.uint32)
-            out.append(pack(low[i:j], more, counts[i:j][more].astype(np.uint32)))
-        return routed(values.tolist(), key[0].as_py(), out)
+        k, counts = np.unique(_keys(_Group(docs, rest, n).flat, names), return_counts=True)
+        small = np.uint8 if not len(counts) or counts.max() < 256 else np.uint32
+        return address(key[0].as_py(), (k >> np.uint64(32)).astype(np.int64), per, [(k & LOW).astype(np.uint32), counts.astype(small)], "g")
 
     return fn
 
 
-def _frequencies(key, rows):
+def _frequencies(per: int):
     """Document frequency of the keys that two documents have, to each group that asked."""
-    parts = []
-    for p in rows.column("payload").to_pylist():
-        h, more, times = unpack(p)
-        c = np.ones(len(h), np.int64)
-        c[more] = times
-        parts.append((h, c))
-    h, c = (np.concatenate(x) for x in zip(*parts))
-    order = np.argsort(h, kind="stable")
-    starts = run_starts(h[order])
-    total = np.empty(len(h), np.int64)
-    total[order] = np.repeat(np.add.reduceat(c[order], starts), np.diff(np.append(starts, len(h))))
-    g, out, at = [], [], 0
-    for i, (own, _) in zip(rows.column("g").to_pylist(), parts):
-        df = total[at : at + len(own)]
-        at += len(own)
-        seen = df > 1
-        if seen.any():
-            g.append(i)
-            out.append(pack(own[seen], df[seen].astype(np.uint32)))
-    return pa.table({"g": pa.array(g, pa.int32()), "bucket": pa.array([key[0].as_py()] * len(g), pa.int32()), "payload": pa.array(out, pa.binary())})
+
+    def fn(key, rows):
+        g, _, (low, times) = read(rows.column("payload"), 2)
+        order = np.argsort(low, kind="stable")
+        starts = run_starts(low[order])
+        total = np.empty(len(low), np.int64)
+        total[order] = np.repeat(np.add.reduceat(times[order].astype(np.int64), starts), np.diff(np.append(starts, len(low))))
+        seen = np.flatnonzero(total > 1)
+        seen = seen[np.argsort(g[seen], kind="stable")]
+        return address(key[0].as_py(), g[seen], per, [low[seen], total[seen].astype(np.uint32)], "b")
+
+    return fn
 
 
 CANDIDATES = "doc_id long, size int, known binary, ranks binary, prefix int"
 
 
-def _candidates(n: int, t: Fraction, buckets: int):
+def _candidates(n: int, t: Fraction, plan: Layout):
     """Sets that may have a partner: their n-grams known to others, from rare to frequent."""
+    names = plan.bucket_names()
 
     def fn(key, docs, rest):
-        group = _Group(docs, rest, n)
-        told = [(np.uint64(b << 32) | k, f) for b, p in zip(rest.column("bucket").to_pylist(), rest.column("payload").to_pylist()) if p is not None for k, f in [unpack(p)]]
+        _, b, (low, df) = read(rest.column("payload"), 2)
         rows = {"doc_id": [], "size": [], "known": [], "ranks": [], "prefix": []}
-        if told and len(group.flat):
-            h, df = (np.concatenate(x) for x in zip(*told))
+        group = _Group(docs, rest, n) if len(low) else None
+        if group is not None and len(group.flat):
+            h = (b.astype(np.uint64) << np.uint64(32)) | low
             order = np.argsort(h)
             h, df = h[order], df[order]
-            for d, s in zip(group.ids.tolist(), group.sets):
-                low = t * len(s)
-                least = -(-low.numerator // low.denominator)
-                k = _keys(s, buckets)
+            for d, s in zip(group.nodes, group.sets):
+                share = t * len(s)
+                least = -(-share.numerator // share.denominator)
+                k = _keys(s, names)
                 at = np.minimum(np.searchsorted(h, k), len(h) - 1)
                 seen = h[at] == k
                 own = s[seen]
@@ -299,69 +297,208 @@ def _prefixes(cand: DataFrame) -> DataFrame:
     return cand.mapInArrow(fn, "tok long, doc_id long, size int, df long, after int")
 
 
-def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float | Fraction = 0.8) -> DataFrame:
+# round 3: blocks of list entries
+
+
+BLOCK = 1024
+
+
+def sketch_bits(size: int) -> int:
+    """Bits of a set's parity sketch: a power of two, four to eight a member."""
+    return max(256, 1 << (4 * size - 1).bit_length())
+
+
+def _sketches(cand: DataFrame) -> DataFrame:
+    """``doc_id, n_known, sketch``: parities of the known n-grams by their lowest hash bits."""
+
+    def fn(batches):
+        for batch in batches:
+            ns, out = [], []
+            for size, known in zip(batch.column("size").to_pylist(), batch.column("known").to_pylist()):
+                h = np.frombuffer(known, np.uint64)
+                bits = sketch_bits(size)
+                odd = np.bincount((h & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+                ns.append(len(h))
+                out.append(np.packbits(odd.astype(np.uint8)).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ns, pa.int32()), pa.array(out, pa.binary())], names=["doc_id", "n_known", "sketch"])
+
+    return cand.mapInArrow(fn, "doc_id long, n_known int, sketch binary")
+
+
+class _Sketches:
+    """The sketches of one batch of entries, folded to a common width where two widths meet."""
+
+    def __init__(self, raw: list[bytes]):
+        self.raw = [np.frombuffer(r, np.uint8) for r in raw]
+        self.bits = np.array([8 * len(r) for r in raw])
+        self.at: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+    def _width(self, w: int) -> tuple[np.ndarray, np.ndarray]:
+        if w not in self.at:
+            use = np.flatnonzero(self.bits >= w)
+            row = np.full(len(self.bits), -1)
+            row[use] = np.arange(len(use))
+            folded = [np.bitwise_xor.reduce(self.raw[i].reshape(-1, w // 8), axis=0) for i in use]
+            self.at[w] = row, np.ascontiguousarray(np.stack(folded)).view(np.uint64)
+        return self.at[w]
+
+    def differ(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """In how many bits the sketches of entries ``x[i]`` and ``y[i]`` differ."""
+        out = np.zeros(len(x), np.int64)
+        common = np.minimum(self.bits[x], self.bits[y])
+        for w in np.unique(common).tolist():
+            row, m = self._width(w)
+            pick = np.flatnonzero(common == w)
+            step = max(1, (1 << 24) // w)
+            for s in range(0, len(pick), step):
+                p = pick[s : s + step]
+                out[p] = np.bitwise_count(m[row[x[p]]] ^ m[row[y[p]]]).sum(1)
+        return out
+
+
+def _meet(t: Fraction, boundary: int):
+    """Pairs of entries of one list, of different components, that length, position and sketch leave."""
+    tn, td = t.numerator, t.denominator
+
+    def fn(rows):
+        tok, p, q, z, b = (rows.column(c).to_numpy() for c in ("tok", "p", "q", "z", "b"))
+        doc, size, comp, after, known = (rows.column(c).to_numpy().astype(np.int64) for c in ("doc_id", "size", "comp", "after", "n_known"))
+        sketches = _Sketches(rows.column("sketch").to_pylist())
+        order = np.lexsort((doc, z, q, p, tok))
+        starts = run_starts(tok[order], p[order], q[order], z[order])
+        us, vs = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for i, j in zip(starts, np.append(starts[1:], len(order))):
+            own = order[i:j]
+            first, second, guests = p[own[0]], q[own[0]], z[own[0]] > 0
+            left = own[b[own] == first]
+            right = own[b[own] == (-1 if guests else second)]
+            for s in range(0, len(left), 128):
+                x, y = left[s : s + 128][:, None], right[None, :]
+                few, many = np.minimum(size[x], size[y]), np.maximum(size[x], size[y])
+                ok = (comp[x] != comp[y]) & (few * td >= many * tn) & (many > boundary)
+                # were this their first common n-gram, what follows it in both would have to do
+                ok &= np.minimum(after[x], after[y]) * (td + tn) >= (few + many) * tn
+                if first == second and not guests:
+                    ok &= doc[x] < doc[y]
+                r, c = np.nonzero(ok)
+                x, y = left[s + r], right[c]
+                shared = (known[x] + known[y] - sketches.differ(x, y)) // 2
+                fine = shared * (td + tn) >= (size[x] + size[y]) * tn
+                us.append(doc[x[fine]])
+                vs.append(doc[y[fine]])
+        u, v = np.concatenate(us), np.concatenate(vs)
+        pairs = np.unique(np.stack([np.minimum(u, v), np.maximum(u, v)], 1), axis=0)
+        return pa.table({"u": pa.array(pairs[:, 0]), "v": pa.array(pairs[:, 1])})
+
+    return fn
+
+
+def _across(lists: DataFrame, comp: DataFrame, cand: DataFrame, t: Fraction, boundary: int, block: int = BLOCK) -> DataFrame:
+    """``u, v``: pairs worth a comparison among entries of one list that are in different components.
+
+    The largest component of a list is cut into portions that visit the blocks
+    of its other entries; these blocks also meet each other.
+    """
+    tagged = spool(lists.select("tok", "doc_id", "size", "after").join(comp.select(F.col("id").alias("doc_id"), "comp"), "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id")), "tagged")
+    shares = tagged.groupBy("tok", F.col("comp").alias("c")).agg(F.count("*").alias("n"))
+    mixed = shares.groupBy("tok").agg(F.max(F.struct("n", "c")).alias("m"), F.sum("n").alias("all")).where("all > m.n and all > 2")
+    mixed = mixed.select("tok", F.col("m.c").alias("main"), F.ceil((F.col("all") - F.col("m.n")) / block).cast("int").alias("k"), F.ceil(F.col("m.n") / (4 * block)).cast("int").alias("visits"))
+    left = spool(tagged.join(spool(mixed, "mixed"), "tok"), "left")
+    sketches = _sketches(cand.join(left.select("doc_id").distinct(), "doc_id", "left_semi"))
+    left = spool(left.join(sketches, "doc_id"), "left")
+
+    def slots(df: DataFrame) -> int:
+        return int((df.agg(F.sum(F.length("sketch") + 64)).first()[0] or 0) >> 22) + 1
+
+    h, zero = F.xxhash64("doc_id"), F.lit(0)
+    others = left.where("comp <> main").withColumn("b", F.pmod(h, "k").cast("int"))
+    home = others.select("*", F.explode(F.sequence(zero, F.col("k") - 1)).alias("o")).select("*", F.least("b", "o").alias("p"), F.greatest("b", "o").alias("q"), zero.alias("z"))
+    hosts = others.select("*", F.col("b").alias("o"), F.col("b").alias("p"), F.col("b").alias("q"), F.explode(F.sequence(F.lit(1), "visits")).alias("z"))
+    guests = left.where("comp = main").withColumn("b", F.lit(-1)).select("*", F.explode(F.sequence(zero, F.col("k") - 1)).alias("o"))
+    guests = guests.select("*", F.col("o").alias("p"), F.col("o").alias("q"), (F.pmod(h, "visits") + 1).cast("int").alias("z"))
+    sent = home.union(hosts).union(guests).select("tok", "p", "q", "z", "b", "doc_id", "size", "comp", "after", "n_known", "sketch")
+    sent = sent.withColumn("slot", F.pmod(F.xxhash64("tok", "p", "q", "z"), F.lit(slots(left))).cast("int"))
+    return sent.groupBy("slot").applyInArrow(_meet(t, boundary), "u long, v long").distinct()
+
+
+def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float | Fraction = 0.8, layout: dict | None = None, report: dict | None = None) -> DataFrame:
     """``doc_id, n_shingles, component_id`` for every row of ``docs``.
 
     Words are runs of anything but ASCII white space with A-Z lower-cased.
     Null, empty and word-less texts have no set, link with nothing and are
     their own component, as is a row with a null id (its component is null).
-    Rows that share an id are one node; of different texts under one id the
-    least in byte order is compared with others.
+    Rows that share an id are one node, whatever their texts.  Other columns
+    are not read; an empty table gives an empty table.
     ``threshold`` is exact: a float is read as the decimal it prints as.
+    ``layout`` changes the sizes of ``packing.lay_out``; ``report`` is given
+    the number of pairs compared in each round.
     """
     t = as_fraction(threshold)
     if not 0 < t <= 1:
         raise ValueError("threshold must lie in (0, 1]")
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     spark = docs.sparkSession
-    fields = [T.StructField("n_shingles", T.LongType()), T.StructField("sig", T.BinaryType())]
+    fields = [T.StructField("n_shingles", T.LongType()), T.StructField("sig", T.BinaryType()), T.StructField("n_bytes", T.LongType())]
     signed = spool(append_columns(rows, "text", _signatures("text", n), fields, drop=("text",)), "sets")
     real = signed.where("n_shingles > 0 and doc_id is not null")
-    classes = spool(real.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles")), "classes")
+    classes = spool(real.groupBy("sig").agg(F.min("doc_id").alias("rep")), "classes")
+    # a class is known by its smallest id; where two texts share that id, by a hash of its set
+    clash = classes.groupBy("rep").agg(F.count("*").alias("n")).where("n > 1").select("rep", F.lit(True).alias("clash"))
+    classes = spool(classes.join(clash, "rep", "left").select("sig", "rep", F.when(F.col("clash"), F.xxhash64("sig")).otherwise(F.col("rep")).alias("node")), "classes")
 
-    groups = chunk_count(rows)
-    buckets = max(1, groups // 4)
-    slot = F.pmod(F.xxhash64("doc_id"), F.lit(groups)).cast("int")
-    dealt = rows.withColumn("g", slot)
-    reps = classes.select(F.pmod(F.xxhash64("rep"), F.lit(groups)).cast("int").alias("g"), F.lit(None).cast("int").alias("bucket"), F.lit(None).cast("binary").alias("payload"), "rep").distinct()
+    plan = lay_out(spark, signed.agg(F.sum("n_bytes")).first()[0] or 0, **(layout or {}))
+    dealt = rows.withColumn("g", plan.group_of(F.col("doc_id"))).repartition(plan.parts, "g")
+    none = {"rep": "long", "sig": "binary", "node": "long", "payload": "binary"}
+    speakers = classes.select(plan.group_of(F.col("rep")).alias("g"), "rep", "sig", "node", F.lit(None).cast("binary").alias("payload"))
 
     def beside(answers):
-        right = reps if answers is None else reps.unionByName(answers.withColumn("rep", F.lit(None).cast("long")))
-        return dealt.groupBy("g").cogroup(right.groupBy("g"))
+        right = speakers
+        if answers is not None:
+            right = right.unionByName(answers.select(F.col("to").alias("g"), *[(F.col(c) if c == "payload" else F.lit(None).cast(k).alias(c)) for c, k in none.items()]))
+        return dealt.groupBy("g").cogroup(right.repartition(plan.parts, "g").groupBy("g"))
 
-    asked = beside(None).applyInArrow(_ask(n, buckets), ROUTED)
-    told = asked.groupBy("bucket").applyInArrow(_frequencies, REPLY)
-    cand = spool(beside(told).applyInArrow(_candidates(n, t, buckets), CANDIDATES), "candidates")
+    asked = deliver(beside(None).applyInArrow(_ask(n, plan), MESSAGE), plan.per(plan.buckets), plan.parts, "b")
+    told = asked.repartition(plan.slots, "to").groupBy("to").applyInArrow(_frequencies(plan.per(plan.groups)), MESSAGE)
+    told = deliver(told, plan.per(plan.groups), plan.parts, "g")
+    cand = spool(beside(told).applyInArrow(_candidates(n, t, plan), CANDIDATES), "candidates")
 
     # light sets, with the boundary by cost
     small = cand.where(F.col("size") <= LARGEST_LIGHT)
     stats = {r["size"]: (r["n"], r["m"]) for r in _prefixes(small).groupBy("size").agg(F.count_distinct("doc_id").alias("n"), F.avg("df").alias("m")).collect()}
     boundary = choose_boundary({s: x[0] for s, x in stats.items()}, {s: float(x[1]) for s, x in stats.items()}, t)
-    links = _light_links(cand.where(F.col("size") <= boundary), t, boundary)
+    light = _light_links(cand.where(F.col("size") <= boundary), t, boundary) if boundary else None
 
     # heavy sets against all sets they can reach
     reach = t * (boundary + 1)
     heavy = cand.where(F.col("size") >= -(-reach.numerator // reach.denominator))
     lists = spool(_prefixes(heavy), "lists")
     tn, td = t.numerator, t.denominator
+    groups = len(plan.groups)
 
     def fits(x: str, y: str):
         """Lengths allow a link, and the list is needed for it: light pairs are done."""
         return (F.least(x, y).cast("long") * td >= F.greatest(x, y).cast("long") * tn) & (F.greatest(x, y) > boundary)
 
-    def meets(x: str, y: str, i: str, j: str):
-        """If this is their first common n-gram, what follows it in both is enough."""
-        return F.least(i, j).cast("long") * (td + tn) >= (F.col(x) + F.col(y)).cast("long") * tn
-
-    hub = lists.groupBy("tok").agg(F.min(F.struct("doc_id", "size", "after")).alias("m"), F.max("doc_id").alias("w")).where("m.doc_id < w")
-    hub = hub.select("tok", F.col("m.doc_id").alias("v"), F.col("m.size").alias("v_size"), F.col("m.after").alias("v_after"))
+    hub = lists.groupBy("tok").agg(F.min(F.struct("doc_id", "size")).alias("m"), F.max("doc_id").alias("w")).where("m.doc_id < w")
+    hub = hub.select("tok", F.col("m.doc_id").alias("v"), F.col("m.size").alias("v_size"))
     lists = spool(lists.drop("df").join(spool(hub, "hubs"), "tok"), "lists")
     open_to_v = (F.col("doc_id") != F.col("v")) & fits("size", "v_size")
 
+    def compared(pairs: DataFrame, name: str) -> DataFrame:
+        found = spool(_compare(cand, pairs, t, groups), "compared")
+        if report is not None:
+            report[name] = found.count()
+        return found
+
+    def linked(found: DataFrame) -> DataFrame | None:
+        """The links among compared pairs, ``None`` if there are none: nothing to contract then."""
+        own = found.where("link").select("u", "v")
+        return own if own.limit(1).count() else None
+
     # round 1: every set with the smallest first document of its lists
-    first = lists.where(open_to_v).groupBy(F.col("doc_id").alias("u")).agg(F.min("v").alias("v"))
-    seen = spool(_compare(cand, first, t, groups), "compared")
-    links = spool(links.union(seen.where("link").select("u", "v")), "links")
+    seen = compared(lists.where(open_to_v).groupBy(F.col("doc_id").alias("u")).agg(F.min("v").alias("v")), "first")
+    links = seen.where("link").select("u", "v")
+    links = links if light is None else spool(links.union(light), "links")
     comp = spool(components(links), "components")
 
     def of(name: str, out: str) -> DataFrame:
@@ -369,25 +506,25 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
 
     # round 2: with the first documents of lists that lead to another component
     tagged = lists.join(of("doc_id", "uc"), "doc_id", "left").withColumn("uc", F.coalesce("uc", "doc_id")).join(of("v", "vc"), "v", "left").withColumn("vc", F.coalesce("vc", "v"))
-    second = spool(tagged, "tagged").where(open_to_v & (F.col("uc") != F.col("vc"))).select(F.col("doc_id").alias("u"), "v").distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti")
-    more = spool(_compare(cand, second, t, groups), "compared")
-    links = spool(links.union(more.where("link").select("u", "v")), "links")
-    comp = spool(components(links), "components")
+    second = tagged.where(open_to_v & (F.col("uc") != F.col("vc"))).select(F.col("doc_id").alias("u"), "v").distinct().join(seen.select("u", "v"), ["u", "v"], "left_anti")
+    more = linked(compared(second, "second"))
+    if more is not None:
+        links = spool(links.union(more), "links")
+        comp = spool(components(links), "components")
 
     # round 3: what the contraction left, entries of one list in different components
-    far = seen.union(more).select(F.col("u").alias("doc_id"), "v", "dist")
-    tagged = lists.join(of("doc_id", "comp"), "doc_id", "left").withColumn("comp", F.coalesce("comp", "doc_id"))
-    mixed = tagged.groupBy("tok").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count("*").alias("n")).where("a < b and n > 2").select("tok")
-    left = spool(tagged.join(spool(mixed, "mixed"), "tok").where(F.col("doc_id") != F.col("v")), "left").join(far, ["doc_id", "v"], "left")
-    left = spool(left, "left")
-    x = left.select("tok", F.col("doc_id").alias("u"), F.col("size").alias("us"), F.col("comp").alias("uc"), F.col("dist").alias("ud"), F.col("after").alias("ua"))
-    y = left.select("tok", F.col("doc_id").alias("w"), F.col("size").alias("ws"), F.col("comp").alias("wc"), F.col("dist").alias("wd"), F.col("after").alias("wa"))
-    slack = float(1 - t) + 1e-9
-    pairs = x.join(y, "tok").where((F.col("uc") < F.col("wc")) & fits("us", "ws") & meets("us", "ws", "ua", "wa") & (F.col("ud").isNull() | F.col("wd").isNull() | (F.abs(F.col("ud") - F.col("wd")) <= slack)))
-    rest = _compare(cand, pairs.select("u", F.col("w").alias("v")).distinct(), t, groups).where("link").select("u", "v")
-    comp = spool(components(links.union(rest)), "components")
-
-    member = classes.join(comp, F.col("rep") == F.col("id"), "left").select("sig", F.coalesce("comp", "rep").alias("component_id"))
+    rest = linked(compared(_across(lists, comp, cand, t, boundary), "third"))
+    # ids with several texts join the classes of these
+    several = real.groupBy("doc_id").agg(F.min("sig").alias("a"), F.max("sig").alias("b")).where("a <> b").select("doc_id")
+    own = real.join(several, "doc_id").select("doc_id", "sig").distinct().join(classes.select("sig", "node"), "sig").select("doc_id", "node")
+    star = own.join(own.groupBy("doc_id").agg(F.min("node").alias("v")), "doc_id").where("node <> v").select(F.col("node").alias("u"), "v")
+    star = spool(star, "star")
+    if rest is not None or star.limit(1).count():
+        comp = spool(components(links.union(star) if rest is None else links.union(rest).union(star)), "components")
+
+    joined = spool(classes.join(comp, F.col("node") == F.col("id")).select("sig", "rep", "comp"), "joined")
+    least = joined.groupBy("comp").agg(F.min("rep").alias("least"))
+    member = classes.join(joined.join(least, "comp").select("sig", "least"), "sig", "left").select("sig", F.coalesce("least", "rep").alias("component_id"))
     member = spool(member, "membership")
     same = signed.join(member, (signed.sig == member.sig) & (F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), "left")
     return same.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
@@ -396,8 +533,8 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
 def keep_smallest(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 5, threshold: float = 0.8) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of their group (rows without id stay)."""
     groups = near_groups(docs, doc_id, text, n, threshold)
-    gone = groups.where("component_id <> doc_id").select(F.col("doc_id").alias(doc_id)).distinct()
-    return docs.join(gone, doc_id, "left_anti").select(*docs.columns)
+    gone = groups.where("component_id <> doc_id").select(F.col("doc_id").alias("gone__")).distinct()
+    return docs.join(gone, F.col(doc_id) == F.col("gone__"), "left_anti")
 
 
 def brute_force(docs: list[tuple[int, str | None]], n: int = 5, threshold: float = 0.8) -> list[tuple]:

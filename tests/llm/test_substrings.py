@@ -3,9 +3,9 @@ import random
 from manifold_engine.llm import substrings as S
 
 
-def _run(spark, docs, span=50):
+def _run(spark, docs, span=50, **kw):
     d = spark.createDataFrame(docs, "doc_id long, text string")
-    return sorted((tuple(r) for r in S.digest(S.repeated_spans(d, span=span)).collect()), key=str)
+    return sorted((tuple(r) for r in S.digest(S.repeated_spans(d, span=span, **kw)).collect()), key=str)
 
 
 def test_real_table_matches_brute_force(spark, sf01):
@@ -13,6 +13,8 @@ def test_real_table_matches_brute_force(spark, sf01):
     want = sorted(S.brute_force(d), key=str)
     assert sum(r[2] > 0 for r in want) > 20
     assert _run(spark, d) == want
+    # many small groups, messages in two hops
+    assert _run(spark, d, layout={"group_bytes": 40_000, "groups_a_bucket": 2, "fan": 4}) == want
 
 
 def test_random_repeats(spark):
