@@ -53,8 +53,8 @@ def _sum_words(text: str):
         for batch in batches:
             for part in pieces(batch, text):
                 own = (Counter(), Counter())
-                for words, bad in zip(grams.word_lists(grams.texts_of(part.column(text)), grams.ALNUM), part.column("bad").to_pylist()):
-                    own[bad].update(words)
+                for raw, bad in zip(grams.texts_of(part.column(text)), part.column("bad").to_pylist()):
+                    own[bad].update(raw.translate(grams.ALNUM).split())
                 for c in (0, 1):
                     for w, n in own[c].items():
                         if (x := held.get(w)) is None:
@@ -200,37 +200,44 @@ def platt(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(th[0] / scale), float(th[1])
 
 
-class Reader:
-    """Log-likelihood ratios of texts from shipped gains; windows that are not shipped are listed."""
+class _Words(dict):
+    """Sum of the known gains of a word's windows; words with windows that are not shipped are noted in ``open``."""
 
     def __init__(self, known: dict[str, float], order: int):
         self.known, self.order = known, order
-        self.words: dict[bytes, tuple[float, tuple[str, ...]]] = {}
+        self.open: dict[bytes, tuple[str, ...]] = {}
 
-    def word(self, w: bytes) -> tuple[float, tuple[str, ...]]:
-        total, open_ = 0.0, []
+    def __missing__(self, w: bytes) -> float:
+        total, left = 0.0, []
         for g in windows_of(w.decode(), self.order):
             v = self.known.get(g)
             if v is None:
-                open_.append(g)
+                left.append(g)
             else:
                 total += v
-        return total, tuple(open_)
+        if left:
+            self.open[w] = tuple(left)
+        self[w] = total
+        return total
+
+
+class Reader:
+    """Log-likelihood ratios of texts from shipped gains; windows that are not shipped are listed."""
 
-    def text(self, words: list[bytes]) -> tuple[float, int, list[str]]:
+    def __init__(self, known: dict[str, float], order: int):
+        self.memo = _Words(known, order)
+
+    def text(self, raw: bytes) -> tuple[float, int, list[str]]:
         """Sum of the known gains, characters (each word's end counts as one), windows left open."""
-        memo = self.words
-        if len(memo) > 500_000:
+        memo = self.memo
+        if len(memo) > 300_000:
             memo.clear()
-        total, left = 0.0, []
-        for w in words:
-            x = memo.get(w)
-            if x is None:
-                x = memo[w] = self.word(w)
-            total += x[0]
-            if x[1]:
-                left += x[1]
-        return total, sum(map(len, words)) + len(words), left
+            memo.open.clear()
+        words = raw.translate(grams.ALNUM).split()
+        total = sum(map(memo.__getitem__, words))  # multiples of 2^-24: exact in any order
+        some = memo.open.keys() & words if memo.open else ()
+        left = [g for w in words if w in some for g in memo.open[w]] if some else []
+        return float(total), sum(map(len, words)) + len(words), left
 
 
 def _ratio(known: dict[str, float], order: int, text: str):
@@ -238,7 +245,7 @@ def _ratio(known: dict[str, float], order: int, text: str):
         read = Reader(known, order).text
 
         def fn(part):
-            got = [read(w) for w in grams.word_lists(grams.texts_of(part.column(text)), grams.ALNUM)]
+            got = list(map(read, grams.texts_of(part.column(text))))
             return [pa.array([v / n if n else 0.0 for v, n, _ in got], pa.float64())]
 
         return fn
@@ -251,7 +258,7 @@ def _parts(known: dict[str, float], order: int):
         read = Reader(known, order).text
         for batch in batches:
             for part in pieces(batch, "text"):
-                got = [read(w) for w in grams.word_lists(grams.texts_of(part.column("text")), grams.ALNUM)]
+                got = list(map(read, grams.texts_of(part.column("text"))))
                 cols = [pa.array([x[i] for x in got], t) for i, t in enumerate((pa.float64(), pa.int64(), pa.list_(pa.string())))]
                 yield pa.RecordBatch.from_arrays([part.column("a__"), part.column("b__"), *cols], names=["a__", "b__", "v", "n", "open"])
 
@@ -306,7 +313,7 @@ def score(
     """``docs`` with ``held_out``, ``score`` and ``predicted``.
 
     Labels are learnt only where crc32 of the id as text, modulo 4, is not 2.
-    One in eight of these (at most ``calibration_rows``, by crc32 order) fits
+    One in eight of these (fewer than ``calibration_rows``, by crc32 order) fits
     the curve, the others the models.  Several labels of one document: toxic if
     any says so; null labels are left out.  Words are lower-cased runs of ASCII
     letters and digits and of anything beyond ASCII; null and empty texts get
@@ -333,7 +340,11 @@ def score(
         gains = model.gains(count_windows(docs.where(F.col(text).isNotNull()), text, order))
         # gains in steps of 2^-24: their sums are exact in any order
         known, rest = ship(spool(gains.withColumn("v", F.round(F.col("v") * STEPS) / STEPS), "gains"), shipped)
-        seen = spool(train.where(aside).withColumn("r__", F.crc32(F.col("d__").cast("string"))).orderBy("r__", "d__").limit(calibration_rows).select("text", "bad"), "seen")
+        # the bound is set on (crc, id) alone; texts are read only where they pass it, in parallel
+        place = F.struct(F.crc32(F.col("d__").cast("string")).alias("r"), F.col("d__").alias("d"))
+        n, last = train.where(aside).select(place.alias("p")).orderBy("p").limit(calibration_rows).agg(F.count("*"), F.max("p")).first()
+        within = F.lit(True) if n < calibration_rows else place < F.struct(F.lit(last["r"]).alias("r"), F.lit(last["d"]).alias("d"))
+        seen = spool(train.where(aside & within).select("text", "bad"), "seen")
         rows = sorted(with_ratio(seen, "text", order, known, rest).select("ratio__", "bad").collect())
         slope, shift = platt(np.array([r[0] for r in rows]), np.array([float(r[1]) for r in rows]))
     new = ("held_out", "score", "predicted")
