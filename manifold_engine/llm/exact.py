@@ -5,8 +5,10 @@ of the whole text and the id.  With the id among the splitters a text that a
 third of all rows share is cut into several neighbouring partitions, while
 equal texts still lie next to each other.  Each partition is sorted externally
 by Spark and read as a stream; neighbours are compared in full, byte by byte.
-Only the runs at the edges of a partition can go on in the next one; they are
-at most two keys a partition, so their totals are joined by broadcast.
+Only the runs at the edges of a partition can go on in the next one: two keys a
+partition at most.  Rows of these runs alone are joined with the totals of
+their keys; whether by broadcast is the planner's choice, and a hot key is
+split by adaptive execution.
 """
 
 from __future__ import annotations
@@ -18,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..spool import chunk_count, shuffle_partitions, spool
+from ..spool import plan_bytes, shuffle_partitions, spool
 
 RUNS = "doc_id long, text_sha256 string, best long, size long, winner boolean, edge boolean, pid int"
 
@@ -87,22 +89,16 @@ def exact_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ke
     spark = docs.sparkSession
     t = F.coalesce(F.col(text), F.lit(""))
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), t.alias("t")).select("doc_id", F.substring(F.encode("t", "utf-8"), 1, 32).alias("head"), F.xxhash64("t").alias("h"), "t")
-    parts = max(shuffle_partitions(spark), chunk_count(rows, 64 << 20, 1))
+    parts = min(200_000, max(shuffle_partitions(spark), plan_bytes(rows) // (64 << 20)))
     # equal (head, hash) with different texts would interleave by id: text before id inside a partition, edges by key
     ordered = rows.repartitionByRange(parts, "head", "h", "doc_id").sortWithinPartitions("head", "h", "t", "doc_id")
     runs = spool(ordered.mapInArrow(_runs(keep), RUNS), "runs")
     pick = F.max if keep == "max" else F.min
     edge = runs.where("edge").groupBy("text_sha256", "pid").agg(F.first("best").alias("best"), F.first("size").alias("size"))
     edge = edge.groupBy(F.col("text_sha256").alias("e_sha")).agg(pick("best").alias("e_best"), F.sum("size").alias("e_size"), F.min_by("pid", F.struct(F.col("best").isNull(), F.col("best") if keep == "min" else -F.col("best"), "pid")).alias("e_pid"))
-    out = runs.join(F.broadcast(edge.withColumn("e_edge", F.lit(True))), (F.col("text_sha256") == F.col("e_sha")) & F.col("edge"), "left")
-    on_edge = F.coalesce("e_edge", F.lit(False))
-    return out.select(
-        "doc_id",
-        F.when(on_edge, F.col("e_best")).otherwise(F.col("best")).alias("keep_id"),
-        F.when(on_edge, F.col("e_size")).otherwise(F.col("size")).alias("group_size"),
-        (F.col("winner") & (~on_edge | (F.col("pid") == F.col("e_pid")))).alias("kept"),
-        "text_sha256",
-    )
+    inside = runs.where("not edge").select("doc_id", F.col("best").alias("keep_id"), F.col("size").alias("group_size"), F.col("winner").alias("kept"), "text_sha256")
+    out = runs.where("edge").join(edge, F.col("text_sha256") == F.col("e_sha"))
+    return inside.union(out.select("doc_id", F.col("e_best").alias("keep_id"), F.col("e_size").alias("group_size"), (F.col("winner") & (F.col("pid") == F.col("e_pid"))).alias("kept"), "text_sha256"))
 
 
 ORACLE = """
