@@ -6,19 +6,26 @@ do, in any document and on any executor, with nothing shared but the key:
 
 * mail addresses, secrets, phone numbers, addresses of hosts: a Feistel network
   over the digits and letters, each in its own alphabet, punctuation kept;
-* card numbers with a valid check digit stay valid, others stay invalid;
+* card numbers with a valid check digit stay valid, others stay invalid; account
+  numbers keep their country and get the check digits of what they became;
 * first names of the lexicon are permuted among the names of their gender and
   script; other name parts have their vowels and consonants permuted among the
   vowels and consonants of their script, so the length and case stay and the
   same family name maps alike with or without a first name.
 
+A person found once is known in the rest of the text: a later mention by family
+or first name alone is replaced too, part by part, so it still reads as the same
+person.
+
 ``collisions`` states the check over a whole table of entities: it returns the
-surrogates that two distinct entities share (none by construction).
+surrogates that two distinct entities share (none by construction).  ``checked``
+runs it over what is about to be handed on and refuses a table that fails.
 """
 
 from __future__ import annotations
 
 import hashlib
+import ipaddress
 import re
 from functools import lru_cache
 
@@ -27,13 +34,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..spool import spool
 from . import grams
 from .arrowmap import append_columns
 
 # First names by script and gender.
 FIRST_NAMES = {
-    ("latin", "f"): "Anna Maria Emma Julia Laura Sophie Clara Marie Elena Lucia Alice Helen Sarah Karin Petra Isabel".split(),
-    ("latin", "m"): "John Peter Paul Thomas Martin Carlos Pierre Hans Luis Jack David Simon Robert Michael Andrew Stefan".split(),
+    ("latin", "f"): "Anna Maria Emma Julia Laura Sophie Clara Marie Elena Lucia Alice Helen Sarah Karin Petra Isabel María Lucía Carmen Giulia Chiara Chloé Ingrid Astrid Olga Svetlana Yuki Keiko Priya Fatima Aisha Leila".split(),
+    ("latin", "m"): "John Peter Paul Thomas Martin Carlos Pierre Hans Luis Jack David Simon Robert Michael Andrew Stefan José Diego Marco Giovanni Lars Björn Ivan Sergei Dmitri Akira Hiroshi Kenji Rajesh Ahmed Omar Yusuf".split(),
     ("cyrillic", "f"): "Анна Мария Елена Ольга Ирина Наталья Татьяна Светлана".split(),
     ("cyrillic", "m"): "Иван Пётр Сергей Алексей Дмитрий Николай Андрей Михаил".split(),
     ("greek", "f"): "Μαρία Ελένη Άννα Σοφία".split(),
@@ -57,7 +65,9 @@ _PATTERNS = [
     ("aws_key", r"(?<![A-Za-z0-9])A[KS]IA[A-Z0-9]{16}(?![A-Za-z0-9])"),
     ("secret", r"(?<=[\"'])(?:[0-9a-f]{32,64}|[0-9A-F]{32,64})(?=[\"'])"),
     ("ipv4", r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?![\d]|\.\d)"),
-    ("phone", r"\+\d{1,3}[ \-]?(?:\(\d{2,4}\)[ \-]?)?\d{2,4}(?:[ \-]?\d{2,4}){1,3}(?!\d)"),
+    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])"),
+    ("ipv6", r"(?<![\w:.])[0-9A-Fa-f]{0,4}(?::[0-9A-Fa-f]{0,4}){2,7}(?![\w:.])"),
+    ("phone", r"\+\d{1,3}[ \-]?(?:\(\d{2,4}\)[ \-]?)?\d{2,4}(?:[ \-]?\d{2,4}){1,3}(?!\d)|(?<![\w\-+.])(?:\(\d{3}\) ?|\d{3}[\-.])\d{3}[\-.]\d{4}(?![\w\-])"),
     ("card", r"(?<!\d)\d{4}(?:[ \-]?\d{4}){3}(?!\d)"),
     ("national_id", r"(?<![\d\-])\d{3}-\d{2}-\d{4}(?![\d\-])"),
 ]
@@ -138,9 +148,21 @@ class Keyed:
         return ".".join(map(str, out))
 
     def phone(self, text: str) -> str:
-        m = re.match(r"\+\d{1,3}(?=[ \-(])|\+\d", text)
+        """A country code stays; a number without one has digits alone to move."""
+        m = re.match(r"\+\d{1,3}(?=[ \-(])|\+\d|", text)
         return m[0] + self.letters("phone", text[m.end() :], [DIGITS])
 
+    def ipv6(self, text: str) -> str:
+        """Digits and letters of every group move among their like, so its form and the place of ``::`` stay."""
+        return self.letters("ipv6", text, [DIGITS, HEX[10:], HEX[10:].upper()])
+
+    def iban(self, text: str) -> str:
+        """Country kept, account moved, check digits set anew."""
+        raw = text.replace(" ", "")
+        body = self.letters(f"iban {raw[:2]}", raw[4:], [DIGITS, UPPER36[:26]])
+        new = iter(f"{raw[:2]}{98 - _mod97(raw[:2] + '00' + body):02d}{body}")
+        return re.sub(r"[^ ]", lambda m: next(new), text)
+
     def card(self, text: str) -> str:
         raw = re.sub(r"\D", "", text)
         fine = _luhn(raw)
@@ -194,13 +216,50 @@ def _luhn(number: str) -> bool:
     return total % 10 == 0
 
 
-_HINT = re.compile(r"[@+]|AKIA|ASIA|\d{3}|\d\.\d|[\"'][0-9A-Fa-f]{8}")
+def _mod97(number: str) -> int:
+    """Remainder of an account number, country and check digits moved behind, letters as two digits."""
+    return int("".join(str(int(c, 36)) for c in number[4:] + number[:4])) % 97
+
+
+def _real(kind: str, value: str) -> bool:
+    """Whether a candidate is what it looks like."""
+    if kind == "iban":
+        return _mod97(value.replace(" ", "")) == 1
+    if kind == "ipv6":
+        try:
+            return len(ipaddress.IPv6Address(value).exploded) > 0 and sum(c != ":" for c in value) > 2
+        except ValueError:
+            return False
+    return True
+
+
+_HINT = re.compile(r"[@+]|AKIA|ASIA|\d{3}|\d\.\d|[\"'][0-9A-Fa-f]{8}|[0-9A-Fa-f]:[0-9A-Fa-f:]|[A-Z]{2}\d{2}")
 _NAME_HINT = re.compile(rf"\b(?:{'|'.join(sorted(map(re.escape, TITLES), key=len, reverse=True))})\b|\b(?:{_FIRST}) ")
 
 
+_WORD = re.compile(_NAME)
+
+
+def _mentions(text: str, people: list[tuple[int, int]]) -> list[tuple[int, int, str]]:
+    """Later and earlier mentions of found persons by one of their names."""
+    parts = {w for s, e in people for w in text[s:e].split(" ") if len(w) > 2} - TITLES.keys()
+    out = []
+    for m in _WORD.finditer(text):
+        w = m[0] if m[0] in parts else re.sub(r"['’]s$", "", m[0])
+        if w in parts:
+            out.append((m.start(), m.start() + len(w), "person"))
+    return out
+
+
 def entities(text: str) -> list[tuple[int, int, str]]:
     """``(start, end, type)`` of the entities of a text, left to right, not overlapping."""
-    found = [(*m.span(), m.lastgroup) for m in _RULES.finditer(text)] if _HINT.search(text) else []
+    found, people = [], []
+    at = 0 if _HINT.search(text) else len(text)
+    while m := _RULES.search(text, at):
+        real = _real(m.lastgroup, m[0])
+        if real:
+            found.append((*m.span(), m.lastgroup))
+        at = m.end() if real else m.start() + 1
     if _NAME_HINT.search(text):
         for m in _PEOPLE.finditer(text):
             g = "titled" if m["titled"] else "named"
@@ -210,7 +269,9 @@ def entities(text: str) -> list[tuple[int, int, str]]:
             end = m.start(g) + (len(m[g]) if words[-1][0].isupper() else len(words[0]))
             if g == "named" and not words[-1][0].isupper():
                 continue
-            found.append((m.start(g), end, "person"))
+            people.append((m.start(g), end))
+    if people:
+        found += [(s, e, "person") for s, e in people] + _mentions(text, people)
     out, past = [], 0
     for s, e, t in sorted(found, key=lambda x: (x[0], -x[1])):
         if s >= past:
@@ -265,6 +326,15 @@ def replace_entities(docs: DataFrame, key: str, text: str = "text", found: str =
     return append_columns(docs, text, make, [T.StructField(text, kind.dataType), T.StructField(found, _FOUND)]).select(*order, found)
 
 
+def checked(replaced: DataFrame, found: str = "pii") -> DataFrame:
+    """``replaced``, written once and handed on only if no two entities share a surrogate."""
+    kept = spool(replaced, "surrogates")
+    bad = collisions(kept, found).take(3)
+    if bad:
+        raise ValueError(f"surrogates of several entities: {[tuple(r) for r in bad]}")
+    return kept
+
+
 def collisions(replaced: DataFrame, found: str = "pii") -> DataFrame:
     """``type, surrogate, originals`` of surrogates that stand for more than one entity."""
     each = replaced.select(F.explode(found).alias("e")).select("e.type", "e.original", "e.surrogate").distinct()

@@ -2,11 +2,13 @@
 
 Labelled urls become transactions of tokens (host labels, path segments, query
 items, fragment) plus one item for a bad label.  Spark's FP-growth mines token
-combinations; rules that end in the bad item and pass the confidence and
-support limits are kept, less those that contain a shorter rule of no lower
-confidence.  Matching uses an inverted index: each rule is filed under its
-rarest token, distinct urls look up their tokens, and the rest of the rule must
-be contained.
+combinations on one half of the urls; rules that end in the bad item and pass
+the limits of confidence, support, count and lift are kept, less those that
+contain a shorter rule of no lower confidence.  The other half then judges each
+rule: it must be as sure there, and surer than the share of bad urls by more
+than chance, so that labels without a pattern give no rules.  Matching uses an
+inverted index: each rule is filed under its rarest token, distinct urls look
+up their tokens, and the rest of the rule must be contained.
 
 Listed host-and-path rules come first: a rule fits its host and all subdomains
 if the path starts with the rule's, the longest rule wins.  They are a short
@@ -48,33 +50,58 @@ def tokens_of(url: Column) -> Column:
     return F.coalesce(F.array_distinct(both), F.array().cast("array<string>"))
 
 
-def mine_rules(labelled: DataFrame, url: str = "url", bad: str = "bad", min_support: float = 0.002, min_confidence: float = 0.6) -> DataFrame:
-    """``rule_id, tokens, anchor, confidence, support, lift`` mined from urls with a boolean label.
+RULES = "rule_id long, tokens array<string>, anchor string, confidence double, support double, lift double, held_count long, held_confidence double"
 
-    Tokens rarer than the support limit cannot stand in a frequent set and are
-    dropped before mining.  Null urls and null labels are left out; without
-    labelled rows there are no rules.
+
+def mine_rules(labelled: DataFrame, url: str = "url", bad: str = "bad", min_support: float = 0.002, min_confidence: float = 0.6, min_count: int = 20, min_lift: float = 1.2, min_z: float = 3.0, held_out: bool = True) -> DataFrame:
+    """``rule_id, tokens, anchor, confidence, support, lift, held_count, held_confidence`` mined from urls with a boolean label.
+
+    A rule's combination must stand in ``min_count`` bad urls at least, however
+    few are labelled.  With ``held_out`` half of the urls (by crc32) mine and the
+    other half judges: there the rule needs ``min_count`` / 2 urls, the same
+    confidence and ``min_z`` standard errors above the share of bad urls; without
+    it these two columns are null.  Tokens rarer than the support limit cannot
+    stand in a frequent set and are dropped before mining.  Null urls and null
+    labels are left out; without labelled rows there are no rules.
     """
     spark = labelled.sparkSession
-    schema = "rule_id long, tokens array<string>, anchor string, confidence double, support double, lift double"
-    rows = labelled.where(F.col(url).isNotNull() & F.col(bad).isNotNull()).select(tokens_of(F.col(url)).alias("t"), F.col(bad).cast("boolean").alias("bad"))
+    half = (F.crc32(url) % 2 == 0) if held_out else F.lit(True)
+    rows = labelled.where(F.col(url).isNotNull() & F.col(bad).isNotNull()).select(tokens_of(F.col(url)).alias("t"), F.col(bad).cast("boolean").alias("bad"), half.alias("fit"))
     rows = spool(rows, "transactions")
-    n = rows.count()
-    if not n:
-        return spark.createDataFrame([], schema)
-    counts = rows.select(F.explode("t").alias("token")).groupBy("token").count().where(F.col("count") >= min_support * n)
-    if not rows.where("bad").limit(1).count():
-        return spark.createDataFrame([], schema)
-    model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=min_confidence).fit(rows.select(F.when(F.col("bad"), F.array_append("t", F.lit(BAD))).otherwise(F.col("t")).alias("items")))
-    found = model.associationRules.where(F.array_contains("consequent", BAD)).select(F.array_sort("antecedent").alias("tokens"), "confidence", "support", "lift")
+    every, judge_ = rows.where("fit"), rows.where("not fit")
+    n, n_bad = every.agg(F.count("*"), F.sum(F.col("bad").cast("long"))).first()
+    if not n or not n_bad:
+        return spark.createDataFrame([], RULES)
+    support = max(min_support, min_count / n)
+    if support > 1:
+        return spark.createDataFrame([], RULES)
+    counts = every.select(F.explode("t").alias("token")).groupBy("token").count().where(F.col("count") >= support * n)
+    frequent = spool(counts, "tokens")
+    # rare tokens leave the transactions: by a join, as their number grows with the data
+    rows_of = every.withColumn("r", F.monotonically_increasing_id())
+    rows_of = spool(rows_of, "numbered")
+    slim = rows_of.select("r", F.explode("t").alias("token")).join(frequent.select("token"), "token", "left_semi").groupBy("r").agg(F.collect_list("token").alias("t"))
+    slim = rows_of.select("r", "bad").join(slim, "r", "left").select("bad", F.coalesce("t", F.array().cast("array<string>")).alias("t"))
+    items = F.when(F.col("bad"), F.array_append("t", F.lit(BAD))).otherwise(F.col("t"))
+    model = FPGrowth(itemsCol="items", minSupport=support, minConfidence=min_confidence).fit(slim.select(items.alias("items")))
+    found = model.associationRules.where(F.array_contains("consequent", BAD) & (F.col("lift") >= min_lift)).select(F.array_sort("antecedent").alias("tokens"), "confidence", "support", "lift")
     found = spool(found, "rules")
     # a rule says nothing new if a part of it is at least as sure
     part = found.select(F.col("tokens").alias("part"), F.col("confidence").alias("sure"), F.col("tokens")[0].alias("head"))
     wide = found.select("tokens", "confidence", F.explode("tokens").alias("head")).join(part, "head")
     idle = wide.where((F.size("part") < F.size("tokens")) & (F.size(F.array_except("part", "tokens")) == 0) & (F.col("sure") >= F.col("confidence"))).select("tokens").distinct()
     kept = found.join(idle, "tokens", "left_anti")
-    rare = kept.select("tokens", F.explode("tokens").alias("token")).join(counts, "token").groupBy("tokens").agg(F.min_by("token", F.struct("count", "token")).alias("anchor"))
-    return spool(kept.join(rare, "tokens").select(F.xxhash64("tokens").alias("rule_id"), "tokens", "anchor", "confidence", "support", "lift"), "rules")
+    rare = kept.select("tokens", F.explode("tokens").alias("token")).join(frequent, "token").groupBy("tokens").agg(F.min_by("token", F.struct("count", "token")).alias("anchor"))
+    rules = spool(kept.join(rare, "tokens").select(F.xxhash64("tokens").alias("rule_id"), "tokens", "anchor", "confidence", "support", "lift"), "rules")
+    if not held_out:
+        return rules.select("*", F.lit(None).cast("long").alias("held_count"), F.lit(None).cast("double").alias("held_confidence"))
+    share = judge_.agg(F.avg(F.col("bad").cast("double"))).first()[0]
+    share = min(max(share or 0.0, 1e-6), 1 - 1e-6)
+    hits = judge_.select("t", "bad", F.explode("t").alias("anchor")).join(rules.select("rule_id", "anchor", "tokens"), "anchor").where(F.size(F.array_except("tokens", "t")) == 0)
+    seen = hits.groupBy("rule_id").agg(F.count("*").alias("held_count"), F.avg(F.col("bad").cast("double")).alias("held_confidence"))
+    z = (F.col("held_confidence") - share) * F.sqrt(F.col("held_count") / (share * (1 - share)))
+    sure = seen.where((F.col("held_count") * 2 >= min_count) & (F.col("held_confidence") >= min_confidence) & (z >= min_z))
+    return spool(rules.join(sure, "rule_id").select(*[f.split()[0] for f in RULES.split(", ")]), "rules")
 
 
 def match_rules(urls: DataFrame, rules: DataFrame, url: str = "url") -> DataFrame:

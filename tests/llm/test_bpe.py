@@ -42,3 +42,11 @@ def test_columns(spark):
     back = B.decode(B.encode(df, PATH), PATH)
     assert [r.decoded for r in back.orderBy("doc_id").collect()] == ["hello there", ""]
     assert B.round_trip(df.limit(0), PATH).count() == 0
+
+
+def test_very_long_texts(spark, library):
+    """Megabytes in one text, and one pre-token of half a million characters."""
+    rng = random.Random(8)
+    rows = [(1, " ".join(rng.choice(("alpha", "beta", "gamma,", "x1")) for _ in range(400_000))), (2, "".join(rng.choice("abcde") for _ in range(500_000))), (3, "=-" * 300_000), (4, None)]
+    got = sorted(tuple(r) for r in B.round_trip(spark.createDataFrame(rows, "doc_id long, text string"), PATH).collect())
+    assert got == _want(library, rows)

@@ -31,6 +31,7 @@ def test_every_stage_against_plain_python(spark, sf):
             assert 0.7 * len(before) < len(got) < len(before)
         elif name == "line_dedup":
             assert {d: t for d, _, _, t in linechunks.brute_force(before)} == {d: r.text for d, r in got.items()}
+            assert len(got) == len(before)
             assert all(r.n_chars == len(r.text) for r in got.values())
         elif name == "ngram_jaccard_join":
             assert set(got) == {d for d, _, c in jaccard.brute_force(before, 5, 0.8) if c == d} and len(got) < len(before)
@@ -40,3 +41,46 @@ def test_every_stage_against_plain_python(spark, sf):
             assert kept == {d: r.text for d, r in got.items()}
         docs = out
     assert C.run(spark, sf).count() == len(got)
+
+
+# names the operators use themselves, in odd types
+CLASH = "doc_id long, text string, score string, predicted string, held_out int, n_lines string, n_removed string, n_words string, hit_spans string, component_id string, ids string, `a b` int, n_chars int"
+
+
+def _odd(spark):
+    run = "\n".join(f"line {i} of a passage that stands twice" for i in range(12))
+    near = " ".join(f"n{i}" for i in range(60))
+    texts = [(1, run), (2, "x\n" + run), (2, "x\n" + run), (3, None), (4, ""), (None, "no id here"), (None, near), (5, near), (6, near + " tail"), (7, " \n\t"), (8, "word " * 40_000), (9, "you are a fine person")]
+    rows = [(d, t, f"s{i}", None, i, f"l{i}", "r", f"w{i}", None, "c", "i", i, len(t or "")) for i, (d, t) in enumerate(texts)]
+    return spark.createDataFrame(rows, CLASH)
+
+
+def test_every_stage_on_odd_tables(spark, sf):
+    """Nulls, empty and long texts, ties, repeated rows, no rows, and columns named as the operators name theirs."""
+    docs = _odd(spark)
+    mine = lambda r: tuple(r[i] for i in range(len(docs.columns)) if docs.columns[i] not in ("text", "n_chars"))
+    before = sorted(map(mine, docs.collect()), key=str)
+    item = [r.text for r in table(spark, sf, "benchmark").select("text").collect()]
+    for name, stage in C.STAGES:
+        assert stage(spark, docs.limit(0), sf).count() == 0
+        out = stage(spark, docs, sf)
+        rows = out.collect()
+        if name == "bpe":
+            assert len(rows) == len(before) and sum(r.n_tokens == 0 for r in rows) == 2
+            continue
+        assert out.schema.simpleString() == docs.schema.simpleString()
+        after = sorted(map(mine, rows), key=str)
+        ids = [r.doc_id for r in rows]
+        if name == "ngram_jaccard_join":
+            assert sorted(ids, key=str) == sorted([1, 3, 4, None, None, 5, 7, 8, 9], key=str)  # 2 is near 1, 6 near 5
+            assert all(r in before for r in after)
+        else:
+            assert after == before
+        if name == "line_dedup":
+            got = {(r.doc_id, r.text) for r in rows if r.doc_id in (1, 2)}
+            assert got == {(1, "\n".join(f"line {i} of a passage that stands twice" for i in range(12))), (2, "x")}
+            assert all(r.n_chars == (None if r.text is None else len(r.text)) for r in rows)
+        else:
+            assert all(r.text in {x.text for x in docs.collect()} for r in rows)
+    dirty = spark.createDataFrame([(1, item[0], "a"), (1, item[0], "b"), (2, "clean", "c"), (None, item[0], "d")], "doc_id long, text string, hit_items string")
+    assert [tuple(r) for r in dict(C.STAGES)["benchmark_decontamination"](spark, dirty, sf).collect()] == [(2, "clean", "c")]
