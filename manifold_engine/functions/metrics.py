@@ -74,6 +74,12 @@ def rmsd_planar(a: Column, b: Column) -> Column:
     return F.sqrt(F.greatest(size - 2.0 * F.sqrt(along * along + across * across), F.lit(0.0)) / n)
 
 
+def jaccard(a: Column, b: Column) -> Column:
+    """One minus shared over all members of two sets (arrays without repeats); two empty sets are equal."""
+    every = F.size(F.array_union(a, b))
+    return F.when(every == 0, F.lit(0.0)).otherwise(F.lit(1.0) - F.size(F.array_intersect(a, b)) / every)
+
+
 # block forms
 
 
@@ -156,6 +162,22 @@ def _leading_root(h: np.ndarray, start: np.ndarray) -> np.ndarray:
     return root
 
 
+def jaccard_block(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Jaccard distance of rows of membership flags (non-zero: a member)."""
+    a, b = (x != 0).astype(float), (y != 0).astype(float)
+    shared = a @ b.T
+    every = a.sum(1)[:, None] + b.sum(1)[None, :] - shared
+    return np.where(every == 0, 0.0, 1.0 - shared / np.maximum(every, 1.0))
+
+
+def rmsd_rows(x: np.ndarray, y: np.ndarray, dims: int = 3) -> np.ndarray:
+    """RMSD of row with row after the best rigid motion: one stacked decomposition for the whole batch."""
+    a, b = (v.reshape(len(v), -1, dims) for v in (x, y))
+    a, b = a - a.mean(1, keepdims=True), b - b.mean(1, keepdims=True)
+    best = _signed_sum(a.transpose(0, 2, 1) @ b)
+    return np.sqrt(np.maximum((a * a).sum((1, 2)) + (b * b).sum((1, 2)) - 2.0 * best, 0.0) / a.shape[1])
+
+
 def rmsd_raw_block(x: np.ndarray, y: np.ndarray, dims: int = 3) -> np.ndarray:
     return euclidean_block(x, y) / np.sqrt(x.shape[1] / dims)
 
@@ -184,6 +206,7 @@ register_metric("emd", emd_block, True, emd_1d)
 register_metric("rmsd", rmsd_block)
 register_metric("rmsd2", lambda x, y: rmsd_block(x, y, 2), True, rmsd_planar)
 register_metric("rmsd_raw", rmsd_raw_block)
+register_metric("jaccard", jaccard_block)
 
 
 def get(metric: str | Metric) -> Metric:

@@ -358,7 +358,7 @@ def stream_state(s, d):
     e, _ = embedded_stream(s, d)
     try:
         s.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-        return X.run_available(X.basin_changes(e), "state")
+        return X.run_available(X.basin_changes(e, late="60 days", idle_ms=366 * 86_400_000), "state")
     finally:
         s.conf.unset("spark.sql.streaming.stateStore.providerClass")
 

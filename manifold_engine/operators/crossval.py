@@ -1,29 +1,41 @@
 """Cross-validation of the reduced map against the full map, sweeps and tuning.
 
-Folds are dealt once; each fold's fit is of bounded size (the engine refuses
-more points than a local solver takes), and folds are independent jobs.
+Each fold's maps are fitted on a sample of bounded size (the whole table while
+it is no larger), folds being independent jobs; then one pass over all points
+extends every one of them by all maps and adds up the errors, so Z covers the
+table whatever its size.
 """
 
 from __future__ import annotations
 
+import hashlib
+import pickle
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from ..functions import metrics
-from ..functions.linalg import SymmetricEdges, bottleneck
+from ..functions.linalg import SymmetricEdges, bottleneck_rows
 from ..plans import planner
+from ..sources.points import by_hash_order
+from ..spool import spool
 from . import landmarks as L
 from . import maps as M
 from . import measures as E
+from .pairs import matrix
+
+ERRORS = "fold int, method string, m long, n long, eps double, split string, points long, z double, z_max double"
+
 
-ERRORS = "fold int, method string, m long, eps double, split string, z double, z_max double"
+def fold_of(ids: np.ndarray, k: int = 5, seed: int = 0) -> np.ndarray:
+    """Fold of each id by its own hash alone: near-equal folds of a table of any size."""
+    return np.array([int(hashlib.md5(f"{seed}:{i}".encode()).hexdigest()[:8], 16) % k + 1 for i in ids.tolist()], np.int64)
 
 
 def split_folds(ids: np.ndarray, k: int = 5, seed: int = 0) -> np.ndarray:
     """Fold of each id, as ``ntile`` over md5 order."""
-    import hashlib
-
     order = sorted(range(len(ids)), key=lambda i: (hashlib.md5(f"{seed}:{ids[i]}".encode()).hexdigest(), ids[i]))
     fold = np.zeros(len(ids), np.int64)
     sizes = [len(ids) // k + (i < len(ids) % k) for i in range(k)]
@@ -68,11 +80,6 @@ def reduced_of(ids: np.ndarray, x: np.ndarray, at: np.ndarray, eps: float, modes
     return M.fit_local(ids[at], x[at], eps, modes, metric, c if weights == "cells" else np.ones(len(at)), kind="reduced"), cell
 
 
-def scaled(model: M.Model, k: int) -> np.ndarray:
-    """Coordinates normalised like the full map's: points of a cell count once each, so the sum of squares is one."""
-    return model.coordinates(k)
-
-
 def compare(ids: np.ndarray, x: np.ndarray, train: np.ndarray, methods: list[str], eps: float, k: int, metric: str = "euclidean", drop_below: float = 0.0, align: str = "sign", seed: int = 0, radius_factor: float = 1.0, full: M.Model | None = None) -> tuple[list[tuple], M.Model]:
     """Errors ``(method, m, split, z, z_max)`` on train and test rows."""
     tr, te = np.flatnonzero(train), np.flatnonzero(~train)
@@ -104,24 +111,76 @@ def compare(ids: np.ndarray, x: np.ndarray, train: np.ndarray, methods: list[str
     return out, full
 
 
-def cross_validate(points: DataFrame, methods: list[str], eps: float | None, k: int, metric: str = "euclidean", n_folds: int = 5, drop_below: float = 0.0, align: str = "sign", seed: int = 0, dims: int | None = None) -> DataFrame:
-    """``fold, method, m, eps, split, z, z_max`` of every method; ``eps=None`` takes each fold's smallest connecting bandwidth."""
+def turn_of(true: np.ndarray, approx: np.ndarray, how: str) -> np.ndarray:
+    """The matrix that ``measures.align`` multiplies ``approx`` with."""
+    if how == "procrustes":
+        u, _, vt = np.linalg.svd(approx.T @ true)
+        return u @ vt
+    s = np.sign((true * approx).sum(0))
+    return np.diag(np.where(s == 0, 1.0, s)) if how == "sign" else np.eye(true.shape[1])
+
+
+def fit_fold(ids: np.ndarray, x: np.ndarray, methods: list[str], eps: float | None, k: int, metric: str, drop_below: float, align: str, seed: int) -> tuple:
+    """``eps, full, spans, [(method, reduced, turn)]`` fitted on the given points."""
+    e = eps or bottleneck_rows(x, metrics.get(metric).block) ** 2
+    full = M.fit_local(ids, x, e, k + 2, metric, drop_below=drop_below)
+    true = full.coordinates(k)
+    out = []
+    for method in methods:
+        base, _, weights = method.partition("!")
+        red, _ = reduced_of(ids, x, choose(x, base, e**0.5, metric, seed), e, k + 2, metric, "none" if weights else "cells")
+        if weights:  # counts of one: bring the norm to that of all points
+            red.psi = red.psi / np.sqrt(len(ids) / red.size)
+        out.append((method, red, turn_of(true, M.nystrom(x, red, k)[0], align)))
+    return e, full, np.ptp(true, axis=0), out
+
+
+def cross_validate(points: DataFrame, methods: list[str], eps: float | None, k: int, metric: str = "euclidean", n_folds: int = 5, drop_below: float = 0.0, align: str = "sign", seed: int = 0, fit_points: int = planner.LOCAL_POINTS) -> DataFrame:
+    """``fold, method, m, n, eps, split, points, z, z_max`` of every method over all points.
+
+    ``n`` of the first ``fit_points`` points in md5 order are fitted in each
+    fold; ``points`` are those whose error counts, of the whole table.
+    ``eps=None`` takes each fold's smallest connecting bandwidth; with
+    ``n_folds=0`` all sampled points are fitted at once and the split is ``all``.
+    """
     spark = points.sparkSession
-    ids, x = M.collect_points(points, planner.LOCAL_POINTS)
-    fold = split_folds(ids, n_folds, seed)
-    jobs = spark.createDataFrame([(f,) for f in range(1, n_folds + 1)], "fold int").repartition(n_folds)
-    block = metrics.get(metric).block
+    points = spool(points.select("id", "vec"), "points")
+    ids, x = M.collect_points(by_hash_order(points, fit_points, seed), fit_points)
+    folds = list(range(1, n_folds + 1)) or [0]
+    fold = fold_of(ids, n_folds, seed) if n_folds else np.ones(len(ids), np.int64)
+    jobs = spark.createDataFrame([(f,) for f in folds], "fold int").repartition(len(folds))
 
-    def run(batches):
+    def fit(batches):
         for b in batches:
             for f in b.column("fold").to_pylist():
-                train = fold != f
-                e = eps or bottleneck(block(x[train], x[train])) ** 2
-                rows, _ = compare(ids, x, train, methods, e, k, metric, drop_below, align, seed)
-                t = [(f, m, n, e, s, z, zm) for m, n, s, z, zm in rows]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*t)], names=["fold", "method", "m", "eps", "split", "z", "z_max"]).cast(pa.schema([("fold", pa.int32()), ("method", pa.string()), ("m", pa.int64()), ("eps", pa.float64()), ("split", pa.string()), ("z", pa.float64()), ("z_max", pa.float64())]))
+                own = fold != f
+                data = pickle.dumps((f, int(own.sum()), *fit_fold(ids[own], x[own], methods, eps, k, metric, drop_below, align, seed)))
+                yield pa.RecordBatch.from_arrays([pa.array([data], pa.binary())], names=["fit"])
+
+    fits = [pickle.loads(r["fit"]) for r in jobs.mapInArrow(fit, "fit binary").collect()]  # as large as the samples, not the table
+    names = ["fold", "method", "m", "n", "eps", "split", "points", "z2", "z_max"]
 
-    return jobs.mapInArrow(run, ERRORS)
+    def score(batches):
+        for b in batches:
+            step = max(1, 4_000_000 // max(fit_points, 1))
+            for s in range(0, b.num_rows, max(step, 256)):
+                part = b.slice(s, max(step, 256))
+                y = matrix(part.column("vec"))
+                h = fold_of(part.column("id").to_numpy(), n_folds, seed) if n_folds else np.ones(len(y), np.int64)
+                rows = []
+                for f, n, e, full, spans, reds in fits:
+                    true = M.nystrom(y, full, k)[0]
+                    for method, red, turn in reds:
+                        z = E.zeta_local(true, M.nystrom(y, red, k)[0] @ turn, spans)
+                        for split, use in (("all", h > 0),) if not n_folds else (("train", h != f), ("test", h == f)):
+                            if use.any():
+                                rows.append((f, method, red.size, n, e, split, int(use.sum()), float((z[use] ** 2).sum()), float(z[use].max())))
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.string(), pa.int64(), pa.float64(), pa.float64()))], names=names)
+
+    parts = points.mapInArrow(score, "fold int, method string, m long, n long, eps double, split string, points long, z2 double, z_max double")
+    sums = parts.groupBy("fold", "method", "m", "n", "eps", "split").agg(F.sum("points").alias("points"), F.sum("z2").alias("z2"), F.max("z_max").alias("z_max"))
+    return sums.select("fold", "method", "m", "n", "eps", "split", "points", F.sqrt(F.col("z2") / F.col("points")).alias("z"), "z_max")
 
 
 def bandwidth_sweep(points: DataFrame, methods: list[str], eps_min: float, k: int, factors=(1, 2, 4, 8), **kw) -> DataFrame:
@@ -166,7 +225,3 @@ def _seconds_per_landmark(new: np.ndarray, z: np.ndarray, metric: str, k: int) -
     t = time.perf_counter()
     metrics.get(metric).block(new[:200], z)
     return (time.perf_counter() - t) / (min(200, len(new)) * len(z))
-
-
-def summarise(spark: SparkSession, errors: DataFrame) -> DataFrame:
-    return E.fold_summary(errors)

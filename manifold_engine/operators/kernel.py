@@ -110,10 +110,14 @@ def require_connected(points: DataFrame, pairs: DataFrame, r: float, keep: str |
 
 
 def local_edges(ids: np.ndarray, pairs: DataFrame, eps: float | None):
-    """Collected edges over ``ids`` for a local solver (the caller has checked the size)."""
+    """Collected edges over ``ids`` for a local solver; they are counted first and refused beyond ``planner.LOCAL_EDGES``."""
     from ..functions.linalg import SymmetricEdges
+    from ..plans import planner
 
-    t = pairs.select("i", "j", "d").toArrow()
+    pairs = spool(pairs.select("i", "j", "d"), "edges")
+    if (n := pairs.count()) > planner.LOCAL_EDGES:
+        raise ValueError(f"{n} edges are too many to hold: use growth='star_rounds' or 'boruvka_rounds', solver='distributed', or a smaller radius")
+    t = pairs.toArrow()
     i, j = np.searchsorted(ids, t["i"].to_numpy()), np.searchsorted(ids, t["j"].to_numpy())
     d = t["d"].to_numpy()
     a = np.ones_like(d) if eps is None else np.exp(-d * d / (2 * eps))

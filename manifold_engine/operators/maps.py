@@ -71,15 +71,18 @@ def fit_local(ids: np.ndarray, x: np.ndarray, eps: float, modes: int, metric: st
     block = metrics.get(metric).block
     cut = K.cut_radius(eps, drop_below) if drop_below else np.inf
     i, j, a = [], [], []
-    step = max(1, 4_000_000 // max(n, 1))
+    step, held = max(1, 4_000_000 // max(n, 1)), 0
     for s in range(0, n, step):
         d = block(x[s : s + step], x[s:])
         r, q = np.nonzero((d <= cut) & (np.arange(d.shape[1])[None, :] > np.arange(d.shape[0])[:, None]))
         i.append(r + s)
         j.append(q + s)
         a.append(np.exp(-(d[r, q] ** 2) / (2 * eps)))
+        held += len(r)
+        if held > planner.LOCAL_EDGES:
+            raise ValueError(f"more than {planner.LOCAL_EDGES} affinities: cut small ones with drop_below, fit on landmarks, or use solver='distributed'")
     edges = SymmetricEdges(n, *(np.concatenate(v) if v else np.zeros(0, np.int64) for v in (i, j, a)), np.ones(n))
-    lam, psi, deg = local_modes(edges, c, min(modes, n), planner.choose_solver(n, len(edges.vals) // 2) if n > planner.DENSE_POINTS else "dense", seed)
+    lam, psi, deg = local_modes(edges, c, min(modes, n), "dense" if n <= planner.DENSE_POINTS else "lanczos", seed)
     return Model(ids, x, c, lam, psi, deg, eps, metric, kind=kind)
 
 
@@ -101,20 +104,28 @@ def fit_full(points: DataFrame, eps: float, modes: int, metric: str = "euclidean
     return fit_local(ids, x, eps, modes, metric, drop_below=drop_below)
 
 
-def assign(points: DataFrame, ids: np.ndarray, vecs: np.ndarray, metric: str = "euclidean") -> DataFrame:
-    """``id, lid, d``: nearest landmark of each point, ties to the smallest landmark id.  Map-only."""
+def assign(points: DataFrame, ids: np.ndarray, vecs: np.ndarray, metric: str = "euclidean", index: str | None = None) -> DataFrame:
+    """``id, lid, d``: nearest landmark of each point, ties to the smallest landmark id.  Map-only.
+
+    ``index="pivot"`` skips the landmarks that the triangle inequality rules out.
+    """
     order = np.argsort(ids, kind="stable")
     lids, z = ids[order], vecs[order]
     block = metrics.get(metric).block
+    tree = PivotIndex(z, metric) if index == "pivot" else None
 
     def run(batches):
         for b in batches:
             x = P.matrix(b.column("vec"))
             if not len(x):
                 continue
-            d = block(x, z)
-            at = d.argmin(1)
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(lids[at]), pa.array(d[np.arange(len(x)), at])], names=["id", "lid", "d"])
+            if tree is None:
+                d = block(x, z)
+                at = d.argmin(1)
+                best = d[np.arange(len(x)), at]
+            else:
+                at, best = tree.nearest(x)
+            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(lids[at]), pa.array(best)], names=["id", "lid", "d"])
 
     return points.select("id", "vec").mapInArrow(run, "id long, lid long, d double")
 
@@ -161,13 +172,106 @@ def nystrom(x: np.ndarray, model: Model, k: int, radius: float | None = None) ->
     return (w @ model.coordinates(k)) / w.sum(1, keepdims=True) / model.lam[1 : k + 1], at, best
 
 
-def extend(new: DataFrame, model: Model, k: int, reach: float | None = None, radius: float | None = None, strategy: str | None = None) -> DataFrame:
+class PivotIndex:
+    """Fitted points in cells around about sqrt(M) of them, so that a search need not measure all M distances.
+
+    A cell whose pivot is farther than the radius plus the cell's own reach
+    holds nothing within the radius, in any metric.
+    """
+
+    def __init__(self, vecs: np.ndarray, metric: str, pivots: int | None = None):
+        self.metric = metrics.get(metric)
+        if not self.metric.is_metric:
+            raise ValueError(f"{self.metric.name} is no metric: it cannot be searched by pivots")
+        self.vecs = vecs
+        want = min(len(vecs), pivots or max(1, round(len(vecs) ** 0.5)))
+        at, near = [0], self.metric.block(vecs, vecs[:1])[:, 0]
+        while len(at) < want and near.max() > 0:  # farthest first: cells stay small
+            at.append(int(near.argmax()))
+            near = np.minimum(near, self.metric.block(vecs, vecs[at[-1] :][:1])[:, 0])
+        self.centre = vecs[at]
+        d = self.metric.block(vecs, self.centre)
+        cell = d.argmin(1)
+        self.members = [np.flatnonzero(cell == c) for c in range(len(at))]
+        self.reach = np.array([d[m, c].max() if len(m) else -np.inf for c, m in enumerate(self.members)])
+
+    def search(self, x: np.ndarray, radius: float):
+        """``(rows, members, distances)`` for each cell that some rows have to look into."""
+        far = self.metric.block(x, self.centre)
+        slack = 1e-9 * (1.0 + np.abs(far))
+        for c, own in enumerate(self.members):
+            rows = np.flatnonzero(far[:, c] <= radius + self.reach[c] + slack[:, c])
+            if len(own) and len(rows):
+                yield rows, own, self.metric.block(x[rows], self.vecs[own])
+
+    def nearest(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Index and distance of the nearest fitted point of each row, ties to the smallest index; cells too far are not looked into."""
+        far = self.metric.block(x, self.centre)
+        at, best = np.full(len(x), len(self.vecs)), np.full(len(x), np.inf)
+        low = np.maximum(far - self.reach[None, :], 0.0)
+        order = np.argsort(low, axis=1, kind="stable")
+        for turn in range(far.shape[1]):
+            cell = order[:, turn]
+            open_ = np.flatnonzero(low[np.arange(len(x)), cell] <= best + 1e-9 * (1.0 + np.where(np.isfinite(best), best, 0.0)))
+            if not len(open_):
+                break
+            for c in np.unique(cell[open_]).tolist():
+                rows, own = open_[cell[open_] == c], self.members[c]
+                if not len(own):
+                    continue
+                d = self.metric.block(x[rows], self.vecs[own])
+                got = d.argmin(1)
+                d, got = d[np.arange(len(rows)), got], own[got]
+                better = (d < best[rows]) | ((d == best[rows]) & (got < at[rows]))
+                best[rows[better]], at[rows[better]] = d[better], got[better]
+        return at, best
+
+
+def nystrom_indexed(x: np.ndarray, model: Model, index: PivotIndex, k: int, radius: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The truncated extension over an index: only fitted points that may lie within ``radius`` are measured.
+
+    A point with none within the radius takes its nearest fitted point, as in
+    ``nystrom(radius=...)``.
+    """
+    at, best = index.nearest(x)
+    top, total = np.zeros((len(x), k)), np.zeros(len(x))
+    for rows, own, d in index.search(x, radius):
+        w = np.exp((best[rows, None] ** 2 - d**2) / (2 * model.eps)) * model.counts[own]
+        w[(d > radius) & (d > best[rows, None])] = 0.0
+        top[rows] += w @ model.psi[own, 1 : k + 1]
+        total[rows] += w.sum(1)
+    alone = total == 0
+    top[alone], total[alone] = model.psi[at[alone], 1 : k + 1], 1.0
+    return top / total[:, None] / model.lam[1 : k + 1], at, best
+
+
+def extension_weights(new: DataFrame, model: Model, least: float) -> DataFrame:
+    """``id, lid, w``: the normalised weights of at least ``least`` in each point's extension.  Map-only."""
+
+    def run(batches):
+        for b in batches:
+            for s in range(0, b.num_rows, step := max(1, 4_000_000 // max(1, model.size))):
+                part = b.slice(s, step)
+                d = metrics.get(model.metric).block(P.matrix(part.column("vec")), model.vecs)
+                w = np.exp((d.min(1, keepdims=True) ** 2 - d**2) / (2 * model.eps)) * model.counts
+                w /= w.sum(1, keepdims=True)
+                r, c = np.nonzero(w >= least)
+                yield pa.RecordBatch.from_arrays([part.column("id").take(pa.array(r)), pa.array(model.ids[c]), pa.array(w[r, c])], names=["id", "lid", "w"])
+
+    return new.select("id", "vec").mapInArrow(run, "id long, lid long, w double")
+
+
+def extend(new: DataFrame, model: Model, k: int, reach: float | None = None, radius: float | None = None, strategy: str | None = None, index: str | None = None) -> DataFrame:
     """Embed new points; ``extrapolated`` where the nearest fitted point is farther than ``reach`` (default sqrt(eps)).
 
     One map-only stage while the model fits in a task; a larger one is joined
-    in blocks.  Works on streams.
+    in blocks.  ``radius`` cuts the sum off; with ``index="pivot"`` the points
+    beyond it are not even measured.  Works on streams.
     """
     reach = model.eps**0.5 if reach is None else reach
+    if index not in (None, "pivot") or (index and radius is None):
+        raise ValueError("index must be None, or 'pivot' with a radius")
+    tree = PivotIndex(model.vecs, model.metric) if index else None
     if (strategy or planner.choose_extension(model.size, model.vecs.shape[1], k)) == "tiles":
         return _extend_tiles(new, model, k, reach)
 
@@ -175,7 +279,8 @@ def extend(new: DataFrame, model: Model, k: int, reach: float | None = None, rad
         for b in batches:
             for s in range(0, b.num_rows, step := max(1, 8_000_000 // max(1, model.size))):
                 part = b.slice(s, step)
-                psi, at, best = nystrom(P.matrix(part.column("vec")), model, k, radius)
+                x = P.matrix(part.column("vec"))
+                psi, at, best = nystrom(x, model, k, radius) if tree is None else nystrom_indexed(x, model, tree, k, radius)
                 yield pa.RecordBatch.from_arrays(
                     [part.column("id"), pa.ListArray.from_arrays(pa.array(np.arange(0, psi.size + 1, k, dtype=np.int32)), pa.array(psi.ravel())), pa.array(model.ids[at]), pa.array(best), pa.array(best > reach), pa.array([model.version] * len(at))],
                     names=["id", "psi", "nearest_lid", "d_min", "extrapolated", "model_version"],

@@ -23,9 +23,9 @@ def align(true: np.ndarray, approx: np.ndarray, how: str = "sign") -> np.ndarray
 
 
 def zeta_local(true: np.ndarray, approx: np.ndarray, ranges: np.ndarray | None = None) -> np.ndarray:
-    """Percent deviation of each point, every mode scaled by its range in the true embedding."""
+    """Percent deviation of each point: root of the sum over the modes, every mode scaled by its range in the true embedding."""
     span = np.ptp(true, axis=0) if ranges is None else ranges
-    return 100.0 * np.sqrt((((approx - true) / span) ** 2).mean(1))
+    return 100.0 * np.sqrt((((approx - true) / span) ** 2).sum(1))
 
 
 def z_local(zeta: np.ndarray) -> float:
@@ -37,7 +37,7 @@ def zeta(true: DataFrame, approx: DataFrame, k: int) -> DataFrame:
     spans = true.agg(*[(F.max(F.col("psi")[c]) - F.min(F.col("psi")[c])).alias(f"r{c}") for c in range(k)])
     both = true.select("id", F.col("psi").alias("t")).join(approx.select("id", F.col("psi").alias("a")), "id").crossJoin(F.broadcast(spans))
     terms = [((F.col("a")[c] - F.col("t")[c]) / F.col(f"r{c}")) * ((F.col("a")[c] - F.col("t")[c]) / F.col(f"r{c}")) for c in range(k)]
-    return both.select("id", (F.lit(100.0) * F.sqrt(sum(terms[1:], terms[0]) / float(k))).alias("zeta"))
+    return both.select("id", (F.lit(100.0) * F.sqrt(sum(terms[1:], terms[0]))).alias("zeta"))
 
 
 def zeta_max(z: DataFrame) -> DataFrame:
@@ -56,30 +56,43 @@ def observed_shift(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def fold_summary(errors: DataFrame, by: tuple[str, ...] = ("method", "split")) -> DataFrame:
-    """Mean and sample deviation over folds."""
-    return errors.groupBy(*by).agg(F.count("*").alias("folds"), F.avg("z").alias("z_mean"), F.stddev_samp("z").alias("z_sd"), F.avg("m").alias("m_mean"))
+    """Mean and sample deviation over folds of Z, of the landmark count and of its percentage of the ``n`` points fitted."""
+    percent = 100.0 * F.col("m") / F.col("n")
+    return errors.groupBy(*by).agg(
+        F.count("*").alias("folds"),
+        F.avg("z").alias("z_mean"),
+        F.stddev_samp("z").alias("z_sd"),
+        F.max("z_max").alias("z_max"),
+        F.avg("m").alias("m_mean"),
+        F.stddev_samp("m").alias("m_sd"),
+        F.avg(percent).alias("percent_mean"),
+        F.stddev_samp(percent).alias("percent_sd"),
+    )
 
 
 def ideal_speedup(n: int, m: int) -> float:
     return n / m
 
 
-def distance_evaluations(new_points: int, fitted: int) -> int:
-    """Metric calls of an extension: each new point meets each fitted point once."""
-    return new_points * fitted
+def counted(metric, counter):
+    """The metric with a Spark accumulator that every distance it computes is added to (also those of tasks run again)."""
+    from ..functions import metrics
 
+    m = metrics.get(metric)
 
-def observed_rows(df: DataFrame, name: str = "rows"):
-    """``df`` with a row counter attached, and the observation to read after an action."""
-    from pyspark.sql import Observation
+    def block(x, y):
+        d = m.block(x, y)
+        counter.add(int(d.size))
+        return d
 
-    o = Observation(name)
-    return df.observe(o, F.count(F.lit(1)).alias("n")), o
+    return metrics.Metric(m.name, block, m.is_metric, m.column)
 
 
-def timed(df: DataFrame, repeats: int = 3) -> float:
-    """Median wall time of running ``df`` into a sink that keeps nothing."""
+def timed(df: DataFrame, repeats: int = 3, warm_up: bool = True) -> float:
+    """Median wall time of running ``df`` into a sink that keeps nothing, after a run that is not counted."""
     took = []
+    if warm_up:
+        df.write.format("noop").mode("overwrite").save()
     for _ in range(repeats):
         t = time.perf_counter()
         df.write.format("noop").mode("overwrite").save()

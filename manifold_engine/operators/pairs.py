@@ -24,7 +24,7 @@ from ..functions import metrics
 from ..spool import plan_bytes, shuffle_partitions, spool
 
 PAIRS = "i long, j long, d double"
-BROADCAST_BYTES = 64 << 20
+CROWD = 5_000  # points of a cell that one block holds
 
 
 def matrix(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
@@ -86,12 +86,19 @@ def grid_pairs(points: DataFrame, within: float, dims: int) -> DataFrame:
     """Exact radius join of Euclidean points in ``dims`` <= 4 dimensions by cells."""
     cell = F.transform("vec", lambda x: F.floor(x / within))
     rows = points.select("id", "vec", cell.alias("c"))
+    # a crowded cell is dealt into blocks: its own points by hash, visitors go to each block
+    crowded = spool(rows.groupBy(F.col("c").alias("cell")).agg(F.ceil(F.count("*") / CROWD).cast("int").alias("blocks")).where("blocks > 1"), "crowded")
     offsets = [[]]
     for _ in range(dims):
         offsets = [o + [s] for o in offsets for s in (-1, 0, 1)]
     near = F.explode(F.array(*[F.array(*[(F.col("c")[k] + s) for k, s in enumerate(o)]) for o in offsets]))
     left = rows.select(F.col("id").alias("i"), F.col("vec").alias("u"), near.alias("cell"))
     right = rows.select(F.col("id").alias("j"), F.col("vec").alias("v"), F.col("c").alias("cell"))
+    if crowded.limit(1).count():
+        blocks = F.coalesce("blocks", F.lit(1))
+        left = left.join(crowded, "cell", "left").select("i", "u", "cell", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("k"))
+        right = right.join(crowded, "cell", "left").select("j", "v", "cell", F.pmod(F.xxhash64("j"), blocks).cast("int").alias("k"))
+        return left.join(right, ["cell", "k"]).where(F.col("i") < F.col("j")).select("i", "j", metrics.euclidean(F.col("u"), F.col("v")).alias("d")).where(F.col("d") <= within)
     return left.join(right, "cell").where(F.col("i") < F.col("j")).select("i", "j", metrics.euclidean(F.col("u"), F.col("v")).alias("d")).where(F.col("d") <= within)
 
 
@@ -99,14 +106,16 @@ def pivot_pairs(points: DataFrame, within: float, metric: str = "euclidean", piv
     """Exact radius join of any metric: each point lives in its nearest pivot's cell and visits every cell it can reach.
 
     A partner within ``r`` of x whose cell is p has ``d(x,p) <= d(x,own) + 2r``.
-    The pivots are a bounded sample (``pivots`` vectors travel with the tasks).
+    The pivots are a sample in hash order that travels with the tasks: about the
+    square root of the number of points, 64 to 4,096, so that cells and the
+    visits to them grow alike.
     """
     m = metrics.get(metric)
     if not m.is_metric:
         raise ValueError(f"{m.name} is no metric: use strategy='tile'")
     from ..sources.points import by_hash_order
 
-    count = pivots or 64
+    count = pivots or min(4_096, max(64, round(points.count() ** 0.5)))
     centre = np.array([r["vec"] for r in by_hash_order(points, count, seed).select("vec").collect()], float)
     if not len(centre):
         return points.sparkSession.createDataFrame([], PAIRS)

@@ -100,6 +100,13 @@ def spectrum_table(spark: SparkSession, lam: np.ndarray) -> DataFrame:
     return spark.createDataFrame(rows, "l int, lambda double, gap double, timescale double")
 
 
+def laplacian_table(spark: SparkSession, lam: np.ndarray) -> DataFrame:
+    """``l, mu, gap, relaxation``: the same modes as those of ``1 - M``: values, rise to the next, and 1/mu (null for the trivial mode)."""
+    mu = 1.0 - lam
+    rows = [(n + 1, float(v), float(mu[n + 1] - v) if n + 1 < len(mu) else None, 1.0 / float(v) if n and v > 0 else None) for n, v in enumerate(mu)]
+    return spark.createDataFrame(rows, "l int, mu double, gap double, relaxation double")
+
+
 def choose_dimension(spectrum: DataFrame, max_k: int = 10, least: float = 0.02, rule: str = "largest_gap") -> int:
     """Modes before the largest gap behind a non-trivial mode; 0 if no gap exceeds ``least`` (a flat spectrum)."""
     if rule != "largest_gap":

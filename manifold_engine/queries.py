@@ -136,6 +136,33 @@ def dist_rmsd_planar(s, d):
     return both(R.planar_paths(s, d)).select("i", "j", r6(D.rmsd_planar(F.col("u"), F.col("v"))).alias("d"))
 
 
+@query("with h as (select distinct user_id as id, date_trunc('day', ts) as h from events), s as (select id, list(h) as hs from h group by id) select a.id as i, b.id as j, round(1.0 - len(list_intersect(a.hs, b.hs)) / cast(len(list_distinct(list_concat(a.hs, b.hs))) as double), 6) + 0.0 as d from s a join s b on a.id < b.id")
+def dist_jaccard(s, d):
+    """Jaccard distance of the sets of days on which users have events."""
+    e = R.table(s, d, "events").groupBy(F.col("user_id").alias("id")).agg(F.collect_set(F.col("ts").cast("date")).alias("vec"))
+    return both(spool(e, "days")).select("i", "j", r6(D.jaccard(F.col("u"), F.col("v"))).alias("d"))
+
+
+@query()
+def laplacian_spectrum(s, d):
+    """The modes as those of ``1 - M``: values, rises, relaxation times."""
+    return S.laplacian_table(s, user_model(s, d).lam)
+
+
+@query()
+def landmarks_by_partition(s, d):
+    """Other selections over the users: cells of two partitioners, and sparse regression of the affinities; size and cover radius."""
+    p = users(s, d)
+    ids, x = M.collect_points(p, 60_000)
+    rows = []
+    for how in ("kmeans", "bisecting"):
+        lids = np.sort(L.partition_landmarks(p, LANDMARKS, how).toArrow()["lid"].to_numpy())
+        rows.append((how, len(lids), float(D.euclidean_block(x, x[np.searchsorted(ids, lids)]).min(1).max())))
+    at = L.sparse_regression_landmarks(x[:1_000], LANDMARKS, EPS)
+    rows.append(("sparse_regression", len(at), float(D.euclidean_block(x, x[at]).min(1).max())))
+    return s.createDataFrame(rows, "how string, m long, cover_radius double")
+
+
 @query()
 def dist_rmsd(s, d):
     """RMSD over all users' chains: three-dimensional superposition of paths lifted to the plane, by block kernel."""
@@ -463,6 +490,17 @@ def pst_landmarks(s, d):
     return L.prune_leaves(user_tree(s, d)[1])
 
 
+FOREST_SQL = f"{COMP_SQL}, c as (select a as id, min(b) as comp from r group by a), ge as (select i as u, j as v from g where i <> j), rr as (select distinct comp as v, 0 as depth from c union select ge.v, rr.depth + 1 from rr join ge on rr.v = ge.u where rr.depth < 30), t as (select v, min(depth) as depth from rr group by v), tree as (select t.v as child, min(q.v) as parent from t left join ge on ge.v = t.v left join t q on q.v = ge.u and q.depth = t.depth - 1 group by t.v), td as (select id, count(*) as degree from (select child as id from tree where parent is not null union all select parent from tree where parent is not null) group by id), inner_ as (select id as lid from td where degree > 1)"
+
+
+@query(f"with recursive {FOREST_SQL} select lid from inner_ union all select min(id) from c where comp not in (select comp from c join inner_ on id = lid) group by comp")
+def pst_forest(s, d):
+    """Pruned trees of a threshold graph in several pieces, one tree each, grown in the same rounds."""
+    p, pr = user_pairs(s, d)
+    graph = spool(L.threshold_graph(pr, CLOSE), "graph")
+    return L.prune_leaves(L.tree_in_rounds(graph, L.component_roots(p, graph), "min_id"))
+
+
 @query()
 def pst_growth_orders(s, d):
     """Landmark counts of every growth order, with the covering and connection checks."""
@@ -477,6 +515,8 @@ def pst_growth_orders(s, d):
         graph = L.threshold_graph(pr, RADIUS)
         t = L.prune_leaves(L.tree_in_rounds(graph, L.component_roots(p, graph), rule)).toArrow()["lid"].to_numpy()
         rows.append((f"star_rounds/{rule}", np.sort(t)))
+    graph = spool(L.threshold_graph(pr, RADIUS), "graph")
+    rows.append(("boruvka_rounds", np.sort(L.prune_edges(p, graph, L.boruvka_rounds(graph)).toArrow()["lid"].to_numpy())))
     out = []
     for g, lids in rows:
         z = x[np.searchsorted(ids, lids)]
@@ -499,13 +539,14 @@ def medoid_update(s, d):
 
 @query()
 def medoids(s, d):
-    """Voronoi iteration to the end over all events, from random and from spread seeds: rounds and total costs."""
+    """Voronoi iteration over all events, from random and from spread seeds: rounds, total costs, and whether no medoid moved at the end."""
     p = spool(R.plane(s, d), "plane")
     rows = []
     for init in ("random", "plusplus"):
-        lids, costs = L.medoids(p, 40, max_iter=4, init=init)
-        rows.append((init, lids.count(), len(costs), costs[0], costs[-1]))
-    return s.createDataFrame(rows, "init string, m long, rounds long, first_cost double, last_cost double")
+        report: dict = {}
+        lids, costs = L.medoids(p, 10, max_iter=25, init=init, report=report)
+        rows.append((init, lids.count(), len(costs), costs[0], costs[-1], report["converged"]))
+    return s.createDataFrame(rows, "init string, m long, rounds long, first_cost double, last_cost double, converged boolean")
 
 
 @query(f"with {P_SQL} select id as lid from p order by md5('0:' || id), id limit {LANDMARKS}")
@@ -618,13 +659,7 @@ def reduced_unweighted(s, d):
 @query(f"with {PLANE_SQL}, c as (select lid, count(*) as c from v group by lid), w as (select q.id, lm.lid, c.c * exp(-((q.x - lm.x) * (q.x - lm.x) + (q.y - lm.y) * (q.y - lm.y)) / {2 * PLANE_EPS}) as w from q, lm join c on lm.lid = c.lid) select id, lid, round(w / t, 6) + 0.0 as w from (select *, sum(w) over (partition by id) as t from w) where w / t >= 0.05")
 def nystrom_reduced_weights(s, d):
     """Weights of at least 0.05 of every event's extension over the landmarks."""
-    p, m = plane_model(s, d)
-    z = s.createDataFrame(pa.table({"lid": pa.array(m.ids), "z": pa.array(list(m.vecs), pa.list_(pa.float64())), "c": pa.array(m.counts)}))
-    every = F.broadcast(z.agg(F.collect_list(F.struct("lid", "z", "c")).alias("ls")))
-    w = F.transform("ls", lambda t: F.struct(t["lid"].alias("lid"), (t["c"] * K.gaussian(D.euclidean(F.col("vec"), t["z"]), PLANE_EPS)).alias("w")))
-    rows = p.crossJoin(every).select("id", w.alias("ws"))
-    rows = rows.withColumn("t", F.aggregate("ws", F.lit(0.0), lambda a, x: a + x["w"])).select("id", "t", F.explode("ws").alias("x"))
-    return rows.where(F.col("x.w") / F.col("t") >= 0.05).select("id", F.col("x.lid").alias("lid"), r6(F.col("x.w") / F.col("t")).alias("w"))
+    return M.extension_weights(*plane_model(s, d), 0.05).select("id", "lid", r6(F.col("w")).alias("w"))
 
 
 @query()
@@ -732,7 +767,7 @@ def fixed_embeddings(s, d):
     return p.select("id", F.col("vec").alias("psi")), cells.join(lm, "lid").select("id", "psi")
 
 
-FX_SQL = f"{LM_SQL}, fx as (select p.id, p.x, p.y, lm.x as ax, lm.y as ay from p join v on p.id = v.id join lm on lm.lid = v.lid), zt as (select id, 100.0 * sqrt((power((ax - x) / (max(x) over () - min(x) over ()), 2) + power((ay - y) / (max(y) over () - min(y) over ()), 2)) / 2.0) as zeta from fx)"
+FX_SQL = f"{LM_SQL}, fx as (select p.id, p.x, p.y, lm.x as ax, lm.y as ay from p join v on p.id = v.id join lm on lm.lid = v.lid), zt as (select id, 100.0 * sqrt((power((ax - x) / (max(x) over () - min(x) over ()), 2) + power((ay - y) / (max(y) over () - min(y) over ()), 2))) as zeta from fx)"
 
 
 @query(f"with {FX_SQL} select id, round(sqrt((x - ax) * (x - ax) + (y - ay) * (y - ay)), 6) + 0.0 as sigma from fx")
@@ -756,12 +791,12 @@ def z_error(s, d):
     return E.z_error(E.zeta(*fixed_embeddings(s, d), 2)).select(r6(F.col("z")).alias("z"))
 
 
-@query(f"with {FX_SQL}, fo as (select id, ntile(5) over (order by md5('0:' || id), id) as fold from p), ze as (select fold, sqrt(avg(zeta * zeta)) as z from zt join fo using (id) group by fold) select 'cells' as method, 'test' as split, count(*) as folds, round(avg(z), 6) + 0.0 as z_mean, round(stddev_samp(z), 6) + 0.0 as z_sd from ze")
+@query(f"with {FX_SQL}, fo as (select id, ntile(5) over (order by md5('0:' || id), id) as fold from p), ze as (select fold, sqrt(avg(zeta * zeta)) as z, max(zeta) as zm, (select count(*) from p) - count(*) as n from zt join fo using (id) group by fold) select 'cells' as method, 'test' as split, count(*) as folds, round(avg(z), 6) + 0.0 as z_mean, round(stddev_samp(z), 6) + 0.0 as z_sd, round(max(zm), 6) + 0.0 as z_max, cast({LANDMARKS} as double) as m_mean, 0.0 :: double as m_sd, round(avg(100.0 * {LANDMARKS} / n), 6) + 0.0 as percent_mean, round(stddev_samp(100.0 * {LANDMARKS} / n), 6) + 0.0 as percent_sd from ze")
 def fold_summary(s, d):
     a, b = fixed_embeddings(s, d)
-    z = E.zeta(a, b, 2).join(R.folds(a.select("id")), "id").groupBy("fold").agg(F.sqrt(F.avg(F.col("zeta") * F.col("zeta"))).alias("z"))
-    z = z.withColumn("method", F.lit("cells")).withColumn("split", F.lit("test")).withColumn("m", F.lit(LANDMARKS))
-    return E.fold_summary(z).select("method", "split", "folds", r6(F.col("z_mean")).alias("z_mean"), r6(F.col("z_sd")).alias("z_sd"))
+    z = E.zeta(a, b, 2).join(R.folds(a.select("id")), "id").groupBy("fold").agg(F.sqrt(F.avg(F.col("zeta") * F.col("zeta"))).alias("z"), F.max("zeta").alias("z_max"), F.count("*").alias("held"))
+    z = z.withColumn("n", F.lit(a.count()) - F.col("held")).withColumn("method", F.lit("cells")).withColumn("split", F.lit("test")).withColumn("m", F.lit(LANDMARKS))
+    return E.fold_summary(z).select("method", "split", "folds", *[r6(F.col(c)).alias(c) for c in ("z_mean", "z_sd", "z_max", "m_mean", "m_sd", "percent_mean", "percent_sd")])
 
 
 @query(f"select count(*) as n, cast({PLANE_M} as bigint) as m, round(count(*) / {PLANE_M}.0, 6) + 0.0 as ideal from events")
@@ -772,13 +807,15 @@ def ideal_speedup(s, d):
 
 @query(f"with {F_SQL} select (select count(*) from f where fold = 1) * (select count(*) from f where fold <> 1) as full_evaluations, (select count(*) from f where fold = 1) * least({LANDMARKS}, (select count(*) from f where fold <> 1)) as reduced_evaluations")
 def distance_count(s, d):
-    """Metric calls of extending the test users, counted from an observed run."""
+    """Distances computed while the test users are extended, counted in the metric itself."""
     train, test = user_split(s, d)
-    rows, seen = E.observed_rows(test)
-    full, red = M.fit_full(train, EPS, 2), M.fit_reduced(train, M.collect_points(train, 60_000)[0][:LANDMARKS], EPS, 2)
-    M.extend(rows, full, 1).write.format("noop").mode("overwrite").save()
-    n = seen.get["n"]
-    return s.createDataFrame([(E.distance_evaluations(n, full.size), E.distance_evaluations(n, red.size))], "full_evaluations long, reduced_evaluations long")
+    found = []
+    for m in (M.fit_full(train, EPS, 2), M.fit_reduced(train, M.collect_points(train, 60_000)[0][:LANDMARKS], EPS, 2)):
+        calls = s.sparkContext.accumulator(0)
+        m.metric = E.counted(m.metric, calls)
+        M.extend(test, m, 1).write.format("noop").mode("overwrite").save()
+        found.append(calls.value)
+    return s.createDataFrame([tuple(found)], "full_evaluations long, reduced_evaluations long")
 
 
 @query()

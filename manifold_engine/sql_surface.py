@@ -20,7 +20,7 @@ def register_distances(spark: SparkSession) -> None:
 
     @F.pandas_udf("double")
     def rmsd(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([float(metrics.rmsd_block(x[None], y[None])[0, 0]) for x, y in zip(a.map(np.asarray), b.map(np.asarray))], dtype=float)
+        return pd.Series(metrics.rmsd_rows(np.stack(a), np.stack(b)) if len(a) else [], dtype=float)
 
     spark.udf.register("euclid", euclid)
     spark.udf.register("rmsd", rmsd)

@@ -63,7 +63,11 @@ def purchases_after_errors(left: DataFrame, right: DataFrame, within: str = "1 h
 
 
 class BasinChanges(StatefulProcessor):
-    """Remembers each user's last basin (sign of the first coordinate); emits a row when it changes, and forgets idle users by a timer."""
+    """Remembers each user's last basin (sign of the first coordinate); emits a row when it changes.
+
+    An event-time timer forgets a user whose last event lies ``idle_ms`` behind
+    the watermark, so the state holds active users only.
+    """
 
     def __init__(self, idle_ms: int = 7 * 86_400_000):
         self.idle_ms = idle_ms
@@ -72,7 +76,7 @@ class BasinChanges(StatefulProcessor):
         self.handle = handle
         self.last = handle.getValueState("basin", "basin int, since timestamp")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         data = pd.concat(list(rows)).sort_values(["ts", "id"])
         now = self.last.get() if self.last.exists() else None
         basin = now[0] if now else None
@@ -81,10 +85,14 @@ class BasinChanges(StatefulProcessor):
             if basin is not None and b != basin:
                 out.append((key[0], int(i), ts, int(basin), int(b)))
             basin = b
-        self.last.update((int(basin), data["ts"].iloc[-1]))
+        latest = data["ts"].iloc[-1]
+        self.last.update((int(basin), latest))
+        for t in list(self.handle.listTimers()):
+            self.handle.deleteTimer(t)
+        self.handle.registerTimer(int(pd.Timestamp(latest).timestamp() * 1000) + self.idle_ms)
         yield pd.DataFrame(out, columns=["user_id", "id", "ts", "was", "now"])
 
-    def handleExpiredTimer(self, key, timer_values, expired) -> Iterator[pd.DataFrame]:
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
         self.last.clear()
         yield pd.DataFrame([], columns=["user_id", "id", "ts", "was", "now"])
 
@@ -95,9 +103,9 @@ class BasinChanges(StatefulProcessor):
 CHANGES = "user_id long, id long, ts timestamp, was int, now int"
 
 
-def basin_changes(embedded: DataFrame) -> DataFrame:
-    rows = embedded.select("user_id", "id", "ts", (F.col("psi")[0] > 0).cast("int").alias("basin"))
-    return rows.groupBy("user_id").transformWithStateInPandas(BasinChanges(), outputStructType=CHANGES, outputMode="Append", timeMode="None")
+def basin_changes(embedded: DataFrame, late: str = "1 day", idle_ms: int = 7 * 86_400_000) -> DataFrame:
+    rows = embedded.withWatermark("ts", late).select("user_id", "id", "ts", (F.col("psi")[0] > 0).cast("int").alias("basin"))
+    return rows.groupBy("user_id").transformWithStateInPandas(BasinChanges(idle_ms), outputStructType=CHANGES, outputMode="Append", timeMode="EventTime")
 
 
 def basin_changes_batch(embedded: DataFrame) -> DataFrame:
@@ -124,7 +132,10 @@ def drift(rates: DataFrame, limit: float = 0.05) -> DataFrame:
 
 
 def run_available(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Run a stream over what is there into a Parquet table (append) or a memory table, and read it back."""
+    """Run a stream over what is there into a Parquet table and read it back.
+
+    Complete results replace the table batch by batch; nothing is kept on the driver.
+    """
     from ..spool import shared_dir
 
     import uuid
@@ -136,7 +147,9 @@ def run_available(stream: DataFrame, name: str, mode: str = "append", checkpoint
         q = w.format("parquet").start(f"{base}/out")
         q.awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{base}/out")
-    table = f"{name}_{uuid.uuid4().hex}"
-    q = w.format("memory").queryName(table).start()
-    q.awaitTermination()
-    return spark.table(table)
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/{name}")
+
+    w.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{base}/{name}")

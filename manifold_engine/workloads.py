@@ -1,12 +1,12 @@
 """The experiments, re-expressed over the given tables.
 
-Every query reads its whole table.  A full map is fitted on all points while a
-local solver holds them (``FIT_POINTS``); of a larger table it is fitted on the
-first ``FIT_POINTS`` in md5 order, a sample whose size is this parameter, and
-every row is embedded.
+Maps are fitted on all points while a local solver holds them; of a larger
+table they are fitted on the first so many in md5 order, a sample whose size is
+a parameter (``FIT_POINTS``, ``FITS``), and every row of the table is embedded
+by them and counts in the errors.  Parity needs all modes of the full map, of
+which a sample alone is held (``PARITY_POINTS``).
 
-``python -m manifold_engine.workloads [sf_dir]`` runs the long cross-validated
-tables and prints them.
+``python -m manifold_engine.workloads [sf_dir]`` prints the error tables.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import metrics as D
-from .functions.linalg import bottleneck, bottleneck_rows
+from .functions.linalg import bottleneck_rows
 from .operators import crossval as C
 from .operators import kernel as K
 from .operators import landmarks as L
@@ -75,98 +75,164 @@ def x1_roll(s, d):
     b = M.extend(p, red, 2).select("id", F.col("psi").alias("r"))
     fitted = F.broadcast(s.createDataFrame(pa.table({"fid": pa.array(ids[train])})))
     out = a.join(b, "id").join(fitted, F.col("id") == F.col("fid"), "left").join(p, "id")
-    z = F.lit(100.0) * F.sqrt((F.pow((F.col("r")[0] - F.col("t")[0]) / float(span[0]), 2) + F.pow((F.col("r")[1] - F.col("t")[1]) / float(span[1]), 2)) / 2)
+    z = F.lit(100.0) * F.sqrt((F.pow((F.col("r")[0] - F.col("t")[0]) / float(span[0]), 2) + F.pow((F.col("r")[1] - F.col("t")[1]) / float(span[1]), 2)))
     angle = F.sqrt(F.col("vec")[0] * F.col("vec")[0] + F.col("vec")[2] * F.col("vec")[2])
     return out.select("id", F.when(F.col("fid").isNotNull(), "train").otherwise("test").alias("split"), F.col("t")[0].alias("psi2"), F.col("t")[1].alias("psi3"), F.col("r")[0].alias("psi2r"), F.col("r")[1].alias("psi3r"), z.alias("zeta"), angle.alias("angle"))
 
 
-LATTICE_METHODS = ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5", "random:0.25", "medoids:0.25!unweighted"]
+#: workload: recipe, metric, k, methods, affinities cut below, points fitted
+FITS = {
+    "roll": (R.roll, "euclidean", 2, ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5"], 1e-4, 5_000),
+    "bead_chain": (R.bead_chain, "rmsd", 4, ["pst", "medoids:0.0063", "medoids:0.0125", "medoids:0.0375"], 1e-6, 2_500),
+    "torsion_pair": (R.torsion_pair, "rmsd", 2, ["pst", "medoids:0.01", "medoids:0.02", "medoids:0.05"], 1e-6, 2_500),
+}
+
+
+def error_table(s: SparkSession, d: str, name: str, fit_points: int | None = None, align: str = "procrustes") -> DataFrame:
+    """Five-fold errors over every row at each fold's smallest connecting bandwidth, with landmark counts and shares."""
+    recipe, metric, k, methods, cut, most = FITS[name]
+    e = spool(C.cross_validate(recipe(s, d), methods, None, k, metric, drop_below=cut, align=align, fit_points=fit_points or most), "errors")
+    return E.fold_summary(e).crossJoin(e.agg(F.avg("eps").alias("eps"), F.max("points").alias("points")))
+
+
+@query
+def x2_roll(s, d):
+    """Error table of the roll (Euclidean, two modes)."""
+    return error_table(s, d, "roll")
+
+
+@query
+def x2_chain(s, d):
+    """Error table of the bead chain (RMSD in space, four modes)."""
+    return error_table(s, d, "bead_chain")
+
 
+@query
+def x2_torsion(s, d):
+    """Error table of the torsion pair (RMSD in space, two modes)."""
+    return error_table(s, d, "torsion_pair")
 
-def lattice_points(s, d) -> DataFrame:
-    return R.by_hash_order(R.lattice(s, d), FIT_POINTS)
+
+LATTICE_METHODS = ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5", "random:0.25", "medoids:0.25!unweighted"]
+LATTICE_FIT = 6_000
 
 
 @query
 def x2_error_table(s, d):
-    """Five-fold errors of every method on the part lattice at each fold's smallest connecting bandwidth: mean and deviation."""
-    e = spool(C.cross_validate(lattice_points(s, d), LATTICE_METHODS, None, 2, drop_below=1e-5, align="procrustes"), "errors")
+    """A fourth workload with many equal distances, the part lattice, and the ablation without cell counts."""
+    e = spool(C.cross_validate(R.lattice(s, d), LATTICE_METHODS, None, 2, drop_below=1e-5, align="procrustes", fit_points=LATTICE_FIT), "errors")
     return E.fold_summary(e)
 
 
 @query
 def x2_folds(s, d):
     """The same, fold by fold."""
-    return C.cross_validate(lattice_points(s, d), ["pst", "medoids:0.25"], None, 2, drop_below=1e-5, align="procrustes")
+    return C.cross_validate(R.lattice(s, d), ["pst", "medoids:0.25"], None, 2, drop_below=1e-5, align="procrustes", fit_points=LATTICE_FIT)
 
 
 @query
 def x3_bandwidth_sweep(s, d):
-    """Errors and landmark counts at multiples of the smallest bandwidth."""
-    p = spool(lattice_points(s, d), "lattice")
-    _, x = M.collect_points(p, FIT_POINTS)
-    eps = bottleneck_rows(x, D.euclidean_block) ** 2
-    e = C.bandwidth_sweep(p, ["pst", "medoids:0.25"], eps, 2, drop_below=1e-5, align="procrustes")
+    """Errors and landmark counts of the torsion pair at multiples of the smallest bandwidth."""
+    p = spool(R.torsion_pair(s, d), "torsion")
+    _, x = M.collect_points(R.by_hash_order(p, 1_000), 1_000)
+    eps = bottleneck_rows(x, D.rmsd_block) ** 2
+    e = C.bandwidth_sweep(p, ["pst", "medoids:0.02", "medoids:0.1"], eps, 2, metric="rmsd", drop_below=1e-6, align="procrustes", fit_points=1_000)
     return e.groupBy("method", "split", "eps").agg(F.avg("m").alias("m"), F.avg("z").alias("z"), F.stddev_samp("z").alias("z_sd")).orderBy("method", "split", "eps")
 
 
+PARITY_POINTS = 1_200
+
+
 @query
 def x4_parity(s, d):
-    """Predicted against observed shifts of the part lattice for growing landmark counts, both bases and images.
+    """Predicted against observed shifts of the roll and the plane for growing landmark counts, both bases and images.
 
-    The lattice is narrowed to half its second axis, so that the two kept modes
-    are not degenerate.
+    ``subspace`` is ``kept`` (the shift may spread over the kept modes alone) or
+    ``all`` (over every mode of the full map, as many as points).
     """
-    p = spool(lattice_points(s, d).select("id", F.array(F.col("vec")[0], F.col("vec")[1] * 0.5).alias("vec")), "lattice")
-    ids, x = M.collect_points(p, FIT_POINTS)
-    eps = 4.0 * bottleneck_rows(x, D.euclidean_block) ** 2
-    full = M.fit_local(ids, x, eps, min(12, len(ids)), drop_below=1e-6)
-    pr = spool(P.pairs_within(p, K.cut_radius(eps, 1e-6), dims=2), "pairs")
     rows = []
-    for share in (0.1, 0.3, 0.6, 0.9):
-        at = L.local_medoids(x, max(4, round(share * len(x))), max_iter=8)
-        red, cell = C.reduced_of(ids, x, at, eps, 4, "euclidean")
-        z = s.createDataFrame(pa.table({"id": pa.array(red.ids), "vec": pa.array(list(red.vecs), pa.list_(pa.float64()))}))
-        cells = s.createDataFrame(pa.table({"id": pa.array(ids), "lid": pa.array(red.ids[cell])}))
-        reach = K.cut_radius(eps, 1e-6) + 2.0 * float(np.linalg.norm(x - red.vecs[cell], axis=1).max())
-        deltas = spool(B.distance_shift(pr, cells, P.pairs_within(z, reach, dims=2)), "deltas")
-        true = full.coordinates(2)
-        images = {"collapsed": red.coordinates(2)[cell], "interpolated": M.nystrom(x, red, 2)[0]}
-        for basis in ("plain", "stationary"):
-            for sub in (None, "all"):
-                got = B.predict(deltas, full, 2, basis, sub)
-                for image, psi in images.items():
-                    seen = np.linalg.norm(E.align(true, psi) - true, axis=1)
-                    q = B.parity(got["sigma"], seen)
-                    shift = E.eigenvalue_error(full.lam, red.lam, 1)[0]
-                    rows.append((len(at), basis, sub or "kept", image, q["correlation"], q["mean_ratio"], q["rms_log"], float(got["dlambda"][0]), float(shift)))
-    return s.createDataFrame(rows, "m int, basis string, subspace string, image string, correlation double, mean_ratio double, rms_log double, dlambda2 double, dlambda2_observed double")
+    for name, points in (("roll", R.roll(s, d)), ("plane", R.plane(s, d))):
+        p = spool(R.by_hash_order(points, PARITY_POINTS), "points")
+        ids, x = M.collect_points(p, PARITY_POINTS)
+        # the plane's outlying values call for a wide kernel; four times the least bandwidth elsewhere
+        eps = 4.0 * bottleneck_rows(x, D.euclidean_block) ** 2 if name == "roll" else bottleneck_rows(x, D.euclidean_block) ** 2
+        full = M.fit_local(ids, x, eps, len(ids))
+        pr = spool(P.all_pairs(p), "pairs")
+        for share in (0.1, 0.3, 0.6, 0.9):
+            at = L.local_medoids(x, max(4, round(share * len(x))), max_iter=8)
+            red, cell = C.reduced_of(ids, x, at, eps, 4, "euclidean")
+            z = s.createDataFrame(pa.table({"id": pa.array(red.ids), "vec": pa.array(list(red.vecs), pa.list_(pa.float64()))}))
+            cells = s.createDataFrame(pa.table({"id": pa.array(ids), "lid": pa.array(red.ids[cell])}))
+            deltas = spool(B.distance_shift(pr, cells, P.all_pairs(z)), "deltas")
+            true = full.coordinates(2)
+            images = {"collapsed": red.coordinates(2)[cell], "interpolated": M.nystrom(x, red, 2)[0]}
+            for basis in ("plain", "stationary"):
+                for sub in (None, "all"):
+                    got = B.predict(deltas, full, 2, basis, sub)
+                    for image, psi in images.items():
+                        seen = np.linalg.norm(E.align(true, psi) - true, axis=1)
+                        q = B.parity(got["sigma"], seen)
+                        shift = E.eigenvalue_error(full.lam, red.lam, 1)[0]
+                        rows.append((name, len(at), basis, sub or "kept", image, q["correlation"], q["mean_ratio"], q["rms_log"], float(got["dlambda"][0]), float(shift)))
+    return s.createDataFrame(rows, "workload string, m int, basis string, subspace string, image string, correlation double, mean_ratio double, rms_log double, dlambda2 double, dlambda2_observed double")
+
+
+#: workload: points fitted, bandwidth as a multiple of the smallest connecting one
+SPEED = {"roll": (4_000, 4.0), "bead_chain": (2_000, 2.0), "torsion_pair": (2_000, 8.0)}
+
+
+def speedup_of(s, d, name: str, repeats: int = 3) -> list[tuple]:
+    """Wall time of extending the test fold's rows by the full map and by medoids of 25, 4 and 2 percent."""
+    recipe, metric, k, _, cut, _ = FITS[name]
+    most, factor = SPEED[name]
+    p = spool(recipe(s, d), name)
+    test = F.crc32(F.col("id").cast("string")) % 5 == 0
+    new = spool(p.where(test).repartition(16), "new")
+    ids, x = M.collect_points(R.by_hash_order(p.where(~test), most), most)
+    eps = factor * bottleneck_rows(x, D.get(metric).block) ** 2
+    full = M.fit_local(ids, x, eps, k + 2, metric, drop_below=cut)
+    true = full.coordinates(k)
+    t_full = E.timed(M.extend(new, full, k), repeats)
+    rows = []
+    for share in (0.25, 0.04, 0.02):
+        red, _ = C.reduced_of(ids, x, L.local_medoids(x, max(k + 2, round(share * len(x))), metric, max_iter=15), eps, k + 2, metric)
+        t = E.timed(M.extend(new, red, k), repeats)
+        z = E.z_local(E.zeta_local(true, E.align(true, M.nystrom(x, red, k)[0], "procrustes")))
+        rows.append((name, full.size, red.size, 100.0 * red.size / full.size, t_full, t, t_full / t, E.ideal_speedup(full.size, red.size), z))
+    return rows
+
+
+SPEEDUP = "workload string, n long, m long, percent double, t_full double, t_landmark double, speedup double, ideal double, z double"
 
 
 @query
 def x5_speedup(s, d):
-    """Wall time of extending all orders by a full and by a reduced map of the roll, beside the ideal ratio."""
-    p = spool(R.roll(s, d), "roll")
-    ids, x = fit_sample(p, 4_000)
-    eps = 4.0
-    full = M.fit_local(ids, x, eps, 4, drop_below=1e-6)
-    rows = []
-    for m in (40, 160, 1000):
-        at = L.local_medoids(x, m, max_iter=3)
-        red, _ = C.reduced_of(ids, x, at, eps, 4, "euclidean")
-        got = E.speedup(p, full, red, 2, repeats=1)
-        z = E.z_local(E.zeta_local(full.coordinates(2), E.align(full.coordinates(2), M.nystrom(x, red, 2)[0], "procrustes")))
-        rows.append((full.size, red.size, got["t_full"], got["t_landmark"], got["speedup"], got["ideal"], z))
-    return s.createDataFrame(rows, "n long, m long, t_full double, t_landmark double, speedup double, ideal double, z double")
+    """Speedup of the extension on the roll, beside the ideal ratio and the error."""
+    return s.createDataFrame(speedup_of(s, d, "roll"), SPEEDUP)
+
+
+@query
+def x5_speedup_chain(s, d):
+    """The same on the bead chain, whose distances are dear."""
+    return s.createDataFrame(speedup_of(s, d, "bead_chain"), SPEEDUP)
+
+
+@query
+def x5_speedup_torsion(s, d):
+    """The same on the torsion pair."""
+    return s.createDataFrame(speedup_of(s, d, "torsion_pair"), SPEEDUP)
 
 
 @query
 def x6_tuned(s, d):
-    """Fewest medoids of the lattice that meet 3 percent on a validation fold."""
-    p = spool(lattice_points(s, d), "lattice")
-    _, x = M.collect_points(p, FIT_POINTS)
-    out = C.tune_landmarks(p, bottleneck_rows(x, D.euclidean_block) ** 2, 2, z_target=3.0, start=32, drop_below=1e-5)
-    return s.createDataFrame([(m, z, m == out["m"]) for m, z in out["tried"].items()], "m long, z double, chosen boolean")
+    """Fewest medoids of the torsion pair that meet 3 percent on a validation fold of the fitted sample, and what they give over every row."""
+    p = spool(R.torsion_pair(s, d), "torsion")
+    q = spool(R.by_hash_order(p, 1_250), "sample")
+    _, x = M.collect_points(q, 1_250)
+    eps = 4.0 * bottleneck_rows(x, D.rmsd_block) ** 2
+    out = C.tune_landmarks(q, eps, 2, z_target=3.0, metric="rmsd", start=32, drop_below=1e-6)
+    whole = C.cross_validate(p, [f"medoids:{out['m']}"], eps, 2, "rmsd", n_folds=0, drop_below=1e-6, align="procrustes", fit_points=1_250).first()["z"]
+    return s.createDataFrame([(m, z, m == out["m"], whole if m == out["m"] else None) for m, z in out["tried"].items()], "m long, z double, chosen boolean, z_every_row double")
 
 
 @query
@@ -184,37 +250,34 @@ def x7_stream(s, d):
 
 @query
 def x8_sparse_kernel(s, d):
-    """Edges, leading value and error of the lattice's map against the exact one as small affinities are cut."""
-    _, x = M.collect_points(lattice_points(s, d), FIT_POINTS)
-    ids = np.arange(len(x))
-    eps = bottleneck_rows(x, D.euclidean_block) ** 2
-    exact = M.fit_local(ids, x, eps, 4, drop_below=1e-12)
+    """Affinities kept, leading value and error of the roll's and the vectors' maps against the exact ones as small affinities are cut."""
     rows = []
-    for tol in (1e-8, 1e-6, 1e-4, 1e-2, 1e-1):
-        m = M.fit_local(ids, x, eps, 4, drop_below=tol)
-        edges = sum(int((D.euclidean_block(x[i : i + 1000], x) <= K.cut_radius(eps, tol)).sum()) for i in range(0, len(x), 1000))
-        z = E.z_local(E.zeta_local(exact.coordinates(2), E.align(exact.coordinates(2), m.coordinates(2), "procrustes")))
-        rows.append((tol, edges, float(m.lam[1]), float(exact.lam[1]), z))
-    return s.createDataFrame(rows, "drop_below double, edges long, lambda2 double, lambda2_exact double, z double")
+    for name, points, factor in (("roll", R.roll(s, d), 1.0), ("vectors", R.vectors(s, d), 1.0)):
+        ids, x = fit_sample(points, 3_000)
+        eps = factor * bottleneck_rows(x, D.euclidean_block) ** 2
+        exact = M.fit_local(ids, x, eps, 4)
+        for tol in (1e-8, 1e-6, 1e-4, 1e-2, 1e-1):
+            m = M.fit_local(ids, x, eps, 4, drop_below=tol)
+            kept = sum(int((D.euclidean_block(x[i : i + 1000], x) <= K.cut_radius(eps, tol)).sum()) for i in range(0, len(x), 1000))
+            z = E.z_local(E.zeta_local(exact.coordinates(2), E.align(exact.coordinates(2), m.coordinates(2), "procrustes")))
+            rows.append((name, tol, kept, len(x) ** 2, float(m.lam[1]), float(exact.lam[1]), z))
+    return s.createDataFrame(rows, "workload string, drop_below double, kept long, every long, lambda2 double, lambda2_exact double, z double")
 
 
 @query
 def x9_metrics(s, d):
-    """Reduced maps under other metrics: document codes (Hamming), user histograms (earth mover's), user paths (planar RMSD)."""
+    """Reduced maps under other metrics, errors over every row: document codes (Hamming), user histograms (earth mover's), user paths (planar RMSD)."""
     sets = [("hamming", _code_points(s, d)), ("emd", R.histograms(s, d)), ("rmsd2", R.planar_paths(s, d))]
     rows = []
-    for metric, p in sets:
-        ids, x = fit_sample(p, 2_000)
-        dist = D.get(metric).block(x, x)
-        eps = max(bottleneck(dist) ** 2 / 4, 1e-12)
+    for metric, points in sets:
+        p = spool(points, metric)
+        ids, x = fit_sample(p, 1_000)
+        eps = max(bottleneck_rows(x, D.get(metric).block) ** 2 / 4, 1e-12)
         full = M.fit_local(ids, x, eps, 8, metric)
         k = choose_dimension(full.spectrum(s), 5) or 1
-        at = L.local_medoids(x, max(4, len(x) // 5), metric, max_iter=5)
-        red, _ = C.reduced_of(ids, x, at, eps, k + 2, metric)
-        true = full.coordinates(k)
-        z = E.z_local(E.zeta_local(true, E.align(true, M.nystrom(x, red, k)[0], "procrustes")))
-        rows.append((metric, len(ids), red.size, eps, float(full.lam[1]), k, z))
-    return s.createDataFrame(rows, "metric string, n long, m long, eps double, lambda2 double, k int, z double")
+        e = C.cross_validate(p, [f"medoids:{max(4, len(x) // 5)}"], eps, k, metric, n_folds=0, align="procrustes", fit_points=1_000).first()
+        rows.append((metric, len(ids), e["points"], e["m"], eps, float(full.lam[1]), k, e["z"]))
+    return s.createDataFrame(rows, "metric string, n long, points long, m long, eps double, lambda2 double, k int, z double")
 
 
 def _code_points(s, d) -> DataFrame:
@@ -223,30 +286,17 @@ def _code_points(s, d) -> DataFrame:
     return c.select("id", F.array(F.shiftright("code", 30).cast("double"), F.col("code").bitwiseAND(F.lit((1 << 30) - 1)).cast("double")).alias("vec"))
 
 
-TABLES = {
-    "roll": (R.roll, "euclidean", 2, ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5"], 1e-4),
-    "bead_chain": (R.bead_chain, "rmsd", 4, ["pst", "medoids:0.0063", "medoids:0.0125", "medoids:0.0375"], 0.0),
-    "torsion_pair": (R.torsion_pair, "rmsd", 2, ["pst", "medoids:0.01", "medoids:0.02", "medoids:0.05"], 0.0),
-}
-
-
-def error_table(s: SparkSession, d: str, name: str, points: int = FIT_POINTS, align: str = "procrustes") -> DataFrame:
-    recipe, metric, k, methods, cut = TABLES[name]
-    e = spool(C.cross_validate(R.by_hash_order(recipe(s, d), points), methods, None, k, metric, drop_below=cut, align=align), "errors")
-    return E.fold_summary(e).crossJoin(e.agg(F.avg("eps").alias("eps")))
-
-
 def main(argv: list[str]) -> None:
     d = argv[0] if argv else "/root/testdata/sf0.01"
-    s = SparkSession.builder.master("local[5]").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "8").getOrCreate()
+    s = SparkSession.builder.master("local[8]").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "8").getOrCreate()
     s.sparkContext.setLogLevel("ERROR")
-    for spec in argv[1:] or list(TABLES):
+    for spec in argv[1:] or list(FITS):
         name, _, n = spec.partition(":")
         t = time.time()
-        rows = error_table(s, d, name, int(n or FIT_POINTS)).orderBy("method", "split").collect()
+        rows = error_table(s, d, name, int(n) if n else None).orderBy("method", "split").collect()
         print(f"{name} ({time.time() - t:.0f} s)")
         for r in rows:
-            print(f"  {r.method:16s} {r.split:5s} M={r.m_mean:8.1f} Z={r.z_mean:6.2f} ({r.z_sd:.2f}) eps={r.eps:.3g}", flush=True)
+            print(f"  {r.method:16s} {r.split:5s} M={r.m_mean:8.1f} ({r.percent_mean:.2f} %) Z={r.z_mean:6.2f} ({r.z_sd:.2f}) eps={r.eps:.3g}", flush=True)
 
 
 if __name__ == "__main__":

@@ -1,5 +1,7 @@
 """DataFrame operators against local brute force, identities, sinks, streams and plans."""
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -143,6 +145,8 @@ def test_medoids(spark, cloud, points):
     small = {(r.lid, r.medoid) for r in L.medoid_update(points, cells).collect()}
     assert small == {(r.lid, r.medoid) for r in L.medoid_update(points, cells, block_rows=5).collect()}
     assert L.plus_plus(points, 8).count() == 8
+    report: dict = {}
+    assert L.medoids(points, 6, max_iter=60, report=report)[0].count() <= 6 and report["converged"]
 
 
 def test_tree_rounds_and_repair(cloud, points):
@@ -204,6 +208,119 @@ def test_error_falls_with_landmarks_and_measures(spark, cloud, points):
     assert np.bincount(C.split_folds(np.arange(23)))[1:].tolist() == [5, 5, 5, 4, 4]
 
 
+def test_zeta_by_hand(spark):
+    """Ranges 2 and 4; deviations of a tenth of a range in one mode, in the other, in both, in none."""
+    true = np.array([[0.0, 0.0], [2.0, 4.0], [1.0, 1.0], [1.0, 3.0]])
+    got = true + np.array([[0.2, 0.0], [0.0, -0.4], [0.2, 0.4], [0.0, 0.0]])
+    want = [10.0, 10.0, 10.0 * np.sqrt(2.0), 0.0]
+    assert np.allclose(E.zeta_local(true, got), want)
+    assert E.z_local(np.array(want)) == pytest.approx(10.0)
+    frame = lambda x: table(spark, np.arange(4), x).withColumnRenamed("vec", "psi")
+    z = E.zeta(frame(true), frame(got), 2)
+    assert [r.zeta for r in z.orderBy("id").collect()] == pytest.approx(want)
+    assert E.zeta_max(z).first()[0] == pytest.approx(want[2]) and E.z_error(z).first()[0] == pytest.approx(10.0)
+    e = spark.createDataFrame([("a", "test", 10, 40, 2.0, 3.0), ("a", "test", 14, 40, 4.0, 5.0)], "method string, split string, m long, n long, z double, z_max double")
+    r = E.fold_summary(e).first()
+    assert (r.folds, r.z_mean, r.z_max, r.m_mean, r.percent_mean) == (2, 3.0, 5.0, 12.0, 30.0) and r.m_sd == pytest.approx(np.sqrt(8)) and r.percent_sd == pytest.approx(5 * np.sqrt(2))
+
+
+def test_cross_validation_equals_plain_numpy(spark, cloud, points):
+    """Z over all points with maps of a sample, from whole matrices and sums a row at a time."""
+    from manifold_engine import checks as N
+
+    ids, x = cloud
+    got = {(r.fold, r.method, r.split): r for r in C.cross_validate(points, ["medoids:20", "random:0.5"], EPS, 2, fit_points=60).collect()}
+    order = sorted(ids.tolist(), key=lambda i: (hashlib.md5(f"0:{i}".encode()).hexdigest(), i))
+    sample = np.sort(np.array(order[:60]))
+    fold, every = C.fold_of(sample), C.fold_of(ids)
+    assert len(got) == 20
+    for f in range(1, 6):
+        tr = x[np.searchsorted(ids, sample[fold != f])]
+        lam, psi = N.modes(tr, EPS, 3)
+        base = psi[:, 1:]
+        for method in ("medoids:20", "random:0.5"):
+            at = C.choose(tr, method, EPS**0.5, "euclidean")
+            cell = N.distances(tr, tr[at]).argmin(1)
+            n = np.bincount(cell, minlength=len(at)).astype(float)
+            rl, rp = N.modes(tr[at], EPS, 3, n)
+            own = N.extended(tr, tr[at], EPS, rl[1:], rp[:, 1:], n)
+            sign = np.sign((own * base).sum(0))
+            true = N.extended(x, tr, EPS, lam[1:], base, np.ones(len(tr)))
+            red = N.extended(x, tr[at], EPS, rl[1:], rp[:, 1:], n) * sign
+            z = 100 * np.sqrt((((red - true) / np.ptp(base, axis=0)) ** 2).sum(1))
+            for split, use in (("train", every != f), ("test", every == f)):
+                r = got[f, method, split]
+                assert (r.m, r.n, r.points) == (len(at), len(tr), use.sum())
+                assert r.z == pytest.approx(np.sqrt((z[use] ** 2).mean()), rel=1e-6) and r.z_max == pytest.approx(z[use].max(), rel=1e-6)
+
+
+def test_pivot_index_measures_less(spark):
+    rng = np.random.default_rng(3)
+    z, y = rng.uniform(0, 20, (900, 2)), rng.uniform(0, 20, (300, 2))
+    m = M.Model(np.arange(900), z, rng.integers(1, 9, 900).astype(float), np.array([1, 0.9, 0.8]), rng.standard_normal((900, 3)), np.ones(900), 0.3)
+    r = K.cut_radius(0.3, 1e-3)
+    calls = spark.sparkContext.accumulator(0)
+    index = M.PivotIndex(z, E.counted("euclidean", calls))
+    built = calls.value
+    a, b = M.nystrom(y, m, 2, r), M.nystrom_indexed(y, m, index, 2, r)
+    assert np.allclose(a[0], b[0]) and np.array_equal(a[1], b[1]) and np.allclose(a[2], b[2])
+    assert calls.value - built < 0.6 * 300 * 900
+    far = np.array([[500.0, 0.0]])
+    assert np.allclose(M.nystrom(far, m, 2, r)[0], M.nystrom_indexed(far, m, index, 2, r)[0])
+
+
+def test_edges_are_counted_before_they_are_held(points, cloud, monkeypatch):
+    monkeypatch.setattr(planner, "LOCAL_EDGES", 50)
+    with pytest.raises(ValueError, match="edges"):
+        L.pruned_tree(points, 1.0)
+    with pytest.raises(ValueError, match="affinities"):
+        M.fit_local(*cloud, EPS, 3)
+    assert L.pruned_tree(points, 1.0, "boruvka_rounds").count() > 0
+
+
+def test_spool_refuses_a_folder_of_one_machine():
+    from manifold_engine.spool import shared_dir
+
+    class Session:
+        class conf:
+            get = staticmethod(lambda key, default: default)
+
+        class sparkContext:
+            master = "spark://host:7077"
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        shared_dir(Session)
+    Session.sparkContext.master = "local[4]"
+    assert shared_dir(Session).startswith("file:")
+
+
+def test_rmsd_rows_and_jaccard():
+    rng = np.random.default_rng(5)
+    a, b = rng.standard_normal((7, 18)), rng.standard_normal((7, 18))
+    assert np.allclose(D.rmsd_rows(a, b), np.diag(D.rmsd_block(a, b)))
+    x = np.array([[1.0, 1, 0, 0], [0, 1, 1, 0], [0, 0, 0, 0]])
+    assert np.allclose(D.jaccard_block(x, x), [[0, 2 / 3, 1], [2 / 3, 0, 1], [1, 1, 0]])
+
+
+def test_idle_users_are_forgotten(spark, tmp_path):
+    """A user silent for longer than the limit starts anew: no change is told across the gap."""
+    from manifold_engine.streaming import embed as X
+
+    day = 86_400
+    src = tmp_path / "in"
+    schema = "user_id long, id long, ts timestamp, psi array<double>"
+    for n, rows in enumerate(([(1, 1, 0, 1.0), (2, 2, 0, 1.0)], [(1, 3, 1, -1.0), (3, 4, 30, 1.0)], [(3, 5, 31, 1.0)], [(2, 6, 32, -1.0), (3, 7, 33, -1.0)])):
+        made = spark.createDataFrame([(u, i, (100 + t) * day, [p]) for u, i, t, p in rows], "user_id long, id long, s long, psi array<double>")
+        made.select("user_id", "id", F.timestamp_seconds("s").alias("ts"), "psi").coalesce(1).write.parquet(str(src / f"p{n}"))
+    stream = X.read_stream(spark, f"{src}/*", schema)
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        rows = X.run_available(X.basin_changes(stream, late="1 hour", idle_ms=7 * day * 1000), "basins").collect()
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+    assert sorted((r.user_id, r.id, r.was, r.now) for r in rows) == [(1, 3, 1, 0), (3, 7, 1, 0)]
+
+
 def test_folds_equal_python(spark, points):
     got = {r.id: r.fold for r in R.folds(points).collect()}
     ids = np.array(sorted(got))
