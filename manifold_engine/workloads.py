@@ -83,8 +83,8 @@ def x1_roll(s, d):
 #: workload: recipe, metric, k, methods, affinities cut below, points fitted
 FITS = {
     "roll": (R.roll, "euclidean", 2, ["pst", "medoids:0.125", "medoids:0.25", "medoids:0.5"], 1e-4, 5_000),
-    "bead_chain": (R.bead_chain, "rmsd", 4, ["pst", "medoids:0.0063", "medoids:0.0125", "medoids:0.0375"], 1e-6, 2_500),
-    "torsion_pair": (R.torsion_pair, "rmsd", 2, ["pst", "medoids:0.01", "medoids:0.02", "medoids:0.05"], 1e-6, 2_500),
+    "bead_chain": (R.bead_chain, "rmsd", 4, ["pst", "medoids:0.0063", "medoids:0.0125", "medoids:0.0375"], 1e-6, 1_500),
+    "torsion_pair": (R.torsion_pair, "rmsd", 2, ["pst", "medoids:0.01", "medoids:0.02", "medoids:0.05"], 1e-6, 1_500),
 }
 
 
