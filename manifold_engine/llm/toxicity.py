@@ -44,27 +44,21 @@ FLOOR_ALPHABET = 1000  # characters a never seen one is thought to be among
 def _sum_words(text: str):
     """Task-local word counts by class, let go whenever many words are held."""
 
-    def batch_of(counts):
-        words = list(counts)
-        return pa.RecordBatch.from_arrays([pa.array([w.decode() for w in words], pa.string()), pa.array([counts[w][0] for w in words], pa.int64()), pa.array([counts[w][1] for w in words], pa.int64())], names=["word", "c0", "c1"])
+    def batch_of(own):
+        words = list(own[0].keys() | own[1].keys())
+        return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()).cast(pa.string()), *(pa.array([c[w] for w in words], pa.int64()) for c in own)], names=["word", "c0", "c1"])
 
     def fn(batches):
-        held: dict[bytes, list[int]] = {}
+        own = (Counter(), Counter())
         for batch in batches:
             for part in pieces(batch, text):
-                own = (Counter(), Counter())
                 for raw, bad in zip(grams.texts_of(part.column(text)), part.column("bad").to_pylist()):
                     own[bad].update(raw.translate(grams.ALNUM).split())
-                for c in (0, 1):
-                    for w, n in own[c].items():
-                        if (x := held.get(w)) is None:
-                            x = held[w] = [0, 0]
-                        x[c] += n
-                if len(held) > 400_000:
-                    yield batch_of(held)
-                    held = {}
-        if held:
-            yield batch_of(held)
+                if len(own[0]) + len(own[1]) > 400_000:
+                    yield batch_of(own)
+                    own = (Counter(), Counter())
+        if own[0] or own[1]:
+            yield batch_of(own)
 
     return fn
 
@@ -112,7 +106,9 @@ def _windows(order: int):
 
 def windows_of(word: str, order: int) -> list[str]:
     s = f"{BEGIN}{word}{END}"
-    return [s[max(0, i + 1 - order) : i + 1] for i in range(1, len(s))]
+    n = len(s)
+    # those cut short by the word's begin, then the whole ones
+    return [s[:k] for k in range(2, min(order, n + 1))] + [s[i : i + order] for i in range(max(0, 2 - order), n - order + 1)]
 
 
 def count_windows(docs: DataFrame, text: str, order: int) -> DataFrame:
@@ -208,15 +204,12 @@ class _Words(dict):
         self.open: dict[bytes, tuple[str, ...]] = {}
 
     def __missing__(self, w: bytes) -> float:
-        total, left = 0.0, []
-        for g in windows_of(w.decode(), self.order):
-            v = self.known.get(g)
-            if v is None:
-                left.append(g)
-            else:
-                total += v
-        if left:
-            self.open[w] = tuple(left)
+        every = windows_of(w.decode(), self.order)
+        try:
+            total = sum(map(self.known.__getitem__, every))
+        except KeyError:
+            total = sum(self.known.get(g, 0.0) for g in every)
+            self.open[w] = tuple(g for g in every if g not in self.known)
         self[w] = total
         return total
 
