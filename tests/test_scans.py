@@ -12,6 +12,7 @@ KNOWN = queries.QUERIES | operator_queries.QUERIES
 USERS = 150  # of sf0.01
 
 LINEAR = [
+    "components",
 ]
 
 
