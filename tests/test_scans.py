@@ -13,6 +13,7 @@ USERS = 150  # of sf0.01
 
 LINEAR = [
     "components",
+    "affinity",
 ]
 
 
