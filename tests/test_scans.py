@@ -14,6 +14,8 @@ USERS = 150  # of sf0.01
 LINEAR = [
     "components",
     "affinity",
+    "affinity_shift",
+    "distance_shift",
 ]
 
 
