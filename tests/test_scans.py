@@ -16,6 +16,7 @@ LINEAR = [
     "affinity",
     "affinity_shift",
     "distance_shift",
+    "bandwidth_curve",
 ]
 
 
