@@ -217,7 +217,7 @@ def op_quantiles(s, d):
 @query()
 def op_quantile_sketch(s, d):
     """Distance quantiles by a mergeable sketch, for a bandwidth over pair tables of any size."""
-    return user_pairs(s, d)[1].agg(F.percentile_approx("d", [0.25, 0.5, 0.75], 1000).alias("q"))
+    return P.all_pairs(users(s, d)).agg(F.percentile_approx("d", [0.25, 0.5, 0.75], 1000).alias("q"))
 
 
 def two_selections(s, d):

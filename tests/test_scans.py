@@ -17,6 +17,7 @@ LINEAR = [
     "affinity_shift",
     "distance_shift",
     "bandwidth_curve",
+    "op_quantile_sketch",
 ]
 
 
