@@ -18,6 +18,8 @@ LINEAR = [
     "distance_shift",
     "bandwidth_curve",
     "op_quantile_sketch",
+    "stationary",
+    "degrees",
 ]
 
 
