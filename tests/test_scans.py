@@ -20,6 +20,7 @@ LINEAR = [
     "op_quantile_sketch",
     "stationary",
     "degrees",
+    "stationary_balance",
 ]
 
 
