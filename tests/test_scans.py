@@ -21,6 +21,7 @@ LINEAR = [
     "stationary",
     "degrees",
     "stationary_balance",
+    "threshold_graph",
 ]
 
 
