@@ -22,6 +22,9 @@ LINEAR = [
     "degrees",
     "stationary_balance",
     "threshold_graph",
+    "markov_shift_rowsum",
+    "degree_shift",
+    "markov_shift",
 ]
 
 
