@@ -98,10 +98,10 @@ COVER = f"{PR_SQL}, lm as (select id as lid from p order by md5('0:' || id), id
 
 
 def covered(s, d):
-    p, pr = user_pairs(s, d)
-    lm = spool(L.random_landmarks(p, 15), "landmarks")
-    near = L.both_ends(L.threshold_graph(pr, NEAR)).union(p.select("id", "id")).join(lm.select(F.col("lid").alias("v")), "v", "left_semi")
-    return p, near.select(F.col("u").alias("id"))
+    """Users, and those within reach of a landmark: every user is measured against the landmarks, no pair of users is."""
+    p = users(s, d)
+    ids, z = L.vectors_of(p, L.random_landmarks(p, 15))
+    return p, M.assign(p, ids, z).where(F.col("d") <= NEAR).select("id")
 
 
 @query(f"with {COVER} select id from p where id in (select id from c)")

@@ -25,6 +25,7 @@ LINEAR = [
     "markov_shift_rowsum",
     "degree_shift",
     "markov_shift",
+    "op_anti_cover",
 ]
 
 
