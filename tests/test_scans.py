@@ -26,6 +26,8 @@ LINEAR = [
     "degree_shift",
     "markov_shift",
     "op_anti_cover",
+    "landmark_isolated",
+    "landmark_components",
 ]
 
 
