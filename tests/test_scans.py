@@ -28,6 +28,7 @@ LINEAR = [
     "op_anti_cover",
     "landmark_isolated",
     "landmark_components",
+    "markov",
 ]
 
 
