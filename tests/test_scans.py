@@ -29,6 +29,7 @@ LINEAR = [
     "landmark_isolated",
     "landmark_components",
     "markov",
+    "laplacian",
 ]
 
 
