@@ -30,6 +30,8 @@ LINEAR = [
     "landmark_components",
     "markov",
     "laplacian",
+    "laplacian_rowsum",
+    "markov_rowsum",
 ]
 
 
