@@ -32,6 +32,7 @@ LINEAR = [
     "laplacian",
     "laplacian_rowsum",
     "markov_rowsum",
+    "largest_component",
 ]
 
 
