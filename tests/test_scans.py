@@ -33,6 +33,7 @@ LINEAR = [
     "laplacian_rowsum",
     "markov_rowsum",
     "largest_component",
+    "markov_shift_exact",
 ]
 
 
