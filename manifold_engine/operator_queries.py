@@ -136,10 +136,10 @@ def op_topk_worst(s, d):
 
 @query(f"with {PR_SQL}, o as (select i as id, j as nn, d from pr union all select j, i, d from pr), r as (select id, nn, row_number() over (partition by id order by d, nn) as rn, rank() over (partition by id order by floor(d * 4)) as rk, dense_rank() over (partition by id order by floor(d * 4)) as dr from o) select * from r where rn <= 5")
 def op_knn_rank(s, d):
-    p, pr = user_pairs(s, d)
-    o = pr.select(F.col("i").alias("id"), F.col("j").alias("nn"), "d").union(pr.select("j", "i", "d"))
+    """Ranks of the five nearest: a point of a smaller whole part of ``4 d`` is also a nearer one, so their ranks among all are those among the five."""
+    p = users(s, d)
     w, b = Window.partitionBy("id"), F.floor(F.col("d") * 4)
-    o = o.select("id", "nn", F.row_number().over(w.orderBy("d", "nn")).alias("rn"), F.rank().over(w.orderBy(b)).alias("rk"), F.dense_rank().over(w.orderBy(b)).alias("dr")).where("rn <= 5")
+    o = P.knn(p, p, 5).select("id", "nn", F.row_number().over(w.orderBy("d", "nn")).alias("rn"), F.rank().over(w.orderBy(b)).alias("rk"), F.dense_rank().over(w.orderBy(b)).alias("dr")).where("rn <= 5")
     return o.select("id", "nn", *[F.col(c).cast("long").alias(c) for c in ("rn", "rk", "dr")])
 
 

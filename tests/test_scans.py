@@ -34,6 +34,7 @@ LINEAR = [
     "markov_rowsum",
     "largest_component",
     "markov_shift_exact",
+    "op_knn_rank",
 ]
 
 
