@@ -88,6 +88,42 @@ def lanczos(matvec, n: int, k: int, first: np.ndarray | None = None, seed: int =
     raise AssertionError("unreachable")
 
 
+def block_krylov(product, n: int, k: int, first: np.ndarray, seed: int = 0, extra: int = 4, tol: float = 1e-10, most: int = 100) -> tuple[np.ndarray, np.ndarray]:
+    """Leading ``k`` eigenpairs of a symmetric operator of largest value 1, whose vector ``first`` is known; ``product`` takes a block of vectors.
+
+    A block goes through the operator once a round, so an operator that is
+    computed anew each time is computed in few rounds.
+    """
+    known = first / np.linalg.norm(first)
+
+    def clear(q, basis):
+        for _ in range(2):
+            q = q - known[:, None] * (known @ q)
+            if basis is not None:
+                q = q - basis @ (basis.T @ q)
+            size = np.linalg.norm(q, axis=0)
+            q, r = np.linalg.qr(q[:, size > 1e-13])
+            q = q[:, np.abs(np.diag(r)) > 1e-13 * max(1e-300, np.abs(np.diag(r)).max(initial=0.0))]
+        return q
+
+    want = k - 1
+    basis = q = clear(np.random.default_rng(seed).standard_normal((n, min(n - 1, k + extra))), None)
+    moved = np.zeros((n, 0))
+    for _ in range(most):
+        y = product(q)
+        moved = np.concatenate([moved, y], 1)
+        h = basis.T @ moved
+        val, vec = np.linalg.eigh((h + h.T) / 2)
+        val, vec = val[::-1][:want], vec[:, ::-1][:, :want]
+        out = basis @ vec
+        rest = np.linalg.norm(moved @ vec - out * val, axis=0).max(initial=0.0)
+        q = clear(y, basis)
+        if rest < tol or not q.shape[1]:
+            return np.concatenate([[1.0], val]), np.concatenate([known[:, None], out], 1)
+        basis = np.concatenate([basis, q], 1)
+    raise RuntimeError(f"modes did not settle in {most} rounds: {rest}")
+
+
 def fix_signs(psi: np.ndarray) -> np.ndarray:
     """Each column's entry of largest absolute value (the first such row) positive."""
     at = np.argmax(np.round(np.abs(psi), 9), axis=0)

