@@ -100,3 +100,16 @@ def test_scanned_fit_equals_local(spark):
     ids = np.arange(300)
     a, b = M.fit_local(ids, x, 0.05, 5), M.fit_scanned(spark, ids, x, 0.05, 5)
     assert np.abs(a.lam - b.lam).max() < 1e-9 and np.abs(a.psi - b.psi).max() < 1e-7
+
+
+def test_tree_by_scans_equals_tree_of_edges(spark):
+    import numpy as np
+
+    from manifold_engine.operators import landmarks as L
+    from manifold_engine.operators import pairs as P
+
+    x = np.random.default_rng(3).random((120, 2))
+    p = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").localCheckpoint()
+    graph = L.threshold_graph(P.all_pairs(p, within=0.25), 0.25)
+    roots = L.component_roots(p, graph)
+    assert sorted(map(str, L.near_tree_in_rounds(p, 0.25, roots).collect())) == sorted(map(str, L.tree_in_rounds(graph, roots, "min_id").collect()))
