@@ -113,3 +113,13 @@ def test_tree_by_scans_equals_tree_of_edges(spark):
     graph = L.threshold_graph(P.all_pairs(p, within=0.25), 0.25)
     roots = L.component_roots(p, graph)
     assert sorted(map(str, L.near_tree_in_rounds(p, 0.25, roots).collect())) == sorted(map(str, L.tree_in_rounds(graph, roots, "min_id").collect()))
+
+
+def test_exact_gap_holds_no_matrix(spark, sf, monkeypatch):
+    from manifold_engine import checks
+
+    def refuse(*a, **k):
+        raise AssertionError("whole matrices were made")
+
+    monkeypatch.setattr(checks, "moved", refuse)
+    assert checks.QUERIES["markov_shift_exact_gap"](spark, sf).first()[0] == 0
