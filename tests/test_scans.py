@@ -123,3 +123,15 @@ def test_exact_gap_holds_no_matrix(spark, sf, monkeypatch):
 
     monkeypatch.setattr(checks, "moved", refuse)
     assert checks.QUERIES["markov_shift_exact_gap"](spark, sf).first()[0] == 0
+
+
+def test_pca_fits_by_scans(spark, sf, monkeypatch):
+    """``extend_pca`` beyond the dense size holds no affinity."""
+    from manifold_engine.plans import planner
+
+    def refuse(*a, **k):
+        raise AssertionError("affinities were held")
+
+    monkeypatch.setattr(planner, "DENSE_POINTS", 5)
+    monkeypatch.setattr(queries.M, "fit_local", refuse)
+    assert KNOWN["extend_pca"](spark, sf).count()
