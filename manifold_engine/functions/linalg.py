@@ -43,6 +43,61 @@ class SymmetricEdges:
     def neighbours(self, v: int) -> np.ndarray:
         return self.cols[self.ptr[v] : self.ptr[v + 1]]
 
+    def fresh(self, v: int, depth: np.ndarray) -> np.ndarray:
+        """Neighbours of ``v`` that a tree of these depths has not reached."""
+        near = self.neighbours(v)
+        return near[depth[near] < 0]
+
+    def gains(self, at: np.ndarray, depth: np.ndarray) -> np.ndarray:
+        """How many each of ``at`` would reach."""
+        return np.array([len(self.fresh(v, depth)) for v in at], np.int64)
+
+
+class NearPoints:
+    """The graph of rows of ``x`` within ``r``, measured when it is asked for: points are held, no edge."""
+
+    def __init__(self, ids: np.ndarray, x: np.ndarray, r: float, block):
+        self.n, self.ids, self.x, self.r, self.block = len(x), ids, x, r, block
+
+    def fresh(self, v: int, depth: np.ndarray) -> np.ndarray:
+        left = np.flatnonzero(depth < 0)
+        return left[self.block(self.x[v : v + 1], self.x[left])[0] <= self.r]
+
+    def gains(self, at: np.ndarray, depth: np.ndarray, strip: int = 1 << 20) -> np.ndarray:
+        z = self.x[depth < 0]
+        step = max(1, strip // max(1, len(z)))
+        return np.concatenate([np.zeros(0, np.int64), *((self.block(self.x[at[s : s + step]], z) <= self.r).sum(1) for s in range(0, len(at), step))])
+
+
+_P1, _P2, _P3, _P4, _P5 = (np.uint64(v) for v in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+
+
+def _mixed(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(33))) * _P2
+    h = (h ^ (h >> np.uint64(29))) * _P3
+    return h ^ (h >> np.uint64(32))
+
+
+def _turned(v: np.ndarray, k: int) -> np.ndarray:
+    return (v << np.uint64(k)) | (v >> np.uint64(64 - k))
+
+
+def hash_long(v: np.ndarray, h: np.ndarray) -> np.ndarray:
+    """Spark's ``xxhash64`` of longs ``v`` over what the columns before them gave."""
+    h = (h + _P5 + np.uint64(8)) ^ (_turned(v.view(np.uint64) * _P2, 31) * _P1)
+    return _mixed(_turned(h, 27) * _P1 + _P4)
+
+
+def seeded_hash(seed: int, ids: np.ndarray) -> np.ndarray:
+    """``xxhash64(seed, id)``: with ``hash_long`` of the larger end, the weight of an edge from its smaller end ``id``."""
+    h = (np.full(1, 42, np.uint64) + _P5 + np.uint64(4)) ^ (np.full(1, seed & 0xFFFFFFFF, np.uint64) * _P1)
+    return hash_long(np.ascontiguousarray(ids, np.int64), _mixed(_turned(h, 23) * _P2 + _P3))
+
+
+def edge_weights(low: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """``xxhash64(seed, i, j)`` of the edges between ids ``a`` and ``b``, given ``seeded_hash`` of their smaller ends."""
+    return hash_long(np.maximum(a, b), low).view(np.int64)
+
 
 def top_dense(m: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     w, v = np.linalg.eigh(m)
@@ -156,7 +211,7 @@ def bottleneck_rows(x: np.ndarray, block) -> float:
     return worst
 
 
-def grow_tree(edges: SymmetricEdges, growth: str = "star_random", root: int = 0, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
+def grow_tree(edges: SymmetricEdges | NearPoints, growth: str = "star_random", root: int = 0, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """Parents and depths of a spanning tree of the component of ``root`` (-1 where not reached).
 
     ``random_edge`` draws among all edges from the tree to the rest; the star
@@ -168,24 +223,26 @@ def grow_tree(edges: SymmetricEdges, growth: str = "star_random", root: int = 0,
     parent, depth = np.full(n, -1), np.full(n, -1)
     depth[root] = 0
     if growth == "random_edge":
-        frontier = [(root, int(v)) for v in edges.neighbours(root)]
-        while frontier:
-            at = int(rng.integers(len(frontier)))
-            frontier[at], frontier[-1] = frontier[-1], frontier[at]
-            u, v = frontier.pop()
-            if depth[v] < 0:
-                parent[v], depth[v] = u, depth[u] + 1
-                frontier += [(v, int(w)) for w in edges.neighbours(v) if depth[w] < 0]
-        return parent, depth
+        ways = np.zeros(n, np.int64)  # edges from the tree to each point outside, one of which, at random, is kept as its parent
+        u = root
+        while True:
+            fresh = edges.fresh(u, depth)
+            ways[fresh] += 1
+            parent[fresh[rng.random(len(fresh)) * ways[fresh] < 1]] = u
+            ends = np.cumsum(ways)
+            if not ends[-1]:
+                return parent, depth
+            u = int(np.searchsorted(ends, rng.integers(ends[-1]), side="right"))
+            ways[u], depth[u] = 0, depth[parent[u]] + 1
     ready = [root]
     head = 0
-    heap = [(-len(edges.neighbours(root)), root)] if growth == "star_greedy" else []
+    heap = [(-int(edges.gains(np.array([root]), depth)[0]), root)] if growth == "star_greedy" else []
     while True:
         if growth == "star_greedy":
             if not heap:
                 break
             gain, u = heapq.heappop(heap)
-            now = int((depth[edges.neighbours(u)] < 0).sum())
+            now = len(edges.fresh(u, depth))
             if now == 0:
                 continue
             if -gain != now:
@@ -204,12 +261,13 @@ def grow_tree(edges: SymmetricEdges, growth: str = "star_random", root: int = 0,
             u = ready.pop()
         else:
             raise ValueError(f"unknown growth {growth}")
-        fresh = [int(v) for v in edges.neighbours(u) if depth[v] < 0]
-        for v in fresh:
-            parent[v], depth[v] = u, depth[u] + 1
+        at = edges.fresh(u, depth)
+        parent[at], depth[at] = u, depth[u] + 1
+        fresh = at.tolist()
         if growth == "star_greedy":
-            for v in fresh:
-                heapq.heappush(heap, (-len(edges.neighbours(v)), v))
+            for gain, v in zip(edges.gains(at, depth).tolist(), fresh):
+                if gain:
+                    heapq.heappush(heap, (-gain, v))
         else:
             ready += fresh
     return parent, depth
@@ -242,6 +300,28 @@ def boruvka_tree(edges: SymmetricEdges, seed: int = 0, root: int = 0) -> tuple[n
     return grow_tree(tree, "star_breadth", root)
 
 
+def least_tree(points: NearPoints, seed: int = 0, root: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """Minimum spanning tree of the component of ``root`` under seeded random weights, rooted; grown by the least edge out of the tree.
+
+    Distinct weights leave one such tree: Boruvka's rounds end in the same.
+    """
+    low = seeded_hash(seed, points.ids)
+    none = np.iinfo(np.int64).max
+    parent, depth, least = np.full(points.n, -1), np.full(points.n, -1), np.full(points.n, none)
+    depth[root], u = 0, root
+    while True:
+        at = points.fresh(u, depth)
+        first = np.where(points.ids[at] < points.ids[u], at, u)
+        w = edge_weights(low[first], points.ids[at], points.ids[u])
+        better = w < least[at]
+        at = at[better]
+        least[at], parent[at] = w[better], u
+        u = int(least.argmin())
+        if least[u] == none:
+            return parent, depth
+        least[u], depth[u] = none, depth[parent[u]] + 1
+
+
 def tree_landmarks(parent: np.ndarray, depth: np.ndarray) -> np.ndarray:
     """Nodes of degree above one; of a tree with one or two nodes the first."""
     inside = np.flatnonzero(depth >= 0)

@@ -135,3 +135,94 @@ def test_pca_fits_by_scans(spark, sf, monkeypatch):
     monkeypatch.setattr(planner, "DENSE_POINTS", 5)
     monkeypatch.setattr(queries.M, "fit_local", refuse)
     assert KNOWN["extend_pca"](spark, sf).count()
+
+
+def test_spark_hash_is_numpys(spark):
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from manifold_engine.functions import linalg as LA
+
+    rng = np.random.default_rng(4)
+    a, b = rng.integers(-(2**62), 2**62, 200), rng.integers(-(2**62), 2**62, 200)
+    low, high = np.minimum(a, b), np.maximum(a, b)
+    t = spark.createDataFrame(list(zip(low.tolist(), high.tolist())), "i long, j long")
+    for seed in (0, 3, -7):
+        want = [r[0] for r in t.select(F.xxhash64(F.lit(seed), "i", "j")).collect()]
+        assert LA.edge_weights(LA.seeded_hash(seed, low), a, b).tolist() == want
+
+
+def test_trees_of_points_equal_trees_of_edges():
+    """Growth orders over points that hold no edge: star orders give the very trees that stored edges give, the others span."""
+    import numpy as np
+
+    from manifold_engine.functions import linalg as LA
+    from manifold_engine.functions import metrics as D
+    from manifold_engine.operators import landmarks as L
+
+    for seed, r in ((0, 0.1234), (1, 0.3021)):  # no distance of the lattice
+        x = np.round(np.random.default_rng(seed).random((200, 2)), 2)
+        x[150:] = x[:50]  # copies
+        d = D.euclidean_block(x, x)
+        i, j = np.nonzero(np.triu(d <= r, 1))
+        ids = np.arange(200) * 3 + 5
+        stored, near = LA.SymmetricEdges(200, i, j, np.ones(len(i)), np.zeros(200)), LA.NearPoints(ids, x, r, D.euclidean_block)
+        for g in ("star_random", "star_depth", "star_breadth", "star_greedy", "random_edge"):
+            for a, b in zip(LA.grow_tree(stored, g, 7, seed), LA.grow_tree(near, g, 7, seed)):
+                assert np.array_equal(a, b), g
+            assert np.array_equal(L.local_pst(ids, stored, g, seed), L.local_pst(ids, near, g, seed))
+        _, depth = LA.grow_tree(stored, "star_breadth", 7)
+        parent, got = LA.least_tree(near, seed, 7)
+        kids = np.flatnonzero(parent >= 0)
+        assert np.array_equal(got >= 0, depth >= 0) and (d[kids, parent[kids]] <= r).all() and (got[kids] == got[parent[kids]] + 1).all()
+
+
+def test_random_edge_draws_among_edges():
+    """Of a triangle with a tail, each way to span it comes as often as draws among all open edges make it."""
+    import numpy as np
+
+    from manifold_engine.functions import linalg as LA
+
+    g = LA.SymmetricEdges(3, np.array([0, 0, 1]), np.array([1, 2, 2]), np.ones(3), np.zeros(3))
+    seen = [tuple(LA.grow_tree(g, "random_edge", 0, seed)[0].tolist()) for seed in range(2_000)]
+    # the first of two edges, then one of two: both from 0 in half of the draws, else the other of 1 and 2 is the parent
+    assert abs(seen.count((-1, 0, 0)) / 2_000 - 0.5) < 0.05 and abs(seen.count((-1, 0, 1)) / 2_000 - 0.25) < 0.05
+
+
+@pytest.mark.parametrize("r", [0.06, 0.25])
+def test_rounds_by_scans_equal_rounds_of_edges(spark, r):
+    import numpy as np
+
+    from manifold_engine.functions import linalg as LA
+    from manifold_engine.functions import metrics as D
+    from manifold_engine.operators import landmarks as L
+    from manifold_engine.operators import pairs as P
+
+    x = np.random.default_rng(3).random((120, 2))
+    ids = np.arange(120)
+    p = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").localCheckpoint()
+    graph = L.threshold_graph(P.all_pairs(p, within=r), r).localCheckpoint()
+    roots = L.component_roots(p, graph)
+    assert sorted(map(str, L.near_tree_in_rounds(p, r, roots, parent_rule="max_reach").collect())) == sorted(map(str, L.tree_in_rounds(graph, roots, "max_reach").collect()))
+    tree = L.near_boruvka_rounds(spark, ids, x, r, 3)
+    assert sorted(tree.collect()) == sorted(L.boruvka_rounds(graph, 3).collect())
+    lids = np.sort(L.prune_edges(p, tree, tree).toArrow()["lid"].to_numpy())
+    assert np.array_equal(lids, np.sort(L.local_pst(ids, LA.NearPoints(ids, x, r, D.euclidean_block), "boruvka", 3)))
+    z = x[lids]
+    near = D.euclidean_block(z, z) <= r
+    np.fill_diagonal(near, False)
+    assert L.check_landmark_graph(lids, z, r)["isolated"] == (~near.any(1)).sum()
+    assert L.uncovered(x, z[:4], r) == (D.euclidean_block(x, z[:4]).min(1) > r).sum()
+
+
+def test_growth_orders_hold_no_edges(spark, sf, monkeypatch):
+    """``pst_growth_orders`` neither writes pairs nor collects edges nor makes a matrix of landmarks in the driver."""
+
+    def refuse(*a, **k):
+        raise AssertionError("edges were held")
+
+    monkeypatch.setattr(queries.K, "local_edges", refuse)
+    monkeypatch.setattr(queries, "user_pairs", refuse)
+    got = KNOWN["pst_growth_orders"](spark, sf).collect()
+    assert len(got) == 9 and all(r.uncovered == 0 and r.m > 0 for r in got)
+    assert {r.growth: r.m for r in got}["boruvka"] == {r.growth: r.m for r in got}["boruvka_rounds"]
