@@ -226,3 +226,24 @@ def test_growth_orders_hold_no_edges(spark, sf, monkeypatch):
     got = KNOWN["pst_growth_orders"](spark, sf).collect()
     assert len(got) == 9 and all(r.uncovered == 0 and r.m > 0 for r in got)
     assert {r.growth: r.m for r in got}["boruvka"] == {r.growth: r.m for r in got}["boruvka_rounds"]
+
+
+def test_ordered_pairs_are_short_on_disk(spark, tmp_path):
+    """Every ordered pair and the diagonal once, with its value, and ids that take a fraction of a byte a row in the file."""
+    import numpy as np
+
+    from manifold_engine.operators import pairs as P
+
+    x = np.random.default_rng(5).random((1_300, 2))
+    p = spark.createDataFrame([(i * 7, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").localCheckpoint()
+    P.pair_table(p, lambda d, u, v: [d + u[..., 0] - 2 * v[..., 1]], ["v"], ordered=True, tiles=2).write.parquet(f"{tmp_path}/out")
+    t = spark.read.parquet(f"{tmp_path}/out").toArrow()
+    i, j = t["i"].to_numpy() // 7, t["j"].to_numpy() // 7
+    assert len(t) == len(x) ** 2 and len(np.unique(i * len(x) + j)) == len(t)
+    want = np.sqrt(((x[i] - x[j]) ** 2).sum(1)) + x[i, 0] - 2 * x[j, 1]
+    assert np.abs(t["v"].to_numpy() - want).max() < 1e-9
+    size = 0
+    for f in tmp_path.glob("out/*.parquet"):
+        m = pq.ParquetFile(f).metadata
+        size += sum(m.row_group(g).column(c).total_compressed_size for g in range(m.num_row_groups) for c in (0, 1))
+    assert size < 0.2 * len(t)
