@@ -247,3 +247,58 @@ def test_ordered_pairs_are_short_on_disk(spark, tmp_path):
         m = pq.ParquetFile(f).metadata
         size += sum(m.row_group(g).column(c).total_compressed_size for g in range(m.num_row_groups) for c in (0, 1))
     assert size < 0.2 * len(t)
+
+
+@pytest.mark.parametrize("name", ["laplacian"])
+def test_rows_travel_as_lists(spark, sf, name):
+    """Pairs leave Python as a row for each run, and are dealt out in the JVM."""
+    df = KNOWN[name](spark, sf)
+    assert "posexplode(" in df._jdf.queryExecution().optimizedPlan().toString()
+    assert df.count() == df.select("i", "j").distinct().count() > 0
+
+
+def test_runs_become_lists():
+    import pyarrow as pa
+
+    from manifold_engine.operators import pairs as P
+
+    b = pa.RecordBatch.from_pydict({"i": [4, 4, 9, 4], "j": [1, 2, 3, 5], "v": [0.5, 1.5, 2.5, 3.5]})
+    assert P.packed(b).to_pydict() == {"i": [4, 9, 4], "j": [[1, 2], [3], [5]], "v": [[0.5, 1.5], [2.5], [3.5]]}
+    assert P.packed(b.slice(0, 0)).num_rows == 0
+
+
+def test_rounding_equals_rounds(spark):
+    """Rounding without decimals gives, bit by bit, what ``round`` gives, ties, nulls, huge and undefined numbers included."""
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(6)
+    x = np.concatenate([rng.random(20_000) * 10.0 ** rng.integers(-9, 12, 20_000), (rng.integers(0, 10**6, 2_000) + 0.5) / 1e6, (rng.integers(0, 10**6, 2_000) + 0.5) / 1e9, [0.0, 5e-7, 1e300, np.inf, np.nan]])
+    t = spark.createDataFrame([(v,) for v in [*x.tolist(), *(-x).tolist(), None]], "x double")
+    for digits in (6, 8, 9):
+        same = queries.r6("x", digits).eqNullSafe(F.round("x", digits) + F.lit(0.0))
+        assert t.where(~same).count() == 0
+        assert "rint" in t.select(queries.r6("x", digits))._jdf.queryExecution().optimizedPlan().toString().lower()
+
+
+@pytest.mark.parametrize("tiles", [1, 3])
+def test_unordered_pairs_are_short_on_disk(spark, tmp_path, tiles):
+    """Every unordered pair once, smaller id first, with its value, and ids that take a fraction of a byte a row in the file."""
+    import numpy as np
+
+    from manifold_engine.operators import pairs as P
+
+    x = np.random.default_rng(5).random((1_700, 2))
+    p = spark.createDataFrame([(i * 7, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").localCheckpoint()
+    P.pair_table(p, lambda d, u, v: [d + u[..., 0] - 2 * v[..., 1]], ["v"], tiles=tiles).write.parquet(f"{tmp_path}/out")
+    t = spark.read.parquet(f"{tmp_path}/out").toArrow()
+    i, j = t["i"].to_numpy() // 7, t["j"].to_numpy() // 7
+    assert len(t) == len(x) * (len(x) - 1) // 2 and len(np.unique(i * len(x) + j)) == len(t) and (i < j).all()
+    want = np.sqrt(((x[i] - x[j]) ** 2).sum(1)) + x[i, 0] - 2 * x[j, 1]
+    assert np.abs(t["v"].to_numpy() - want).max() < 1e-9
+    if tiles > 1:
+        files = [pq.ParquetFile(f).metadata for f in tmp_path.glob("out/*.parquet")]
+        size = sum(m.row_group(g).column(c).total_compressed_size for m in files for g in range(m.num_row_groups) for c in (0, 1))
+        assert size < 1.2 * len(t)  # a third of these pairs are within a block
+    cut = P.all_pairs(p, within=0.1, tiles=tiles).toArrow()
+    assert len(cut) == (np.triu(np.sqrt(((x[:, None] - x[None]) ** 2).sum(2)) <= 0.1, 1)).sum()
