@@ -302,3 +302,16 @@ def test_unordered_pairs_are_short_on_disk(spark, tmp_path, tiles):
         assert size < 1.2 * len(t)  # a third of these pairs are within a block
     cut = P.all_pairs(p, within=0.1, tiles=tiles).toArrow()
     assert len(cut) == (np.triu(np.sqrt(((x[:, None] - x[None]) ** 2).sum(2)) <= 0.1, 1)).sum()
+
+
+def test_exact_gap_is_no_work_of_the_driver(spark, sf, monkeypatch):
+    from manifold_engine import checks
+
+    driver, made = os.getpid(), checks.distances
+
+    def elsewhere(x, y):
+        assert os.getpid() != driver, "distances were made in the driver"
+        return made(x, y)
+
+    monkeypatch.setattr(checks, "distances", elsewhere)
+    assert checks.QUERIES["markov_shift_exact_gap"](spark, sf).first()[0] == 0
