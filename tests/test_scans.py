@@ -249,7 +249,7 @@ def test_ordered_pairs_are_short_on_disk(spark, tmp_path):
     assert size < 0.2 * len(t)
 
 
-@pytest.mark.parametrize("name", ["laplacian"])
+@pytest.mark.parametrize("name", ["laplacian", "markov"])
 def test_rows_travel_as_lists(spark, sf, name):
     """Pairs leave Python as a row for each run, and are dealt out in the JVM."""
     df = KNOWN[name](spark, sf)
@@ -315,3 +315,9 @@ def test_exact_gap_is_no_work_of_the_driver(spark, sf, monkeypatch):
 
     monkeypatch.setattr(checks, "distances", elsewhere)
     assert checks.QUERIES["markov_shift_exact_gap"](spark, sf).first()[0] == 0
+
+
+@pytest.mark.parametrize("name", ["all_pairs", "affinity_shift", "laplacian", "markov", "stationary_balance"])
+def test_pairs_keep_no_marks_of_nulls(spark, sf, name):
+    df = KNOWN[name](spark, sf)
+    assert not any(f.nullable for f in df.schema), df.schema
